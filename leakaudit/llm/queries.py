@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import os
+
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from leakaudit.llm import exact, mixing, multiset, simhash
+from leakaudit.llm import bpe, exact, mixing, multiset, simhash, substring
 from leakaudit.llm.common import documents
 
 
@@ -39,6 +41,42 @@ SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(content) AS
 """
 
 
+def tokenizer_path() -> str:
+    """The public byte-level vocabulary; LEAKAUDIT_TOKENIZER names another."""
+    if found := os.environ.get("LEAKAUDIT_TOKENIZER"):
+        return found
+    import public_tokenizers
+
+    return public_tokenizers.path("byte_bpe_50k.json")
+
+
+def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digests(documents(spark, sf_dir), bpe.Vocabulary(tokenizer_path()))
+
+
+def op8_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.strike(documents(spark, sf_dir))
+
+
+OP8_SQL = """
+WITH w AS (
+  SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS words FROM documents
+), p AS (
+  SELECT doc_id, words, unnest(range(1, len(words) + 1)) AS i FROM w
+), k AS (
+  SELECT doc_id, i, words[i] AS word, CASE WHEN i + 49 <= len(words) THEN array_to_string(words[i:i + 49], ' ') END AS win FROM p
+), m AS (
+  SELECT doc_id, i, word, win IS NOT NULL AND min(doc_id) OVER (PARTITION BY win) < doc_id AS again FROM k
+), c AS (
+  SELECT doc_id, i, word, bool_or(again) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW) AS gone FROM m
+), g AS (
+  SELECT doc_id, count(*) AS n_words, count(*) FILTER (gone) AS n_removed, coalesce(string_agg(word, ' ' ORDER BY i) FILTER (NOT gone), '') AS kept FROM c GROUP BY doc_id
+)
+SELECT d.doc_id, coalesce(n_words, 0) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM documents d LEFT JOIN g ON d.doc_id = g.doc_id
+"""
+
+
 def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = multiset.edited(documents(spark, sf_dir))
     return rows.select(
@@ -53,7 +91,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix": op1_mix,
     "op2_simhash": op2_simhash,
     "op5_exact_dedup": op5_exact_dedup,
+    "op7_bpe": op7_bpe,
+    "op8_substring": op8_substring,
     "op9_fingerprint": op9_fingerprint,
 }
 
-ORACLES: dict[str, str] = {"op5_exact_dedup": OP5_SQL}
+ORACLES: dict[str, str] = {"op5_exact_dedup": OP5_SQL, "op8_substring": OP8_SQL}
