@@ -11,61 +11,52 @@ from leakaudit.runtime import materialise
 #: Wide lanes: sums of hash halves modulo 2**32, for equality. Narrow lanes: counts of hash bits modulo 2**16, for likeness.
 WIDE, NARROW = 4, 128
 WIDE_MOD, NARROW_MOD = 1 << 32, 1 << 16
-#: A paragraph is a line, and a line ends at a full stop, mark or bar as well, so that the units stay short.
-CUT = r"(?<=[.!?|;])\s+|[\r\n]+"
-#: A longer paragraph is cut into units of so many characters from its start.
-LONGEST = 32
+#: A paragraph is a line; its units end at a full stop, mark or bar, or after 32 characters, so that likeness is fine-grained.
+UNIT = r"[^.!?|;\r\n]{1,32}[.!?|;]*|[.!?|;]+"
+LOWEST = -(2**63)
 
 
-def paragraphs(text: Column) -> Column:
-    """The units of a text: trimmed, empty ones dropped, over-long ones cut."""
-    raw = F.filter(F.transform(F.split(text, CUT), lambda p: F.trim(p)), lambda p: p != "")
-    long = F.exists(raw, lambda p: F.char_length(p) > LONGEST)
-    cut = F.flatten(F.transform(raw, lambda p: F.transform(F.sequence(F.lit(1), F.char_length(p), F.lit(LONGEST)), lambda i: F.substring(p, i, F.lit(LONGEST)))))
-    return F.when(long, cut).otherwise(raw)
+def units(text: Column) -> Column:
+    return F.regexp_extract_all(text, F.lit(UNIT), F.lit(0))
 
 
-def _packed(hashes: Column) -> Column:
-    """Bit counts of 64-bit hashes: 16 sums, each of four 16-bit fields, one count a field.
+def _sums(unit: Column) -> list[Column]:
+    """The aggregates of a multiset: units, four wide sums, and counts of the 128 bits of two hashes, two to a BIGINT.
 
-    Fields would overflow after 2**16 units; ``lanes`` sums blocks of fewer.
+    Sums of 32-bit values can't overflow before 2**31 units.
     """
-    mask = F.lit(0x0001000100010001)
-
-    def add(j: int):
-        return lambda a, h: a + F.shiftrightunsigned(h, j).bitwiseAND(mask)
-
-    return F.array(*[F.aggregate(hashes, F.lit(0).cast("long"), add(j)) for j in range(16)])
-
+    zero = F.lit(0).cast("long")
+    hashes = [F.xxhash64(unit), F.xxhash64(F.lit(1), unit)]
+    half = F.lit(WIDE_MOD - 1)
+    each = [x for h in hashes for x in (h.bitwiseAND(half), F.shiftrightunsigned(h, 32))]
+    each += [F.shiftrightunsigned(h, j).bitwiseAND(F.lit((1 << 32) | 1)) for h in hashes for j in range(32)]
+    return [F.sum(F.when(unit.isNotNull(), x).otherwise(zero)).alias(f"_s{k}") for k, x in enumerate(each)]
 
-def lanes(text: Column) -> Column:
-    """``struct<n, wide array<long>, narrow array<int>>``: the multiset hash of a text as sums of its paragraphs' vectors.
 
-    All lanes are sums modulo a power of two, so the order of paragraphs doesn't
-    matter and vectors of parts add up (``combine``) and subtract (``remove``).
-    """
-    zero = F.lit(0).cast("long")
-    units = paragraphs(F.coalesce(text, F.lit("")))
+def _lanes(times: str) -> Column:
+    """The sums over ``times`` equal rows as one row's ``struct<n, wide array<long>, narrow array<long>>``, four narrow lanes to a BIGINT."""
+    wide = [f"pmod(_s{k} div {times}, {WIDE_MOD}L)" for k in range(WIDE)]
+    low = lambda k: f"(pmod((_s{k} & {WIDE_MOD - 1}L) div {times}, {NARROW_MOD}L))"
+    high = lambda k: f"(pmod(shiftrightunsigned(_s{k}, 32) div {times}, {NARROW_MOD}L))"
+    narrow = [f"({low(k)} | shiftleft({high(k)}, 16) | shiftleft({low(k + 1)}, 32) | shiftleft({high(k + 1)}, 48))" for k in range(WIDE, WIDE + NARROW // 2, 2)]
+    return F.expr(f"named_struct('n', _n div {times}, 'wide', array({', '.join(wide)}), 'narrow', array({', '.join(narrow)}))")
 
-    def block(us: Column) -> Column:
-        one, two = F.transform(us, lambda u: F.xxhash64(u)), F.transform(us, lambda u: F.xxhash64(F.lit(1), u))
-        half = lambda hs, k: F.pmod(F.aggregate(hs, zero, lambda a, h: a + F.shiftrightunsigned(h, 32 * k).bitwiseAND(F.lit(WIDE_MOD - 1))), F.lit(WIDE_MOD))
-        return F.transform(F.array(F.struct(one.alias("one"), two.alias("two"))), lambda h: F.struct(
-            F.size(h["one"]).cast("long").alias("n"),
-            F.array(half(h["one"], 0), half(h["one"], 1), half(h["two"], 0), half(h["two"], 1)).alias("wide"),
-            F.concat(_unpacked(_packed(h["one"])), _unpacked(_packed(h["two"]))).alias("narrow")))[0]
 
-    many = F.transform(F.sequence(F.lit(1), F.greatest(F.size(units), F.lit(1)), F.lit(NARROW_MOD - 1)), lambda i: block(F.slice(units, i, F.lit(NARROW_MOD - 1))))
-    return F.aggregate(F.slice(many, F.lit(2), F.greatest(F.size(many) - 1, F.lit(0))), many[0], combine)
+#: Two of the four fields of a BIGINT.
+FIELDS = 0x0000FFFF0000FFFF
+CARRY = 0x0001000000010000
 
 
-def _unpacked(sums: Column) -> Column:
-    return F.flatten(F.transform(sums, lambda s: F.array(*[F.shiftrightunsigned(s, 16 * field).bitwiseAND(F.lit(NARROW_MOD - 1)) for field in range(4)])))
+def _fields(a: Column, b: Column, sign: int) -> Column:
+    """Sums or differences field by field, each modulo 2**16."""
+    low = lambda v, k: F.shiftrightunsigned(v, k).bitwiseAND(F.lit(FIELDS))
+    both = lambda k: (low(a, k) + F.lit(CARRY) + sign * low(b, k)).bitwiseAND(F.lit(FIELDS))
+    return both(0).bitwiseOR(F.shiftleft(both(16), 16))
 
 
 def _each(a: Column, b: Column, sign: int) -> Column:
-    add = lambda m: lambda x, y: F.pmod(x + sign * y, F.lit(m).cast("long"))
-    return F.struct((a["n"] + sign * b["n"]).alias("n"), F.zip_with(a["wide"], b["wide"], add(WIDE_MOD)).alias("wide"), F.zip_with(a["narrow"], b["narrow"], add(NARROW_MOD)).alias("narrow"))
+    wide = lambda x, y: F.pmod(x + sign * y, F.lit(WIDE_MOD))
+    return F.struct((a["n"] + sign * b["n"]).alias("n"), F.zip_with(a["wide"], b["wide"], wide).alias("wide"), F.zip_with(a["narrow"], b["narrow"], lambda x, y: _fields(x, y, sign)).alias("narrow"))
 
 
 def combine(a: Column, b: Column) -> Column:
@@ -78,29 +69,55 @@ def remove(a: Column, b: Column) -> Column:
     return _each(a, b, -1)
 
 
+def signs(h: Column) -> Column:
+    """Each narrow lane as a sum of signs: twice its count less the units, the count being the one nearest to half of the units."""
+    half = F.floor(h["n"] / 2)
+
+    def fields(v: Column) -> Column:
+        low = [F.pmod(F.shiftrightunsigned(v, 16 * k).bitwiseAND(F.lit(NARROW_MOD - 1)) - half, F.lit(NARROW_MOD)) for k in range(4)]
+        return F.array(*[(2 * F.when(t >= NARROW_MOD // 2, t - NARROW_MOD).otherwise(t) - h["n"] % 2).cast("double") for t in low])
+
+    return F.flatten(F.transform(h["narrow"], fields))
+
+
 def likeness(a: Column, b: Column) -> Column:
-    """0 to 1: an estimate of shared paragraphs over the mean number of paragraphs.
+    """0 to 1: an estimate of twice the product of two multisets over the sum of their squares.
 
-    Twice a bit count less the number of units is a sum of signs, so the mean
-    square of the difference of two such sums estimates how many units differ.
+    Products of sign sums have the product of the multisets as their mean, so 128
+    lanes estimate it; equal multisets give 1, those without a common unit about 0.
     """
-    wrap = lambda v: F.when(v > NARROW_MOD // 2, v - NARROW_MOD).when(v < -(NARROW_MOD // 2), v + NARROW_MOD).otherwise(v)
-    differ = F.aggregate(F.zip_with(a["narrow"], b["narrow"], lambda x, y: F.pow(2.0 * wrap(x - y) - (a["n"] - b["n"]), F.lit(2.0))), F.lit(0.0), lambda s, x: s + x) / NARROW
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
     same = (a["n"] == b["n"]) & (a["wide"] == b["wide"]) & (a["narrow"] == b["narrow"])
-    return F.when(same, F.lit(1.0)).when(a["n"] + b["n"] == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), 1.0 - differ / (a["n"] + b["n"]))))
+    near = F.transform(F.array(F.struct(signs(a).alias("x"), signs(b).alias("y"))), lambda v: 2 * dot(v["x"], v["y"]) / F.greatest(dot(v["x"], v["x"]) + dot(v["y"], v["y"]), F.lit(1.0)))[0]
+    return F.when(same, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), near)))
 
 
 def as_hex(h: Column) -> Column:
-    """The fingerprint as text: 8 hex digits a wide lane, 4 a narrow lane."""
+    """The fingerprint as text: 8 hex digits a wide lane, 16 for four narrow lanes."""
     digits = lambda v, n: F.lpad(F.lower(F.hex(v)), n, "0")
-    return F.concat(F.array_join(F.transform(h["wide"], lambda v: digits(v, 8)), ""), F.array_join(F.transform(h["narrow"], lambda v: digits(v, 4)), ""))
+    return F.concat(F.array_join(F.transform(h["wide"], lambda v: digits(v, 8)), ""), F.array_join(F.transform(h["narrow"], lambda v: digits(v, 16)), ""))
 
 
-def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, n_chars, lanes, fingerprint`` of every row. A null text counts as empty; its multiset has no unit."""
+def hashed(rows: DataFrame, keys: list[str], text: str) -> DataFrame:
+    """``keys, lanes, _m``: the multiset hash of each of ``rows``; equal rows are one row, ``_m`` says how many.
+
+    Units are exploded and summed again within the task, so no text is shuffled.
+    Equal rows add up to a multiple, which is divided out exactly.
+    """
+    each = rows.select(*keys, F.posexplode_outer(units(F.col(text))).alias("_pos", "_unit"))
+    total = each.groupBy(*keys).agg(F.count("_unit").alias("_n"), F.count_if(F.coalesce("_pos", F.lit(0)) == 0).alias("_m"), *_sums(F.col("_unit")))
+    return total.select(*keys, "_m", _lanes("_m").alias("lanes"))
+
+
+def _base(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
     whole = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.char_length(whole).cast("long").alias("n_chars"), lanes(whole).alias("lanes"))
-    return rows.withColumn("fingerprint", as_hex(F.col("lanes")))
+    return docs.select(F.coalesce(F.col(doc_id).cast("long"), F.lit(LOWEST)).alias("did"), F.xxhash64(whole).alias("th"), whole.alias("text"))
+
+
+def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """``doc_id, lanes, fingerprint``, one row for all rows that repeat doc_id and text. A null text counts as empty; its multiset has no unit."""
+    found = hashed(_base(docs, doc_id, text), ["did", "th"], "text")
+    return found.select(F.when(F.col("did") != LOWEST, F.col("did")).alias("doc_id"), "lanes", as_hex(F.col("lanes")).alias("fingerprint"))
 
 
 def successors(ids: DataFrame) -> DataFrame:
@@ -128,18 +145,24 @@ def edited(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
     """Each row's fingerprint beside that of its edited text and of the next document.
 
     The last half (rounded down) of the code points gives way to as many, or all,
-    of the start of the next document by doc_id. Of rows that share a doc_id the
-    least text stands for them as the next document; each gets its own row.
-    Columns: ``doc_id, n_chars, edited_text, lanes, edited_lanes, next_lanes``.
+    of the start of the next document by doc_id (a null doc_id comes first). Of rows
+    that share a doc_id the one whose start (then hash) is least stands for them as
+    the next document; each gets its own row. No rows give none.
+    Columns: ``doc_id, n_chars, edited_sha256, lanes, edited_lanes, next_lanes``.
     """
-    whole = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    base = docs.select(F.col(doc_id).cast("long").alias("doc_id"), whole.alias("text"))
-    ids = base.groupBy("doc_id").agg(F.max(F.floor(F.char_length("text") / 2)).cast("int").alias("half"))
+    base = _base(docs, doc_id, text)
+    own = materialise(hashed(base, ["did", "th"], "text").drop("_m"), "lanes")
+    ids = base.groupBy(F.col("did").alias("doc_id")).agg(F.max(F.floor(F.char_length("text") / 2)).cast("int").alias("half"))
     prev = materialise(successors(ids).withColumnRenamed("doc_id", "owner"), "prev")
-    hashed = base.withColumn("lanes", lanes(F.col("text")))
-    heads = hashed.join(prev, hashed["doc_id"].eqNullSafe(prev["next_id"])).groupBy("owner").agg(
-        F.min(F.struct("text", "half", "lanes")).alias("m")).select("owner", F.col("m.text").substr(F.lit(1), F.col("m.half")).alias("head"), F.col("m.lanes").alias("next_lanes"))
-    both = hashed.join(heads, hashed["doc_id"].eqNullSafe(heads["owner"]))
+    head = F.struct(F.col("text").substr(F.lit(1), F.col("half")).alias("head"), "th", "did")
+    heads = base.join(prev, F.col("did") == prev["next_id"]).groupBy("owner").agg(F.min(head).alias("m"))
+    heads = heads.select("owner", F.col("m.head").alias("head"), F.col("m.did").alias("next_did"), F.col("m.th").alias("next_th"))
     n, half = F.char_length("text"), F.floor(F.char_length("text") / 2).cast("int")
-    both = both.select("doc_id", n.cast("long").alias("n_chars"), F.concat(F.col("text").substr(F.lit(1), n - half), F.col("head").substr(F.lit(1), half)).alias("edited_text"), "lanes", "next_lanes")
-    return both.withColumn("edited_lanes", lanes(F.col("edited_text")))
+    new = F.concat(F.col("text").substr(F.lit(1), n - half), F.col("head").substr(F.lit(1), half))
+    both = base.join(heads, F.col("did") == heads["owner"]).select("did", "th", "next_did", "next_th", n.cast("long").alias("n_chars"), new.alias("new"))
+    both = both.withColumn("sha", F.unhex(F.sha2("new", 256)))
+    changed = hashed(both, ["did", "th", "next_did", "next_th", "n_chars", "sha"], "new").withColumnRenamed("lanes", "edited_lanes")
+    following = own.select(F.col("did").alias("next_did"), F.col("th").alias("next_th"), F.col("lanes").alias("next_lanes"))
+    found = changed.join(own, ["did", "th"]).join(following, ["next_did", "next_th"])
+    found = found.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_m"))))
+    return found.select(F.when(F.col("did") != LOWEST, F.col("did")).alias("doc_id"), "n_chars", F.lower(F.hex("sha")).alias("edited_sha256"), "lanes", "edited_lanes", "next_lanes")

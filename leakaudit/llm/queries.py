@@ -9,8 +9,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from leakaudit.llm import bpe, exact, mixing, multiset, simhash, substring
+from leakaudit.llm import bpe, exact, mixing, multiset, quality, simhash, substring, toxicity
 from leakaudit.llm.common import documents
+from leakaudit.llm.sparse import held_out
 
 
 def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,6 +25,18 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    return quality.score(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+
+
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    chain = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    rows = toxicity.classify(docs.select("doc_id", "text"), chain)
+    return rows.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), *[f"p_{c}" for c in toxicity.CHAIN], F.col("rejected").cast("int").alias("predicted"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.members(documents(spark, sf_dir))
 
@@ -80,7 +93,7 @@ FROM documents d LEFT JOIN g ON d.doc_id = g.doc_id
 def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = multiset.edited(documents(spark, sf_dir))
     return rows.select(
-        "doc_id", "n_chars", F.sha2("edited_text", 256).alias("edited_sha256"),
+        "doc_id", "n_chars", "edited_sha256",
         multiset.as_hex(F.col("lanes")).alias("fingerprint"), multiset.as_hex(F.col("edited_lanes")).alias("edited_fingerprint"),
         multiset.likeness(F.col("lanes"), F.col("edited_lanes")).alias("near_edited"),
         multiset.likeness(F.col("lanes"), F.col("next_lanes")).alias("near_next"),
@@ -90,7 +103,9 @@ def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix": op1_mix,
     "op2_simhash": op2_simhash,
+    "op4_quality": op4_quality,
     "op5_exact_dedup": op5_exact_dedup,
+    "op6_toxicity": op6_toxicity,
     "op7_bpe": op7_bpe,
     "op8_substring": op8_substring,
     "op9_fingerprint": op9_fingerprint,
