@@ -4,10 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from leakaudit.llm import exact, mixing, simhash
+from leakaudit.llm import bpe, exact, mixing, simhash, toxicity
+from leakaudit.llm.queries import tokenizer_path
 from leakaudit.runtime import materialise
 
 
+def toxicity_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier chain rejects go; it learns from the labels of the input."""
+    return toxicity.keep_clean(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each group of equal texts stays (blank characters apart)."""
     return exact.deduplicate(docs)
@@ -23,10 +29,17 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return mixing.mixed_rows(docs).select(*docs.columns)
 
 
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token counts and the digests of ids and of the decoded text, one row per row of the mix."""
+    return bpe.digests(docs, bpe.Vocabulary(tokenizer_path()))
+
+
 STAGES = [
+    ("toxicity", toxicity_filter),
     ("exact_dedup", exact_dedup),
     ("near_dedup", near_dedup),
     ("mix", mix),
+    ("bpe", encode),
 ]
 
 #: The mix and the toxicity model have no SQL form; tests hold the run against brute force.

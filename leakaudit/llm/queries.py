@@ -9,7 +9,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from leakaudit.llm import bpe, exact, mixing, multiset, quality, simhash, substring, toxicity
+from leakaudit.llm import bpe, exact, licences, mixing, multiset, pii, quality, simhash, substring, toxicity
 from leakaudit.llm.common import documents
 from leakaudit.llm.sparse import held_out
 
@@ -25,6 +25,15 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = pii.find(documents(spark, sf_dir))
+    shown = lambda spans: F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"], s["stop"])), ",")
+    order = F.array(*[F.lit(k) for k in dict.fromkeys((*pii.KINDS, *pii.EXTRA))])
+    every = F.array_sort(F.transform(F.concat("base", "extra"), lambda s: F.struct(F.array_position(order, s["kind"]).alias("at"), s["start"].alias("start"), s["stop"].alias("stop"), s["kind"].alias("kind"))))
+    count = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long")
+    return rows.select("doc_id", *[count(k).alias(f"n_{k}") for k in pii.KINDS], F.sha2(shown(F.col("base")), 256).alias("base_sha256"), shown(every).alias("spans"))
+
+
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     return quality.score(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
@@ -100,15 +109,24 @@ def op9_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = licences.scan(documents(spark, sf_dir))
+    names = F.array_sort(F.array_distinct(F.transform("found", lambda m: m["licence"])))
+    best = F.array_max(F.transform("found", lambda m: m["gain"]))
+    return rows.select("doc_id", F.size("found").cast("long").alias("n_found"), F.array_join(names, ",").alias("licences"), best.alias("best_reduction"), F.size(F.filter("found", lambda m: m["missing"] == 0)).cast("long").alias("n_exact"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix": op1_mix,
     "op2_simhash": op2_simhash,
+    "op3_pii": op3_pii,
     "op4_quality": op4_quality,
     "op5_exact_dedup": op5_exact_dedup,
     "op6_toxicity": op6_toxicity,
     "op7_bpe": op7_bpe,
     "op8_substring": op8_substring,
     "op9_fingerprint": op9_fingerprint,
+    "op10_licences": op10_licences,
 }
 
 ORACLES: dict[str, str] = {"op5_exact_dedup": OP5_SQL, "op8_substring": OP8_SQL}
