@@ -25,7 +25,7 @@ SPLIT = (
     r"|\p{IsWhite_Space}+(?!\P{IsWhite_Space})|\p{IsWhite_Space}+"
 )
 #: Words of about so many bytes make a block, the unit within which positions are joined back.
-BLOCK_BYTES = 12 << 20
+BLOCK_BYTES = 16 << 20
 #: Words are dealt to so many parts by a hash at most; each part encodes its distinct words.
 MOST_PARTS = 4096
 
@@ -72,12 +72,34 @@ def words(text: Column, specials: list[str]) -> Column:
     return F.when(has, F.flatten(parts)).otherwise(plain)
 
 
-def _pack(codes: np.ndarray) -> bytes:
-    return codes.astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes()
+#: Values of one byte, further ones of two, of three; a lead byte of 255 stands for a larger one, kept whole.
+ONE, TWO, THREE = 128, 64 * 256, 63 * 65536
 
 
-def _unpack(raw: bytes) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(4, -1).T).view("<u4").reshape(-1)
+def _pack(values: np.ndarray) -> bytes:
+    """Non-negative integers in one to three bytes, each byte's place in a row of its own: frequent small ones compress best so."""
+    v = values.astype(np.int64)
+    two, three, whole = v >= ONE, v >= ONE + TWO, v >= ONE + TWO + THREE
+    mid, high = v - ONE, v - ONE - TWO
+    lead = np.where(whole, 255, np.where(three, 192 + (high >> 16), np.where(two, 128 + (mid >> 8), v))).astype(np.uint8)
+    rows = [lead, np.where(three, (high >> 8) & 255, mid & 255)[two].astype(np.uint8), (high & 255)[three].astype(np.uint8), v[whole].astype("<u4")]
+    return struct.pack("<IIII", *map(len, rows)) + b"".join(r.tobytes() for r in rows)
+
+
+def _unpack(raw: bytes, at: int = 0) -> tuple[np.ndarray, int]:
+    """The values packed at ``at``, and where the next ones begin."""
+    sizes, rows = struct.unpack_from("<IIII", raw, at), []
+    at += 16
+    for n, kind in zip(sizes, ("u1", "u1", "u1", "<u4"), strict=True):
+        rows.append(np.frombuffer(raw, kind, n, at).astype(np.int64))
+        at += n * np.dtype(kind).itemsize
+    out, second, third, large = rows
+    two, three, whole = out >= 128, out >= 192, out == 255
+    longer = three[two]
+    out[two & ~three] = ((out[two & ~three] - 128) << 8) + second[~longer] + ONE
+    out[three] = ((out[three] - 192) << 16) + (second[longer] << 8) + third + ONE + TWO
+    out[whole] = large
+    return out, at
 
 
 BLOCKS = "block string, part int, payload binary"
@@ -93,25 +115,27 @@ def _to_blocks(parts: int) -> Callable:
     """(doc_id, words) -> per block the documents' word codes (part -1), and its distinct words by part."""
 
     def one(ids: pa.Array, lists: pa.Array) -> pa.RecordBatch:
-        press = zstandard.ZstdCompressor(level=3)
+        press = zstandard.ZstdCompressor(level=6)
         lengths = pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False).astype("<u4")
         coded = lists.flatten().dictionary_encode()
         if isinstance(coded, pa.ChunkedArray):
             coded = coded.combine_chunks()
         known = coded.dictionary.cast(pa.binary() if coded.dictionary.type == pa.string() else pa.large_binary()).to_pylist()
         part = np.fromiter((zlib.crc32(w) % parts for w in known), np.int64, len(known))
-        order = np.argsort(part, kind="stable")
-        rank = np.empty(len(known), np.int64)
-        rank[order] = np.arange(len(known))
-        codes = rank[coded.indices.to_numpy(zero_copy_only=False)] if len(known) else np.zeros(0, np.int64)
+        index = coded.indices.to_numpy(zero_copy_only=False)
+        # a code is (rank by frequency in its part) * parts + part: frequent words have small codes, which compress well
+        order = np.lexsort((-np.bincount(index, minlength=len(known)), part))
+        bounds = np.searchsorted(part[order], np.arange(parts + 1))
+        code = np.empty(len(known), np.int64)
+        code[order] = (np.arange(len(known)) - bounds[part[order]]) * parts + part[order]
+        codes = code[index] if len(known) else np.zeros(0, np.int64)
         head = pa.BufferOutputStream()
         with pa.ipc.new_stream(head, pa.schema([("doc_id", pa.int64())])) as to:
             to.write_batch(pa.RecordBatch.from_arrays([ids.cast(pa.int64())], ["doc_id"]))
         head = head.getvalue().to_pybytes()
-        body = struct.pack("<III", len(head), len(lengths), len(codes)) + head + _pack(lengths) + _pack(codes)
+        body = struct.pack("<II", len(head), parts) + head + lengths.tobytes() + _pack(codes)
         name = uuid.uuid4().hex
         rows = [(name, -1, press.compress(body))]
-        bounds = np.searchsorted(part[order], np.arange(parts + 1))
         for p in np.flatnonzero(np.diff(bounds)).tolist():
             rows.append((name, p, press.compress(b"\xff".join(known[i] for i in order[bounds[p] : bounds[p + 1]].tolist()))))
         return _rows(rows)
@@ -138,7 +162,7 @@ def _encode_parts(vocabulary: Vocabulary) -> Callable:
     """Blocks' words sorted by part -> their ids in the same order; each distinct word of a part is encoded once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, press, open_ = vocabulary.encoder(), zstandard.ZstdCompressor(level=3), zstandard.ZstdDecompressor()
+        encoder, press, open_ = vocabulary.encoder(), zstandard.ZstdCompressor(level=6), zstandard.ZstdDecompressor()
         part, known = -1, {}
         for batch in batches:
             for block, p, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
@@ -151,7 +175,7 @@ def _encode_parts(vocabulary: Vocabulary) -> Callable:
                     for w, e in zip(some, encoder.encode_batch([w.decode() for w in some], add_special_tokens=False), strict=True):
                         known[w] = np.array(e.ids, "<u4").tobytes()
                 ids = [known[w] for w in asked]
-                body = struct.pack("<I", len(ids)) + _pack(np.fromiter(map(len, ids), np.int64, len(ids)) // 4) + _pack(np.frombuffer(b"".join(ids), "<u4"))
+                body = _pack(np.fromiter(map(len, ids), np.int64, len(ids)) // 4) + _pack(np.frombuffer(b"".join(ids), "<u4"))
                 yield _rows([(block, p, press.compress(body))])
 
     return run
@@ -165,16 +189,18 @@ def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
         name, body, parts = None, b"", []
 
         def done() -> Iterator[pa.RecordBatch]:
-            n_head, n_docs, n_codes = struct.unpack_from("<III", body)
-            at = 12 + n_head
-            doc_ids = pa.ipc.open_stream(body[12:at]).read_all().column("doc_id").combine_chunks()
-            ends = np.cumsum(_unpack(body[at : at + 4 * n_docs]), dtype=np.int64)
-            codes = _unpack(body[at + 4 * n_docs : at + 4 * (n_docs + n_codes)])
-            counts, flat = [np.zeros(0, np.int64)], [np.zeros(0, np.uint32)]
-            for raw in parts:
-                (n,) = struct.unpack_from("<I", raw)
-                counts.append(_unpack(raw[4 : 4 + 4 * n]).astype(np.int64))
-                flat.append(_unpack(raw[4 + 4 * n :]))
+            n_head, n_parts = struct.unpack_from("<II", body)
+            at = 8 + n_head
+            doc_ids = pa.ipc.open_stream(body[8:at]).read_all().column("doc_id").combine_chunks()
+            n_docs = len(doc_ids)
+            ends = np.cumsum(np.frombuffer(body, "<u4", n_docs, at), dtype=np.int64)
+            codes, _ = _unpack(body, at + 4 * n_docs)
+            counts, flat, before, words = [np.zeros(0, np.int64)], [np.zeros(0, np.uint32)], np.zeros(n_parts, np.int64), 0
+            for p, raw in parts:
+                sizes, at = _unpack(raw)
+                before[p], words = words, words + len(sizes)
+                counts.append(sizes)
+                flat.append(_unpack(raw, at)[0].astype(np.uint32))
             count, flat = np.concatenate(counts), np.concatenate(flat)
             first = np.cumsum(count) - count
             step, doc = 1 << 19, 0
@@ -182,6 +208,7 @@ def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
                 start = int(ends[doc - 1]) if doc else 0
                 to = max(doc + 1, int(np.searchsorted(ends, start + step, "right")))
                 some = codes[start : int(ends[to - 1])]
+                some = before[some % n_parts] + some // n_parts
                 n = count[some]
                 upto = np.cumsum(n)
                 total = int(upto[-1]) if len(n) else 0
@@ -191,16 +218,16 @@ def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
                 doc = to
 
         for batch in batches:
-            for block, part, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for block, p, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if block != name:
                     if name is not None:
                         yield from done()
                     name, body, parts = block, b"", []
                 raw = open_.decompress(payload)
-                if part < 0:
+                if p < 0:
                     body = raw
                 else:
-                    parts.append(raw)
+                    parts.append((p, raw))
         if name is not None:
             yield from done()
 
