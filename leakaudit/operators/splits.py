@@ -37,8 +37,10 @@ def line_overlap(a: DataFrame, b: DataFrame, min_len: int = 40) -> DataFrame:
 def shingle_hashes(samples: DataFrame, shingle: int = 5) -> DataFrame:
     """``sample_id, hashes``: the distinct digests of each run of ``shingle`` lower-cased words."""
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
-    runs = F.when(F.size("w") >= shingle, F.transform(F.sequence(F.lit(1), F.size("w") - shingle + 1), lambda i: F.md5(F.array_join(F.slice("w", i, F.lit(shingle)), " "))))
-    return samples.select("sample_id", words.alias("w")).select("sample_id", F.array_distinct(runs).alias("hashes")).where("hashes is not null")
+    # the word list is bound once: a lambda would split the text anew for every shingle
+    cut = lambda w: F.when(F.size(w) >= shingle, F.transform(F.sequence(F.lit(1), F.size(w) - shingle + 1), lambda i: F.md5(F.array_join(F.slice(w, i, F.lit(shingle)), " "))))
+    found = samples.select("sample_id", F.transform(F.array(words), cut)[0].alias("hashes")).where("hashes is not null")
+    return found.select("sample_id", F.array_distinct("hashes").alias("hashes"))
 
 
 def near_copies(samples: DataFrame, shingle: int = 5, least: float = 0.8) -> DataFrame:

@@ -556,3 +556,161 @@ def event_sequence_scores(spark, sf_dir):
 @registered(_sequence_sql("SELECT l_orderkey AS sample_id, p_brand AS key, 1.0::DOUBLE AS weight, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, p_brand) AS pos FROM lineitem JOIN part ON l_partkey = p_partkey"))
 def order_brand_scores(spark, sf_dir):
     return _sequence_scores(around.from_orders(catalog.table(spark, sf_dir, "lineitem"), catalog.table(spark, sf_dir, "part")))
+
+
+# --- around -------------------------------------------------------------------
+
+REGISTRY = "SELECT * FROM (VALUES ('a', TIMESTAMP '2024-01-03 00:00:00'), ('b', TIMESTAMP '2024-01-10 12:00:00'), ('c', TIMESTAMP '2024-01-10 18:30:00'), ('d', TIMESTAMP '2024-01-25 06:00:00')) AS t(target_id, trained_at)"
+
+
+@registered(f"WITH r AS ({REGISTRY}) SELECT event_id, user_id, (SELECT max_by(target_id, trained_at) FROM r WHERE trained_at <= ts) AS target_id FROM events")
+def asof_target(spark, sf_dir):
+    """Each event with the latest target trained at or before it."""
+    found = around.as_of(catalog.table(spark, sf_dir, "events").select("event_id", "user_id", "ts"), spark.sql(REGISTRY))
+    return found.select("event_id", "user_id", "target_id")
+
+
+@registered(f"WITH {oracles.base('pages')}, {oracles.PCS}, {oracles.spn('html')} SELECT s.kind, count(*) AS n_pairs, count(DISTINCT (p.sample_id, p.pos)) AS n_pieces FROM pcs p JOIN spn s ON s.sample_id = p.sample_id AND s.start < p.stop AND s.stop > p.start GROUP BY 1")
+def range_join_runs(spark, sf_dir):
+    """Pieces and the spans they overlap, as a range join within the sample."""
+    some = catalog.samples(spark, sf_dir, "pages")
+    p, s = tokens.placed(some).select("sample_id", "pos", "start", "stop").alias("p"), tokens.spans(some, "html").where("kind <> 'tag'").alias("s")
+    met = p.join(s, (F.col("p.sample_id") == F.col("s.sample_id")) & (F.col("s.start") < F.col("p.stop")) & (F.col("s.stop") > F.col("p.start")))
+    return met.groupBy("s.kind").agg(F.count(F.lit(1)).alias("n_pairs"), F.count_distinct("p.sample_id", "p.pos").alias("n_pieces"))
+
+
+@registered("SELECT l_returnflag AS flag, l_linestatus AS status, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus)")
+def rollup_counts(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "lineitem").select(F.col("l_returnflag").alias("flag"), F.col("l_linestatus").alias("status"), "l_quantity")
+    return rows.rollup("flag", "status").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
+
+
+@registered(f"WITH {oracles.base()} SELECT slice, role, is_member, count(*) AS n FROM smp GROUP BY CUBE (slice, role, is_member)")
+def cube_counts(spark, sf_dir):
+    return _documents(spark, sf_dir).cube("slice", "role", "is_member").agg(F.count(F.lit(1)).alias("n"))
+
+
+@registered(f"WITH {oracles.base()} SELECT slice, role, count(*) AS n FROM smp GROUP BY GROUPING SETS ((slice), (role), ())")
+def grouping_sets_counts(spark, sf_dir):
+    rows = _documents(spark, sf_dir)
+    return rows.groupingSets([[rows["slice"]], [rows["role"]], []], "slice", "role").agg(F.count(F.lit(1)).alias("n"))
+
+
+@registered("""SELECT r_name AS region, o_orderpriority AS priority, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey
+JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE o_orderdate >= TIMESTAMP '1995-01-01' GROUP BY ALL""")
+def star_join_scope(spark, sf_dir):
+    """The business scope of an audit: revenue by region and priority over the star schema."""
+    t = lambda n: catalog.table(spark, sf_dir, n)
+    rows = t("lineitem").select("l_orderkey", "l_extendedprice", "l_discount").join(t("orders").where("o_orderdate >= timestamp '1995-01-01'").select("o_orderkey", "o_custkey", "o_orderpriority"), F.col("l_orderkey") == F.col("o_orderkey"))
+    rows = rows.join(t("customer").select("c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey")).join(t("nation").select("n_nationkey", "n_regionkey"), F.col("c_nationkey") == F.col("n_nationkey")).join(t("region").select("r_regionkey", "r_name"), F.col("n_regionkey") == F.col("r_regionkey"))
+    return rows.groupBy(F.col("r_name").alias("region"), F.col("o_orderpriority").alias("priority")).agg(F.count(F.lit(1)).alias("n"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
+
+
+@registered(f"WITH {SCORED}, r AS (SELECT slice, sample_id, round(score, 6) AS score, row_number() OVER (PARTITION BY slice ORDER BY round(score, 6) DESC, sample_id) AS rank FROM scr WHERE method = 'weighted_z') SELECT * FROM r WHERE rank <= 10")
+def topk_suspicious(spark, sf_dir):
+    """The ten most suspicious samples of each slice: a report, limited by design."""
+    rows = _holdout(spark, sf_dir).where("method = 'weighted_z'").select("slice", "sample_id", F.round("score", 6).alias("score"))
+    return rows.withColumn("rank", F.row_number().over(Window.partitionBy("slice").orderBy(F.desc("score"), "sample_id")).cast("long")).where("rank <= 10")
+
+
+@registered("""WITH g AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM g)
+SELECT user_id, count(*) AS n, min(ts) AS first_ts, max(ts) AS last_ts FROM s GROUP BY user_id, k""")
+def session_windows_batch(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "events")
+    return rows.groupBy("user_id", F.session_window("ts", "30 minutes")).agg(F.count(F.lit(1)).alias("n"), F.min("ts").alias("first_ts"), F.max("ts").alias("last_ts")).drop("session_window")
+
+
+@registered("SELECT date_trunc('day', ts)::TIMESTAMP AS day, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL")
+def tumbling_windows_batch(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "events")
+    return rows.groupBy(F.window("ts", "1 day"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total")).select(F.col("window.start").alias("day"), "event_type", "n", "total")
+
+
+@registered("""WITH h AS (SELECT ts, event_type, epoch(ts)::BIGINT AS s FROM events), w AS (SELECT event_type, (s // 21600) * 21600 - unnest([0, 21600]) AS start FROM h)
+SELECT to_timestamp(start) AT TIME ZONE 'UTC' AS start, event_type, count(*) AS n FROM w GROUP BY ALL""")
+def sliding_windows_batch(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "events")
+    return rows.groupBy(F.window("ts", "12 hours", "6 hours"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("window.start").alias("start"), "event_type", "n")
+
+
+@registered("SELECT event_type, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY ALL")
+def json_props(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "events").withColumn("v", F.try_parse_json("props"))
+    return rows.groupBy("event_type", F.try_variant_get("v", "$.k", "long").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+
+
+NEAR_SQL = f"""WITH {oracles.base(unique=False)}, w AS (SELECT sample_id, regexp_extract_all(lower(text), '[^\\s]+') AS w FROM smp), s AS (SELECT DISTINCT sample_id, array_to_string(w[i:i + 4], ' ') AS h FROM (SELECT sample_id, w, unnest(range(1, len(w) - 3)) AS i FROM w WHERE len(w) >= 5)),
+n AS (SELECT sample_id, count(*) AS c FROM s GROUP BY 1), p AS (SELECT a.sample_id AS a, b.sample_id AS b, count(*) AS met FROM s a JOIN s b ON a.h = b.h AND a.sample_id < b.sample_id GROUP BY ALL),
+j AS (SELECT a, b FROM p JOIN n x ON x.sample_id = a JOIN n y ON y.sample_id = b WHERE met / (x.c + y.c - met) >= 0.8)"""
+
+
+@registered(NEAR_SQL.replace("WITH ", "WITH RECURSIVE ", 1) + """, e AS (SELECT a, b FROM j UNION SELECT b, a FROM j), r AS (SELECT a AS node, a AS root FROM e UNION SELECT e.b, r.root FROM r JOIN e ON e.a = r.node)
+SELECT node AS sample_id, min(root) AS "group" FROM r GROUP BY 1""")
+def near_copies(spark, sf_dir):
+    """Groups of documents joined by similar texts (five-word shingles, 0.8 or more)."""
+    docs = _documents(spark, sf_dir, unique=False)
+    pairs = splits.near_copies(docs)
+    return splits.isolate(docs, pairs).withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("group"))).where("n > 1").select("sample_id", "group")
+
+
+@registered("(SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM labels) UNION ALL (SELECT doc_id FROM documents WHERE lang = 'de' INTERSECT SELECT doc_id FROM labels)")
+def except_split(spark, sf_dir):
+    docs, labels = catalog.table(spark, sf_dir, "documents"), catalog.table(spark, sf_dir, "labels").select("doc_id")
+    return docs.select("doc_id").subtract(labels).unionByName(docs.where("lang = 'de'").select("doc_id").intersect(labels))
+
+
+@registered(f"""WITH a AS (WITH {oracles.document_chain()} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' AND slice IN ('de', 'en') GROUP BY 1), b AS (WITH {oracles.document_chain(layers=(0,))} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' AND slice IN ('de', 'fr') GROUP BY 1)
+SELECT coalesce(a.sample_id, b.sample_id) AS sample_id, round(a.s, 6) AS score_a, round(b.s, 6) AS score_b FROM a FULL JOIN b ON a.sample_id = b.sample_id""")
+def full_outer_targets(spark, sf_dir):
+    """Two targets side by side, each scored on other slices."""
+    full = audit.token_table(spark, sf_dir)
+    one = lambda config, slices, name: audit.probability_scores(full, config).where(F.col("slice").isin(*slices) & (F.col("role") == "holdout")).select("sample_id", F.round("loss", 6).alias(name))
+    return one(Config(), ("de", "en"), "score_a").join(one(Config(layer=0), ("de", "fr"), "score_b"), "sample_id", "full_outer")
+
+
+@registered("""SELECT c_mktsegment AS segment, count(*) AS n, round(avg(c_acctbal), 4) AS mean, round(stddev_pop(c_acctbal), 4) AS sd, round(median(c_acctbal), 4) AS median, count(*) FILTER (c_acctbal < 0) AS negative, bool_and(c_acctbal > -1000) AS floor_holds, round(corr(c_acctbal, c_custkey), 6) AS r FROM customer GROUP BY 1""")
+def aggregate_functions(spark, sf_dir):
+    rows = catalog.table(spark, sf_dir, "customer")
+    b = F.col("c_acctbal")
+    return rows.groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(b), 4).alias("mean"), F.round(F.stddev_pop(b), 4).alias("sd"), F.round(F.median(b), 4).alias("median"), F.count_if(b < 0).alias("negative"), F.bool_and(b > -1000).alias("floor_holds"), F.round(F.corr("c_acctbal", "c_custkey"), 6).alias("r"))
+
+
+@registered("""SELECT sample_id, slice, percent, tile, running FROM (SELECT doc_id AS sample_id, lang AS slice, round(percent_rank() OVER w, 6) AS percent, ntile(4) OVER w AS tile, CAST(sum(n_chars) OVER w AS BIGINT) AS running FROM documents WINDOW w AS (PARTITION BY lang ORDER BY n_chars, doc_id))""")
+def window_functions(spark, sf_dir):
+    w = Window.partitionBy("lang").orderBy("n_chars", "doc_id")
+    rows = catalog.table(spark, sf_dir, "documents").select("doc_id", "lang", "n_chars")
+    return rows.select(F.col("doc_id").alias("sample_id"), F.col("lang").alias("slice"), F.round(F.percent_rank().over(w), 6).alias("percent"), F.ntile(4).over(w).cast("long").alias("tile"), F.sum("n_chars").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"))
+
+
+@registered("SELECT d.doc_id, l.quality, (SELECT max(n_chars) FROM documents) - n_chars AS below_longest FROM documents d JOIN labels l ON d.doc_id = l.doc_id WHERE EXISTS (SELECT 1 FROM labels x WHERE x.doc_id = d.doc_id AND x.toxic = 0) AND d.lang IN ('fr', 'es')")
+def subqueries(spark, sf_dir):
+    catalog.table(spark, sf_dir, "documents").createOrReplaceTempView("audit_documents")
+    catalog.table(spark, sf_dir, "labels").createOrReplaceTempView("audit_labels")
+    return spark.sql("SELECT d.doc_id, l.quality, (SELECT max(n_chars) FROM audit_documents) - n_chars AS below_longest FROM audit_documents d JOIN audit_labels l ON d.doc_id = l.doc_id WHERE EXISTS (SELECT 1 FROM audit_labels x WHERE x.doc_id = d.doc_id AND x.toxic = 0) AND d.lang IN ('fr', 'es')")
+
+
+@registered(f"WITH {oracles.base()}, {oracles.PCS} SELECT kind, count(*) AS n, round(sum(CASE kind WHEN 'boilerplate' THEN 0.1 WHEN 'long' THEN 3.0 WHEN 'tag' THEN 10.0 ELSE 1.0 END), 4) AS weight, round(1 / (1 + exp(-0.5)), 6) AS half FROM (SELECT CASE WHEN NOT {oracles.IDENT} THEN 'boilerplate' WHEN tok IN ('TODO', 'FIXME') THEN 'tag' WHEN length(tok) >= 10 THEN 'long' ELSE 'standard' END AS kind FROM pcs WHERE NOT regexp_matches(tok, '^\\s+$')) GROUP BY 1")
+def sql_surface(spark, sf_dir):
+    """The registered SQL functions at work."""
+    from leakaudit.functions import surface
+
+    surface.register(spark)
+    tokens.placed(_documents(spark, sf_dir)).where(~F.col("tok").rlike(lexing.BLANK)).createOrReplaceTempView("audit_pieces")
+    return spark.sql("SELECT kind, count(*) AS n, round(sum(class_weight(kind)), 4) AS weight, round(max(s), 6) AS half FROM (SELECT token_class(tok) AS kind, sigmoid(0.5D) AS s FROM audit_pieces) GROUP BY kind")
+
+
+@registered()
+def neighbour_table(spark, sf_dir):
+    """The neighbour-calibrated baseline by slice and overall."""
+    rows = audit.neighbour_scores(audit.token_table(spark, sf_dir)).where("role = 'holdout'").select(*scores.BY, F.lit("neighbour").alias("method"), "score")
+    return metrics.auc(metrics.with_overall(rows), ("method", "slice"))
+
+
+@registered()
+def variability(spark, sf_dir):
+    """What the mask weighs in each slice beside the weighted score's AUC."""
+    table = audit.token_table(spark, sf_dir)
+    share = table.groupBy("slice").agg((F.sum(F.when(F.col("kind") != "boilerplate", F.col("weight"))) / F.sum("weight")).alias("human_share"), F.avg("weight").alias("mean_weight"))
+    area = metrics.auc(scores.long_form(audit.probability_scores(table).where("role = 'holdout'"), ("weighted_z",)), ("method", "slice"))
+    return area.join(share, "slice").select("slice", "auc", "human_share", "mean_weight")
