@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -32,6 +34,21 @@ def materialise(df: DataFrame, tag: str = "t") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def batch_rows(spark: SparkSession, rows: int) -> Iterator[None]:
+    """Within this block Arrow batches hold at most so many rows; what the session had set holds again afterwards.
+
+    For jobs that run within the block, such as ``materialise``.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(min(rows, int(before)) if int(before) > 0 else rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def lookup(big: DataFrame, small: DataFrame, on: list[str], how: str = "inner", salts: int = 64, rows: int = BROADCAST_ROWS) -> DataFrame:
     """``big`` joined to ``small`` (unique in ``on``, already materialised or cheap to count).
 
