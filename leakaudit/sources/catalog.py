@@ -74,6 +74,8 @@ def code_files(spark: SparkSession, uri: str) -> DataFrame:
 def write(df: DataFrame, uri: str, by: list[str] | None = None, mode: str = "overwrite", fmt: str = "parquet") -> None:
     """Writes ``df``, partitioned by ``by``; an overwrite then replaces the partitions that ``df`` has and no others."""
     writer = df.write.mode(mode).format(fmt)
+    if fmt == "csv":
+        writer = writer.option("header", True)
     if by:
         writer = writer.partitionBy(*by).option("partitionOverwriteMode", "dynamic")
     writer.save(uri)
