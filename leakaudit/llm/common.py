@@ -6,7 +6,8 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: The six characters that separate words (fixed value): blank, tab, line feed, vertical tab, form feed, carriage return.
 BLANKS = " \t\n\x0b\x0c\r"
@@ -36,3 +37,8 @@ def utf8(column: pa.Array) -> list[bytes]:
     """The values of a string column as bytes, null as empty."""
     kind = pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()
     return [x or b"" for x in column.cast(kind).to_pylist()]
+
+
+def packed(df: DataFrame) -> Column:
+    """All columns of ``df`` as one struct: whatever they are called, they can't clash with an operator's own."""
+    return F.struct(*[df["`" + c.replace("`", "``") + "`"] for c in df.columns])

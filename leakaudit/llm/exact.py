@@ -5,18 +5,21 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import BLANKS
+from leakaudit.llm.common import BLANKS, packed
 
 #: Salts of a digest group: a bit mask of a BIGINT remembers which ones occur.
 SALTS = 64
 #: Ranks pack (code points, doc_id) into one decimal, so that hash aggregation can take their maximum.
-SHIFT = F.lit(str(2**65)).cast("decimal(38,0)")
-TOP = F.lit(str(2**64)).cast("decimal(38,0)")
+SHIFT, TOP = 2**65, 2**64
+
+
+def _whole(n: int) -> Column:
+    return F.lit(str(n)).cast("decimal(38,0)")
 
 
 def _rank(chars: Column, doc_id: Column) -> Column:
     """Larger: more code points, then smaller doc_id; a null doc_id comes last."""
-    return chars.cast("decimal(12,0)") * SHIFT + F.coalesce(TOP - doc_id.cast("decimal(20,0)"), F.lit(0).cast("decimal(38,0)"))
+    return chars.cast("decimal(12,0)") * _whole(SHIFT) + F.coalesce(_whole(TOP) - doc_id.cast("decimal(20,0)"), _whole(0))
 
 
 def _digested(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
@@ -46,11 +49,11 @@ def groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
     one = whole.groupBy("_digest").agg(
         F.max("_rank").alias("_rank"), F.max("n").alias("group_size"), F.max("_mask").alias("_mask"), F.count(F.lit(1)).alias("_contents"))
     safe = F.when(F.col("_contents") == 1, F.col("group_size")).otherwise(F.raise_error(F.lit("one digest, two contents")).cast("long"))
-    low = F.col("_rank") % SHIFT
+    low = F.col("_rank") % _whole(SHIFT)
     return one.select(
         "_digest",
-        F.when(low > 0, (TOP - low).cast("decimal(20,0)").cast("long")).alias("keep_id"),
-        F.floor((F.col("_rank") - low) / SHIFT).cast("int").alias("keep_chars"),
+        F.when(low > 0, (_whole(TOP) - low).cast("decimal(20,0)").cast("long")).alias("keep_id"),
+        F.floor((F.col("_rank") - low) / _whole(SHIFT)).cast("int").alias("keep_chars"),
         safe.alias("group_size"),
         "_mask",
     )
@@ -78,8 +81,9 @@ def members(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Data
 
 def deduplicate(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns; exactly one of each group."""
-    stay = groups(docs, doc_id, text).select(F.col("keep_id").alias("_keep"), "_digest", F.col("keep_chars").alias("_n"))
-    content = F.translate(F.coalesce(F.col(text), F.lit("")), BLANKS, "")
-    found = docs.withColumn("_sha", F.unhex(F.sha2(content, 256))).withColumn("_chars", F.char_length(F.coalesce(F.col(text), F.lit(""))))
-    match = F.col(doc_id).cast("long").eqNullSafe(F.col("_keep")) & (F.col("_sha") == F.col("_digest")) & (F.col("_chars") == F.col("_n"))
-    return found.join(stay, match, "left_semi").dropDuplicates([doc_id, "_sha"]).select(*docs.columns)
+    stay = groups(docs, doc_id, text).select("keep_id", "_digest", "keep_chars")
+    whole = F.coalesce(F.col(text), F.lit(""))
+    found = docs.select(
+        packed(docs).alias("_row"), F.col(doc_id).cast("long").alias("_id"), F.unhex(F.sha2(F.translate(whole, BLANKS, ""), 256)).alias("_sha"), F.char_length(whole).alias("_chars"))
+    match = F.col("_id").eqNullSafe(F.col("keep_id")) & (F.col("_sha") == F.col("_digest")) & (F.col("_chars") == F.col("keep_chars"))
+    return found.join(stay, match, "left_semi").dropDuplicates(["_id", "_sha"]).select("_row.*")

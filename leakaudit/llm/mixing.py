@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from leakaudit.llm.common import WORD
+from leakaudit.llm.common import WORD, packed
 from leakaudit.runtime import lookup, materialise
 
 WEIGHTS = (5, 2, 1)
@@ -110,9 +110,9 @@ def _blocked(rows: DataFrame, sources: DataFrame, doc_id: str, seed: int) -> Dat
 
 
 def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_TIMES, shards: int = SHARDS, seed: int = 7) -> DataFrame:
-    """``docs`` with ``_size, _source_size, _target, _draws``: what the mix takes of each row.
+    """``row, size, source_size, target, draws, key``: each row of ``docs`` as a struct, and what the mix takes of it.
 
-    ``_draws`` lists (epoch, shard, words): the row is read so often, from that
+    ``draws`` lists (epoch, shard, words): the row is read so often, from that
     shard, whole or up to so many words. Every epoch deals a source's blocks in a
     new order; whole epochs come first, the last one ends in the block where the
     target is reached, and in that block at the document and word, so a source's
@@ -139,17 +139,18 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     dealt = tree.where("n > 0").select(F.col("idx").alias("_idx"), "shard", F.explode(F.expr("sequence(first + 1, first + n)")).alias("place"))
     blocks = drawn.join(dealt, ["_idx", "place"]).groupBy("_idx", "_block").agg(F.array_sort(F.collect_list(F.struct("epoch", "shard", F.when(F.col("take") < F.col("words"), F.col("take")).alias("take")))).alias("_takes"))
     blocks = materialise(blocks, "blocks")
-    full = docs.withColumn("_source", F.col(source).cast("string")).withColumn("_size", word_count(F.col(text).cast("string")))
-    rows = _blocked(full, keyed, doc_id, seed).join(blocks, ["_idx", "_block"], "left")
-    inner = Window.partitionBy("_idx", "_block").orderBy("_key", doc_id, "_size").rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("_before", F.coalesce(F.sum("_size").over(inner), F.lit(0).cast("long")))
-    part = lambda d: F.when(d["take"].isNull(), F.col("_size")).otherwise(F.greatest(F.lit(0).cast("long"), F.least(F.col("_size"), d["take"] - F.col("_before"))))
+    full = docs.select(packed(docs).alias("row"), F.col(doc_id).alias("_id"), F.col(source).cast("string").alias("_source"), word_count(F.col(text).cast("string")).alias("size"))
+    rows = _blocked(full, keyed, "_id", seed).join(blocks, ["_idx", "_block"], "left")
+    inner = Window.partitionBy("_idx", "_block").orderBy("_key", "_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    rows = rows.withColumn("_before", F.coalesce(F.sum("size").over(inner), F.lit(0).cast("long")))
+    part = lambda d: F.when(d["take"].isNull(), F.col("size")).otherwise(F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), d["take"] - F.col("_before"))))
     draws = F.filter(F.transform(F.coalesce("_takes", F.array().cast("array<struct<epoch:bigint,shard:int,take:bigint>>")), lambda d: F.struct(d["epoch"].alias("epoch"), d["shard"].alias("shard"), part(d).alias("words"))), lambda d: d["words"] > 0)
-    return rows.select(*[F.col(c) for c in docs.columns], "_size", "_source_size", "_target", draws.alias("_draws"), "_key")
+    return rows.select("row", "size", F.col("_source_size").alias("source_size"), F.col("_target").alias("target"), draws.alias("draws"), F.col("_key").alias("key"))
 
 
 def mixed_rows(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: each drawn row of ``docs`` as often as it is read, with ``_shard, _epoch, _words``, shuffled within its shard."""
-    out = mix(docs, **options).withColumn("_d", F.explode("_draws"))
-    out = out.select(*docs.columns, F.col("_d.shard").alias("_shard"), F.col("_d.epoch").alias("_epoch"), F.col("_d.words").alias("_words"), F.xxhash64(F.lit(11), "_d.shard", "_d.epoch", "_key").alias("_order"))
-    return out.repartition("_shard").sortWithinPartitions("_shard", "_order").drop("_order")
+    """The mix itself: ``row`` (a struct) as often as it is drawn, with ``shard, epoch, words``, shuffled within its shard."""
+    out = mix(docs, **options).withColumn("d", F.explode("draws"))
+    order = F.xxhash64(F.lit(11), "d.shard", "d.epoch", "key")
+    out = out.select("row", F.col("d.shard").alias("shard"), F.col("d.epoch").alias("epoch"), F.col("d.words").alias("words"), order.alias("order"))
+    return out.repartition("shard").sortWithinPartitions("shard", "order").drop("order")

@@ -16,8 +16,8 @@ from leakaudit.llm.sparse import held_out
 
 def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = mixing.mix(documents(spark, sf_dir).select("doc_id", "text", "source"))
-    taken = F.aggregate("_draws", F.lit(0).cast("long"), lambda a, d: a + d["words"])
-    return rows.select("doc_id", F.col("_size").alias("size"), F.col("_source_size").alias("source_size"), F.col("_target").alias("target"), taken.alias("taken"), F.col("_draws.shard").alias("shards"))
+    taken = F.aggregate("draws", F.lit(0).cast("long"), lambda a, d: a + d["words"])
+    return rows.select("row.doc_id", "size", "source_size", "target", taken.alias("taken"), F.col("draws.shard").alias("shards"))
 
 
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

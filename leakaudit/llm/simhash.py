@@ -10,9 +10,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import pieces, utf8
+from leakaudit.llm.common import packed, pieces, utf8
 from leakaudit.operators.components import connected_components
-from leakaudit.runtime import materialise
+from leakaudit.runtime import batch_rows, materialise
 
 SHINGLE = 4
 MOST_BITS = 4
@@ -211,7 +211,8 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shi
     any other. A null doc_id never names a component unless all its ids are null.
     Repeated rows each get their row. No rows: none.
     """
-    rows = materialise(fingerprints(docs, doc_id, text, shingle), "fps")
+    with batch_rows(docs.sparkSession, 2000):
+        rows = materialise(fingerprints(docs, doc_id, text, shingle), "fps")
     names = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("low")), "distinct")
     found = connected_components(edges(names.select("fp"), bits))
     joined = names.join(found, names["fp"] == found["node"], "left").select("fp", "low", F.coalesce("component", "fp").alias("root"))
@@ -223,4 +224,5 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shi
 def keep_one(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of ``docs`` that stay: of each group the one that names it, once even if its row is repeated."""
     stay = near_groups(docs, doc_id, text).where("doc_id <=> component_id").select(F.col("doc_id").alias("_keep")).distinct()
-    return docs.join(stay, F.col(doc_id).cast("long").eqNullSafe(F.col("_keep")), "left_semi").dropDuplicates([doc_id])
+    rows = docs.select(packed(docs).alias("_row"), F.col(doc_id).cast("long").alias("_id"))
+    return rows.join(stay, F.col("_id").eqNullSafe(F.col("_keep")), "left_semi").dropDuplicates(["_id"]).select("_row.*")

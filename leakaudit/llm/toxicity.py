@@ -10,8 +10,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from leakaudit.llm.common import pieces, utf8
+from leakaudit.llm.common import packed, pieces, utf8
 from leakaudit.llm.sparse import FOLDS, MOST_LABELLED, Linear, Rows, fit_in_task, fit_linear, labelled_sample, telling
 
 SLOTS = 1 << 18
@@ -77,26 +78,37 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int =
     return pickle.loads(fit_in_task(labelled_sample(docs, labels, label, most), features, _fit))
 
 
-def classify(docs: DataFrame, chain: list[Linear], doc_id: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """``docs`` with ``p_insult, p_contempt, p_unlisted, p_toxic`` and ``rejected``, row by row. Null and empty texts hold no word and are kept; no rows give none."""
-    blob, columns = pickle.dumps(chain), [F.col(c) for c in docs.columns]
-    names = [f"p_{c}" for c in CHAIN]
-    schema = docs.select(*columns).schema
+NAMES = tuple(f"p_{c}" for c in CHAIN)
+
+
+def _scored(docs: DataFrame, chain: list[Linear], text: str, threshold: float) -> DataFrame:
+    """``row`` (all columns as a struct), the chain's probabilities and ``rejected``; a text without a word is never rejected."""
+    blob = pickle.dumps(chain)
+    rows = docs.select(packed(docs).alias("row"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         models = pickle.loads(blob)
-        for part in pieces(batches, "_text", 4 << 20):
-            rows = Rows.of([features(x)[:2] for x in utf8(part.column("_text"))])
-            p = predict_chain(models, rows)
-            keep = [c for c in part.schema.names if c != "_text"]
-            yield pa.RecordBatch.from_arrays([*(part.column(c) for c in keep), *(pa.array(p[:, k], pa.float64()) for k in range(len(names)))], [*keep, *names])
+        for part in pieces(batches, "text", 4 << 20):
+            found = [features(x)[:2] for x in utf8(part.column("text"))]
+            p = predict_chain(models, Rows.of(found))
+            any_word = np.array([len(i) > 0 for i, _ in found])
+            yield pa.RecordBatch.from_arrays([part.column("row"), *(pa.array(p[:, k], pa.float64()) for k in range(len(NAMES))), pa.array((p[:, -1] >= threshold) & any_word)], ["row", *NAMES, "rejected"])
+
+    kind = T.StructType([rows.schema["row"], *(T.StructField(n, T.DoubleType()) for n in NAMES), T.StructField("rejected", T.BooleanType())])
+    return rows.mapInArrow(run, kind)
 
-    out = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in schema), *(f"{n} double" for n in names)])
-    scored = docs.select(*columns, F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text")).mapInArrow(run, out)
-    return scored.withColumn("rejected", (F.col("p_toxic") >= threshold) & (F.length(F.trim(F.coalesce(F.col(text), F.lit("")))) > 0) if text in docs.columns else F.col("p_toxic") >= threshold)
+
+def classify(docs: DataFrame, chain: list[Linear], text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """``docs`` with ``p_insult, p_contempt, p_unlisted, p_toxic`` and ``rejected``, row by row.
+
+    Columns of ``docs`` that bear one of these names give way. Null and empty texts
+    hold no word and are kept; no rows give none.
+    """
+    own = (*NAMES, "rejected")
+    return _scored(docs, chain, text, threshold).select(*[F.col("row")[c].alias(c) for c in docs.columns if c not in own], *own)
 
 
-def keep_clean(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", source: DataFrame | None = None) -> DataFrame:
+def keep_clean(docs: DataFrame, labels: DataFrame, text: str = "text", source: DataFrame | None = None) -> DataFrame:
     """The rows of ``docs`` that the chain, learnt from ``source`` (``docs`` if none), doesn't reject."""
     chain = train(docs if source is None else source, labels)
-    return classify(docs, chain, doc_id, text).where(~F.col("rejected")).select(*docs.columns)
+    return _scored(docs, chain, text, THRESHOLD).where(~F.col("rejected")).select("row.*")
