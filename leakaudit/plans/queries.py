@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from leakaudit.functions import lexing
 from leakaudit.functions.weights import DEFAULT, Scheme
-from leakaudit.operators import activation, around, mask, metrics, probe, scores, splits, target, tokens
+from leakaudit.operators import activation, around, costs, dense, mask, metrics, probe, scores, splits, target, tokens
 from leakaudit.plans import audit, oracles
 from leakaudit.plans.audit import Config
 from leakaudit.runtime import materialise
@@ -714,3 +714,104 @@ def variability(spark, sf_dir):
     share = table.groupBy("slice").agg((F.sum(F.when(F.col("kind") != "boilerplate", F.col("weight"))) / F.sum("weight")).alias("human_share"), F.avg("weight").alias("mean_weight"))
     area = metrics.auc(scores.long_form(audit.probability_scores(table).where("role = 'holdout'"), ("weighted_z",)), ("method", "slice"))
     return area.join(share, "slice").select("slice", "auc", "human_share", "mean_weight")
+
+
+# --- further variants ---------------------------------------------------------
+
+MOMENTS = {"weighted_z": f"sum(weight * {oracles.SIG}) / sum(weight)", "weighted_z_model": "sum(weight / (1 + exp(-z_model))) / sum(weight)", "weighted_z_max": f"sum(weight * {oracles.SIG}) / max(weight) / count(*)"}
+
+
+@registered(f"WITH {CHAIN}, scr AS (" + " UNION ALL ".join(f"SELECT sample_id, slice, is_member, '{n}' AS method, {e} AS score FROM sts WHERE role = 'holdout' GROUP BY ALL" for n, e in MOMENTS.items()) + f") {oracles.area('scr', 'method')}")
+def ablation_moments(spark, sf_dir):
+    """Z against the vocabulary alike or weighted by the model; weights over their sum or their maximum."""
+    rows = audit.probability_scores(audit.token_table(spark, sf_dir)).where("role = 'holdout'")
+    return metrics.auc(scores.long_form(rows, tuple(MOMENTS)))
+
+
+@registered(f"WITH {oracles.scored(unique=False)} SELECT * FROM ({oracles.area('scr', 'method')}) WHERE method IN ('loss', 'weighted_z')")
+def ablation_copies(spark, sf_dir):
+    """All copies of a text kept: repetition raises what the target remembers."""
+    table = audit.token_table(spark, sf_dir, unique=False)
+    return metrics.auc(scores.long_form(audit.probability_scores(table).where("role = 'holdout'"), ("loss", "weighted_z")))
+
+
+@registered()
+def ablation_projection(spark, sf_dir):
+    """Weights projected to tokens by the largest and by the mean over characters, on pages."""
+    some = catalog.samples(spark, sf_dir, "pages")
+    table = audit.token_table(spark, sf_dir, "pages")
+    own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
+    plain = tokens.tokens(some, "html", tokens.lexicon(_documents(spark, sf_dir)), own)
+    mean = mask.project_mean(plain, mask.runs(tokens.spans(some, "html")))
+    by_mean = materialise(table.drop("weight").join(mean, ["sample_id", "pos"]), "mean")
+    one = lambda t, name: scores.long_form(audit.probability_scores(t).where("role = 'holdout'"), ("weighted_z",)).withColumn("method", F.lit(name))
+    return metrics.auc(one(table, "max").union(one(by_mean, "mean")))
+
+
+CONV = """SELECT conv_id AS sample_id, 'conversation' AS slice, string_agg(text, chr(10) ORDER BY turn) AS text FROM conversations GROUP BY conv_id"""
+
+
+@registered(f"WITH c AS ({CONV}), p AS (SELECT sample_id, unnest(regexp_extract_all(text, {oracles.q(lexing.PIECE)})) AS tok FROM c) SELECT sample_id, count(*) AS n_tokens, count(DISTINCT lower(tok)) AS n_distinct FROM p WHERE NOT regexp_matches(tok, '^\\s+$') GROUP BY 1")
+def conversation_joined(spark, sf_dir):
+    """Whole conversations as samples: their turns in order; a conversation's turns are few."""
+    rows = catalog.table(spark, sf_dir, "conversations").groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", "text"))).alias("t"))
+    some = rows.select(F.col("conv_id").alias("sample_id"), F.lit("conversation").alias("slice"), F.array_join("t.text", "\n").alias("text"))
+    return tokens.tokens(some).groupBy("sample_id").agg(F.count(F.lit(1)).alias("n_tokens"), F.count_distinct("key").alias("n_distinct"))
+
+
+@registered()
+def dense_target_scores(spark, sf_dir):
+    """The numpy target on a slice: real hidden layers, all from one pass."""
+    table = audit.token_table(spark, sf_dir).where("slice = 'es'")
+    made = dense.train(table, most=20, width=16, layers=4, size=256)
+    stats = dense.forward(table, made).where("layer = 0").select("sample_id", F.col("pos").alias("t"), "logp", "z")
+    joined = stats.join(table.select("sample_id", "t", "slice", "is_member", "role", "weight"), ["sample_id", "t"])
+    return joined.groupBy(*scores.BY).agg(F.avg("logp").alias("loss"), (F.sum(F.col("weight") * scores.sigmoid(F.col("z"))) / F.sum("weight")).alias("weighted_z"))
+
+
+@registered()
+def parser_spans_html(spark, sf_dir):
+    """Spans of pages by a real lexer, through the table function (needs Pygments)."""
+    from leakaudit.functions import surface
+
+    surface.register(spark)
+    catalog.samples(spark, sf_dir, "pages").createOrReplaceTempView("audit_pages")
+    return spark.sql("SELECT p.sample_id, s.kind, s.start, s.stop FROM audit_pages p, LATERAL lex_spans(p.text, 'html') s")
+
+
+@registered()
+def audit_costs(spark, sf_dir):
+    """Rows, seconds and projected hours of each stage of the weighted Z-score."""
+    table = audit.token_table(spark, sf_dir)
+    return costs.timed({"read": lambda: _documents(spark, sf_dir), "tokens": lambda: table, "forward": lambda: audit.model_stats(table), "score": lambda: audit.probability_scores(table)})
+
+
+@registered()
+def sketches(spark, sf_dir):
+    """Bounded-state summaries of the scores: quantiles by sketch, distinct counts by sketch."""
+    rows = _holdout(spark, sf_dir)
+    return rows.groupBy("method").agg(F.percentile_approx("score", [0.05, 0.5, 0.95], 1000).alias("quantiles"), F.approx_count_distinct("sample_id", 0.02).alias("samples"), F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("score"), F.lit(0.5)).alias("median"))
+
+
+@registered("""WITH RECURSIVE t AS (SELECT 1 AS level, 1::BIGINT AS width UNION ALL SELECT level + 1, width * 2 FROM t WHERE level < 12)
+SELECT level, width, count(doc_id) AS n FROM t LEFT JOIN documents d ON d.n_chars BETWEEN t.width * 16 AND t.width * 32 - 1 GROUP BY ALL""")
+def recursive_length_bins(spark, sf_dir):
+    """A recursive query makes the bins, a range join fills them."""
+    catalog.table(spark, sf_dir, "documents").select("doc_id", "n_chars").createOrReplaceTempView("audit_lengths")
+    return spark.sql("""WITH RECURSIVE t(level, width) AS (SELECT 1, 1L UNION ALL SELECT level + 1, width * 2 FROM t WHERE level < 12)
+SELECT level, width, count(doc_id) AS n FROM t LEFT JOIN audit_lengths d ON d.n_chars BETWEEN t.width * 16 AND t.width * 32 - 1 GROUP BY level, width""")
+
+
+@registered("SELECT p.p_brand AS brand, count(*) AS n, round(avg(l.l_quantity), 4) AS mean FROM part p, LATERAL (SELECT l_quantity FROM lineitem WHERE l_partkey = p.p_partkey AND l_quantity > p.p_size) l GROUP BY 1")
+def lateral_scope(spark, sf_dir):
+    """A lateral join: the lines of each part whose quantity exceeds its size."""
+    p, l = catalog.table(spark, sf_dir, "part"), catalog.table(spark, sf_dir, "lineitem")  # noqa: E741
+    lines = l.where((F.col("l_partkey") == F.col("p_partkey").outer()) & (F.col("l_quantity") > F.col("p_size").outer())).select("l_quantity")
+    return p.lateralJoin(lines).groupBy(F.col("p_brand").alias("brand")).agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("l_quantity"), 4).alias("mean"))
+
+
+@registered("SELECT s_suppkey AS supplier, s_name AS name, n_name AS nation FROM supplier JOIN nation ON s_nationkey = n_nationkey WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_suppkey = s_suppkey AND l_returnflag = 'R' AND l_quantity > 45)")
+def anti_join_scope(spark, sf_dir):
+    t = lambda n: catalog.table(spark, sf_dir, n)
+    back = t("lineitem").where("l_returnflag = 'R' and l_quantity > 45").select(F.col("l_suppkey").alias("s_suppkey"))
+    return t("supplier").join(back, "s_suppkey", "left_anti").join(F.broadcast(t("nation")), F.col("s_nationkey") == F.col("n_nationkey")).select(F.col("s_suppkey").alias("supplier"), F.col("s_name").alias("name"), F.col("n_name").alias("nation"))
