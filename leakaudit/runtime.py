@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
+import os
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -14,6 +17,19 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 100_000
 
 
+#: Folders of the tables written by this driver.
+_WRITTEN: list[str] = []
+
+
+@atexit.register
+def _forget() -> None:
+    """When the driver ends, local copies of its intermediate tables go; on another file system they are left to its own rules."""
+    for path in _WRITTEN:
+        local = path.removeprefix("file://")
+        if os.path.isdir(local):
+            shutil.rmtree(local, ignore_errors=True)
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder every executor can reach: ``spark.checkpoint.dir``, set here only when the session has none."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
@@ -31,6 +47,7 @@ def materialise(df: DataFrame, tag: str = "t") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/leakaudit/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _WRITTEN.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
