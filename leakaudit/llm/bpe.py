@@ -17,7 +17,8 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.runtime import materialise
+from leakaudit.llm.common import lean, trim
+from leakaudit.runtime import batch_rows, materialise
 
 #: A byte-level tokenizer's word rule (fixed value), with white space as Unicode has it.
 SPLIT = (
@@ -26,6 +27,8 @@ SPLIT = (
 )
 #: Words of about so many bytes make a block, the unit within which positions are joined back.
 BLOCK_BYTES = 16 << 20
+#: Documents that reach the block builder at once.
+BATCH = 1000
 #: Words are dealt to so many parts by a hash at most; each part encodes its distinct words.
 MOST_PARTS = 4096
 
@@ -78,7 +81,7 @@ ONE, TWO, THREE = 128, 64 * 256, 63 * 65536
 
 def _pack(values: np.ndarray) -> bytes:
     """Non-negative integers in one to three bytes, each byte's place in a row of its own: frequent small ones compress best so."""
-    v = values.astype(np.int64)
+    v = values.astype(np.int64 if len(values) and int(values.max()) >= 2**31 else np.int32)
     two, three, whole = v >= ONE, v >= ONE + TWO, v >= ONE + TWO + THREE
     mid, high = v - ONE, v - ONE - TWO
     lead = np.where(whole, 255, np.where(three, 192 + (high >> 16), np.where(two, 128 + (mid >> 8), v))).astype(np.uint8)
@@ -91,7 +94,7 @@ def _unpack(raw: bytes, at: int = 0) -> tuple[np.ndarray, int]:
     sizes, rows = struct.unpack_from("<IIII", raw, at), []
     at += 16
     for n, kind in zip(sizes, ("u1", "u1", "u1", "<u4"), strict=True):
-        rows.append(np.frombuffer(raw, kind, n, at).astype(np.int64))
+        rows.append(np.frombuffer(raw, kind, n, at).astype(np.int64 if sizes[3] else np.int32))
         at += n * np.dtype(kind).itemsize
     out, second, third, large = rows
     two, three, whole = out >= 128, out >= 192, out == 255
@@ -111,49 +114,73 @@ def _rows(rows: list[tuple[str, int, bytes]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(block, pa.string()), pa.array(part, pa.int32()), pa.array(payload, pa.binary())], _NAMES)
 
 
-def _to_blocks(parts: int) -> Callable:
-    """(doc_id, words) -> per block the documents' word codes (part -1), and its distinct words by part."""
+class _Block:
+    """A block in the making: its distinct words so far, and per document the numbers of its words."""
 
-    def one(ids: pa.Array, lists: pa.Array) -> pa.RecordBatch:
-        press = zstandard.ZstdCompressor(level=6)
-        lengths = pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False).astype("<u4")
+    def __init__(self) -> None:
+        self.names: dict[bytes, int] = {}
+        self.docs: list[pa.Array] = []
+        self.sizes: list[np.ndarray] = []
+        self.words: list[np.ndarray] = []
+        self.held = 0
+
+    def add(self, ids: pa.Array, lists: pa.Array, size: int) -> None:
         coded = lists.flatten().dictionary_encode()
-        if isinstance(coded, pa.ChunkedArray):
-            coded = coded.combine_chunks()
-        known = coded.dictionary.cast(pa.binary() if coded.dictionary.type == pa.string() else pa.large_binary()).to_pylist()
-        part = np.fromiter((zlib.crc32(w) % parts for w in known), np.int64, len(known))
-        index = coded.indices.to_numpy(zero_copy_only=False)
+        names = self.names
+        known = [names.setdefault(w, len(names)) for w in coded.dictionary.cast(pa.binary()).to_pylist()]
+        self.docs.append(ids)
+        self.sizes.append(pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False).astype("<u4"))
+        self.words.append(np.array(known, np.int32)[coded.indices.to_numpy(zero_copy_only=False)])
+        self.held += size
+
+    def close(self, parts: int) -> pa.RecordBatch:
+        """The rows of the block: codes and sizes (part -1), then the distinct words of each part."""
+        press, known = zstandard.ZstdCompressor(level=6), list(self.names)
+        part = np.fromiter((zlib.crc32(w) % parts for w in known), np.int32, len(known))
+        count = np.zeros(len(known), np.int64)
+        for w in self.words:
+            count += np.bincount(w, minlength=len(known))
         # a code is (rank by frequency in its part) * parts + part: frequent words have small codes, which compress well
-        order = np.lexsort((-np.bincount(index, minlength=len(known)), part))
+        order = np.lexsort((-count, part))
         bounds = np.searchsorted(part[order], np.arange(parts + 1))
-        code = np.empty(len(known), np.int64)
+        code = np.empty(len(known), np.int32)
         code[order] = (np.arange(len(known)) - bounds[part[order]]) * parts + part[order]
-        codes = code[index] if len(known) else np.zeros(0, np.int64)
         head = pa.BufferOutputStream()
         with pa.ipc.new_stream(head, pa.schema([("doc_id", pa.int64())])) as to:
-            to.write_batch(pa.RecordBatch.from_arrays([ids.cast(pa.int64())], ["doc_id"]))
+            to.write_batch(pa.RecordBatch.from_arrays([pa.concat_arrays([d.cast(pa.int64()) for d in self.docs])], ["doc_id"]))
         head = head.getvalue().to_pybytes()
-        body = struct.pack("<II", len(head), parts) + head + lengths.tobytes() + _pack(codes)
+        body = [struct.pack("<III", len(head), parts, len(self.words)), head, np.concatenate(self.sizes).tobytes(), *(_pack(code[w]) for w in self.words)]
         name = uuid.uuid4().hex
-        rows = [(name, -1, press.compress(body))]
+        rows = [(name, -1, press.compress(b"".join(body)))]
         for p in np.flatnonzero(np.diff(bounds)).tolist():
             rows.append((name, p, press.compress(b"\xff".join(known[i] for i in order[bounds[p] : bounds[p + 1]].tolist()))))
         return _rows(rows)
 
+
+def _to_blocks(parts: int) -> Callable:
+    """(doc_id, words) -> per block the documents' word codes (part -1), and its distinct words by part."""
+
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block = _Block()
         for batch in batches:
             if not batch.num_rows:
                 continue
             lists = batch.column("words")
-            offsets = lists.offsets.to_numpy()
-            each = lists.values.offsets.to_numpy() if hasattr(lists.values, "offsets") else np.frombuffer(lists.values.buffers()[1], np.int32)[lists.values.offset :]
-            ends = each[offsets[1:]]
+            each = np.frombuffer(lists.values.buffers()[1] or bytes(4), np.int32)[lists.values.offset :]
+            ends = each[lists.offsets.to_numpy()]
             at = 0
             while at < batch.num_rows:
-                start = each[offsets[at]]
-                to = max(at + 1, int(np.searchsorted(ends, start + BLOCK_BYTES, "right")))
-                yield one(batch.column("doc_id").slice(at, to - at), lists.slice(at, to - at))
+                # a block is closed once it is full; a document is never cut
+                to = max(at + 1, int(np.searchsorted(ends, ends[at] + BLOCK_BYTES - block.held, "right")) - 1)
+                block.add(batch.column("doc_id").slice(at, to - at), lists.slice(at, to - at), int(ends[to] - ends[at]))
+                if to < batch.num_rows or block.held >= BLOCK_BYTES:
+                    yield block.close(parts)
+                    block = _Block()
+                    trim()
                 at = to
+        if block.docs:
+            yield block.close(parts)
 
     return run
 
@@ -161,6 +188,7 @@ def _to_blocks(parts: int) -> Callable:
 def _encode_parts(vocabulary: Vocabulary) -> Callable:
     """Blocks' words sorted by part -> their ids in the same order; each distinct word of a part is encoded once."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, press, open_ = vocabulary.encoder(), zstandard.ZstdCompressor(level=6), zstandard.ZstdDecompressor()
         part, known = -1, {}
@@ -184,17 +212,22 @@ def _encode_parts(vocabulary: Vocabulary) -> Callable:
 def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
     """Rows sorted by (block, part): the codes, then each part's ids -> ``finish(doc_ids, stream, bounds)`` in slices of documents."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_ = zstandard.ZstdDecompressor()
         name, body, parts = None, b"", []
 
         def done() -> Iterator[pa.RecordBatch]:
-            n_head, n_parts = struct.unpack_from("<II", body)
-            at = 8 + n_head
-            doc_ids = pa.ipc.open_stream(body[8:at]).read_all().column("doc_id").combine_chunks()
+            n_head, n_parts, n_chunks = struct.unpack_from("<III", body)
+            at = 12 + n_head
+            doc_ids = pa.ipc.open_stream(body[12:at]).read_all().column("doc_id").combine_chunks()
             n_docs = len(doc_ids)
             ends = np.cumsum(np.frombuffer(body, "<u4", n_docs, at), dtype=np.int64)
-            codes, _ = _unpack(body, at + 4 * n_docs)
+            codes, at = [np.zeros(0, np.int32)], at + 4 * n_docs
+            for _ in range(n_chunks):
+                more, at = _unpack(body, at)
+                codes.append(more)
+            codes = np.concatenate(codes)
             counts, flat, before, words = [np.zeros(0, np.int64)], [np.zeros(0, np.uint32)], np.zeros(n_parts, np.int64), 0
             for p, raw in parts:
                 sizes, at = _unpack(raw)
@@ -203,12 +236,12 @@ def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
                 flat.append(_unpack(raw, at)[0].astype(np.uint32))
             count, flat = np.concatenate(counts), np.concatenate(flat)
             first = np.cumsum(count) - count
-            step, doc = 1 << 19, 0
+            step, doc = 1 << 17, 0
             while doc < n_docs:
                 start = int(ends[doc - 1]) if doc else 0
                 to = max(doc + 1, int(np.searchsorted(ends, start + step, "right")))
                 some = codes[start : int(ends[to - 1])]
-                some = before[some % n_parts] + some // n_parts
+                some = before[some % n_parts] + some // n_parts  # the word's place among the block's
                 n = count[some]
                 upto = np.cumsum(n)
                 total = int(upto[-1]) if len(n) else 0
@@ -239,7 +272,8 @@ def _joined(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) ->
     spark = docs.sparkSession
     parts = min(MOST_PARTS, int(spark.conf.get("spark.sql.shuffle.partitions")))
     split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), words(F.col(text), vocabulary.specials).alias("words"))
-    blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
+    with batch_rows(spark, BATCH):
+        blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
     ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
     return blocks.where("part < 0").union(ids).repartition("block").sortWithinPartitions("block", "part")
 
@@ -270,6 +304,7 @@ def decode(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", i
     """``doc_id, text``: every id replaced by its piece (a join with the vocabulary, whose size is fixed). Null ids give an empty text."""
     pieces = vocabulary.pieces()
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = [_text(pieces, x or []).decode() for x in batch.column("ids").to_pylist()]

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import pieces
+from leakaudit.llm.common import lean, pieces
 
 KINDS = ("email", "ip", "card", "phone")
 #: The base patterns (fixed values), in forms that take linear time: a match starts where its run starts.
@@ -193,6 +193,7 @@ def fit_classifier(patterns: dict, tables: dict[str, np.ndarray], rounds: int =
 def survey(docs: DataFrame, text: str = "text") -> dict[tuple[str, tuple[int, ...], int], int]:
     """How often each (kind, votes, length bin) occurs among the candidates of all texts: 5 * 3**5 * 8 rows at most reach the driver."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: Counter = Counter()
         for part in pieces(batches, "text"):
@@ -219,6 +220,7 @@ def find(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold:
     patterns = survey(docs, text)
     weights = fit_classifier(patterns, estimate(patterns))
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         span = pa.struct([("kind", pa.string()), ("start", pa.int32()), ("stop", pa.int32())])
         for part in pieces(batches, "text"):

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import pieces, utf8
+from leakaudit.llm.common import lean, pieces, utf8
 from leakaudit.llm.sparse import MOST_LABELLED, Machine, Rows, fit_in_task, fit_machine, held_out, labelled_sample
 
 SLOTS = 1 << 16
@@ -66,6 +66,7 @@ def score(docs: DataFrame, model: Machine, doc_id: str = "doc_id", text: str = "
     """``doc_id, held_out, score, predicted`` of every row. Null texts score as empty ones, repeated rows alike; no rows give none."""
     blob = pickle.dumps(model)
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         machine = pickle.loads(blob)
         for part in pieces(batches, "text", 2 << 20):

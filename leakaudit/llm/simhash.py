@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import packed, pieces, utf8
+from leakaudit.llm.common import lean, packed, pieces, utf8
 from leakaudit.operators.components import connected_components
 from leakaudit.runtime import batch_rows, materialise
 
@@ -47,6 +47,7 @@ def fingerprint(words: list[bytes], shingle: int = SHINGLE) -> int:
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE) -> DataFrame:
     """``doc_id, fp`` (signed 64 bits) of every row; ASCII capitals are lowered, a null text has no words."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
             found = np.array([fingerprint(x.lower().split(), shingle) for x in utf8(part.column("text"))], np.uint64)
@@ -135,6 +136,7 @@ SCHEMA = "kind int, a long, b long"
 def _scan(bits: int, chunk: int):
     """Rows sorted by (key, pair) -> edges (kind 0), or the members of a bucket of over ``chunk`` (kind 1: key, fingerprint)."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
 

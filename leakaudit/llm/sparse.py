@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import pieces, utf8
+from leakaudit.llm.common import lean, pieces, utf8
 
 #: Labelled rows that a model is fitted on, the bound of the sample.
 MOST_LABELLED = 8_000
@@ -169,6 +169,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int =
 def fit_in_task(sample: DataFrame, extract: Callable[[bytes], tuple], fit: Callable[[list, list[int]], bytes]) -> bytes:
     """Features are taken where the rows are; one task fits the bounded sample; the model's bytes come back."""
 
+    @lean
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
             found = [extract(x) for x in utf8(part.column("text"))]
@@ -176,6 +177,7 @@ def fit_in_task(sample: DataFrame, extract: Callable[[bytes], tuple], fit: Calla
                 [part.column("doc_id"), part.column("label"), *(pa.array([x[k] for x in found], pa.list_(kind)) for k, kind in enumerate((pa.int32(), pa.float32(), pa.int32())))],
                 ["doc_id", "label", "index", "value", "extra"])
 
+    @lean
     def train(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows, label, seen = [], [], []
         for b in batches:

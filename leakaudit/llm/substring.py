@@ -12,7 +12,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from leakaudit.llm.common import pieces, utf8
+from leakaudit.llm.common import lean, pieces, utf8
 from leakaudit.llm.fm import Index, matching_statistics
 from leakaudit.runtime import materialise
 
@@ -67,6 +67,7 @@ _PASS = "did long, th long, doc_id long, n_words long, sha string, anchor array<
 
 
 def _survey(window: int):
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
             count, sha, found = [], [], []
@@ -84,6 +85,7 @@ def _survey(window: int):
 def _spans(window: int, whole: bool):
     """Documents with their repeated anchors' spans -> one row per span: its place, and its words or only their hashes."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text", 2 << 20):
             rows: list[tuple] = []
@@ -149,6 +151,7 @@ _RUNS = "anchor long, c1 long, c2 long, at int, n int, least long"
 def _search(window: int):
     """Rows sorted by shard -> runs of windows with their least document; one index a shard."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
@@ -181,6 +184,7 @@ def _search(window: int):
 def _strike(window: int):
     """Candidate documents with the runs of windows to remove -> counts and the digest of what is kept."""
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
             out = []

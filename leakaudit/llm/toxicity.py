@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from leakaudit.llm.common import packed, pieces, utf8
+from leakaudit.llm.common import lean, packed, pieces, utf8
 from leakaudit.llm.sparse import FOLDS, MOST_LABELLED, Linear, Rows, fit_in_task, fit_linear, labelled_sample, telling
 
 SLOTS = 1 << 18
@@ -86,6 +86,7 @@ def _scored(docs: DataFrame, chain: list[Linear], text: str, threshold: float) -
     blob = pickle.dumps(chain)
     rows = docs.select(packed(docs).alias("row"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
 
+    @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         models = pickle.loads(blob)
         for part in pieces(batches, "text", 4 << 20):
