@@ -16,7 +16,8 @@ SHARE = 1.5
 MOST_TIMES = 2
 #: A block aims at so many words and documents; a source has at most 2**16 blocks, so its block table stays small.
 BLOCK_WORDS, BLOCK_DOCS, MOST_BLOCKS_LOG2 = 32768, 256, 16
-SHARDS = 16
+#: Output shards: as many as give each some blocks, a power of two between these bounds.
+BLOCKS_PER_SHARD, SHARDS, MOST_SHARDS = 16, 16, 4096
 
 
 def word_count(text: Column) -> Column:
@@ -109,8 +110,8 @@ def _blocked(rows: DataFrame, sources: DataFrame, doc_id: str, seed: int) -> Dat
     return known.withColumn("_block", key.bitwiseAND(F.col("_blocks") - 1)).withColumn("_key", F.xxhash64(F.lit(seed + 1), F.col(doc_id)))
 
 
-def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_TIMES, shards: int = SHARDS, seed: int = 7) -> DataFrame:
-    """``row, size, source_size, target, draws, key``: each row of ``docs`` as a struct, and what the mix takes of it.
+def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_TIMES, shards: int | None = None, seed: int = 7, keep: list[str] | None = None) -> DataFrame:
+    """``row, size, source_size, target, draws, key``: each row of ``docs`` as a struct (of the columns ``keep``, or all), and what the mix takes of it.
 
     ``draws`` lists (epoch, shard, words): the row is read so often, from that
     shard, whole or up to so many words. Every epoch deals a source's blocks in a
@@ -135,11 +136,13 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     drawn = turns.withColumn("take", F.least(F.col("words"), left)).where("take > 0")
     place = Window.partitionBy("_idx").orderBy("epoch", "rank")
     drawn = materialise(drawn.withColumn("place", F.row_number().over(place).cast("long")).select("_idx", "_block", "epoch", "place", "take", "words"), "draws")
+    if shards is None:
+        shards = min(MOST_SHARDS, max(SHARDS, 1 << math.ceil(math.log2(max(1, drawn.count() / BLOCKS_PER_SHARD)))))
     tree = splitting_tree(drawn.groupBy(F.col("_idx").alias("idx")).agg(F.count(F.lit(1)).alias("quota")), shards, seed)
     dealt = tree.where("n > 0").select(F.col("idx").alias("_idx"), "shard", F.explode(F.expr("sequence(first + 1, first + n)")).alias("place"))
     blocks = drawn.join(dealt, ["_idx", "place"]).groupBy("_idx", "_block").agg(F.array_sort(F.collect_list(F.struct("epoch", "shard", F.when(F.col("take") < F.col("words"), F.col("take")).alias("take")))).alias("_takes"))
     blocks = materialise(blocks, "blocks")
-    full = docs.select(packed(docs).alias("row"), F.col(doc_id).alias("_id"), F.col(source).cast("string").alias("_source"), word_count(F.col(text).cast("string")).alias("size"))
+    full = docs.select((packed(docs) if keep is None else F.struct(*keep)).alias("row"), F.col(doc_id).alias("_id"), F.col(source).cast("string").alias("_source"), word_count(F.col(text).cast("string")).alias("size"))
     rows = _blocked(full, keyed, "_id", seed).join(blocks, ["_idx", "_block"], "left")
     inner = Window.partitionBy("_idx", "_block").orderBy("_key", "_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("_before", F.coalesce(F.sum("size").over(inner), F.lit(0).cast("long")))

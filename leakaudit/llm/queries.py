@@ -15,7 +15,7 @@ from leakaudit.llm.sparse import held_out
 
 
 def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = mixing.mix(documents(spark, sf_dir).select("doc_id", "text", "source"))
+    rows = mixing.mix(documents(spark, sf_dir), keep=["doc_id"])
     taken = F.aggregate("draws", F.lit(0).cast("long"), lambda a, d: a + d["words"])
     return rows.select("row.doc_id", "size", "source_size", "target", taken.alias("taken"), F.col("draws.shard").alias("shards"))
 
