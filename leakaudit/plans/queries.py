@@ -690,7 +690,7 @@ def subqueries(spark, sf_dir):
     return spark.sql("SELECT d.doc_id, l.quality, (SELECT max(n_chars) FROM audit_documents) - n_chars AS below_longest FROM audit_documents d JOIN audit_labels l ON d.doc_id = l.doc_id WHERE EXISTS (SELECT 1 FROM audit_labels x WHERE x.doc_id = d.doc_id AND x.toxic = 0) AND d.lang IN ('fr', 'es')")
 
 
-@registered(f"WITH {oracles.base()}, {oracles.PCS} SELECT kind, count(*) AS n, round(sum(CASE kind WHEN 'boilerplate' THEN 0.1 WHEN 'long' THEN 3.0 WHEN 'tag' THEN 10.0 ELSE 1.0 END), 4) AS weight, round(1 / (1 + exp(-0.5)), 6) AS half FROM (SELECT CASE WHEN NOT {oracles.IDENT} THEN 'boilerplate' WHEN tok IN ('TODO', 'FIXME') THEN 'tag' WHEN length(tok) >= 10 THEN 'long' ELSE 'standard' END AS kind FROM pcs WHERE NOT regexp_matches(tok, '^\\s+$')) GROUP BY 1")
+@registered(f"WITH {oracles.base()}, {oracles.PCS} SELECT kind, count(*) AS n, round(sum(CAST(CASE kind WHEN 'boilerplate' THEN 0.1 WHEN 'long' THEN 3.0 WHEN 'tag' THEN 10.0 ELSE 1.0 END AS DOUBLE)), 4) AS weight, round(1 / (1 + exp(-0.5)), 6) AS half FROM (SELECT CASE WHEN NOT {oracles.IDENT} THEN 'boilerplate' WHEN tok IN ('TODO', 'FIXME') THEN 'tag' WHEN length(tok) >= 10 THEN 'long' ELSE 'standard' END AS kind FROM pcs WHERE NOT regexp_matches(tok, '^\\s+$')) GROUP BY 1")
 def sql_surface(spark, sf_dir):
     """The registered SQL functions at work."""
     from leakaudit.functions import surface

@@ -33,26 +33,31 @@ def score_stream(stream: DataFrame, made: targets.CountTarget, path: str, checkp
     return stream.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def _timed(stream: DataFrame, column: str = "ts") -> DataFrame:
+    """Event time as an instant: watermarks take no local timestamps."""
+    return stream.withColumn(column, F.col(column).cast("timestamp"))
+
+
 def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
     """Sessions of each user with the number of their events; rows later than the watermark are dropped."""
-    return events.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("session_window.start").alias("start"), F.col("session_window.end").alias("stop"), "n")
+    return _timed(events).withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("session_window.start").alias("start"), F.col("session_window.end").alias("stop"), "n")
 
 
 def flagged_counts(scored: DataFrame, threshold: float, width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """Scored and flagged rows per tumbling or sliding window of event time."""
     window = F.window("ts", width, slide) if slide else F.window("ts", width)
-    return scored.withWatermark("ts", late).groupBy(window).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("score") >= threshold).alias("flagged")).select(F.col("window.start").alias("start"), "n", "flagged")
+    return _timed(scored).withWatermark("ts", late).groupBy(window).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("score") >= threshold).alias("flagged")).select(F.col("window.start").alias("start"), "n", "flagged")
 
 
 def fresh(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     """Each text once within the watermark, by content key."""
-    return stream.withColumn("content_key", F.md5("text")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["content_key"])
+    return _timed(stream).withColumn("content_key", F.md5("text")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["content_key"])
 
 
 def with_labels(scored: DataFrame, labels: DataFrame, within: str = "2 hours", late: str = "1 hour") -> DataFrame:
     """Scores joined to labels that come later, at most ``within`` after them: a stream-stream join with bounded state."""
-    s = scored.withWatermark("ts", late).alias("s")
-    x = labels.withWatermark("label_ts", late).alias("x")
+    s = _timed(scored).withWatermark("ts", late).alias("s")
+    x = _timed(labels, "label_ts").withWatermark("label_ts", late).alias("x")
     on = F.expr(f"s.sample_id = x.label_id AND x.label_ts >= s.ts AND x.label_ts <= s.ts + INTERVAL {within}")
     return s.join(x, on).select("s.sample_id", "s.ts", "s.score", "x.is_member")
 
