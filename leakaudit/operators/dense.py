@@ -107,7 +107,7 @@ def _run(open_: Callable, moments: str):
 
 
 def _sequences(tokens: DataFrame) -> DataFrame:
-    """``sample_id, keys``: a sample's scored tokens in order; ``max_tokens`` of the token table bounds them."""
+    """``sample_id, keys``: a sample's scored tokens in order; whole texts unless the token table was cut by ``max_tokens``."""
     return tokens.groupBy("sample_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("t", "key"))), lambda x: x["key"]).alias("keys"))
 
 

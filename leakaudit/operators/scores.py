@@ -26,7 +26,7 @@ def quantile(values: Column, q: float) -> Column:
 def per_sample(stats: DataFrame, k: float = 20.0, entropy_q: float = 0.5, logp_q: float = 0.5) -> DataFrame:
     """All probability scores of one layer in one aggregation: a column per method.
 
-    ``collect_list`` holds a sample's tokens, which ``max_tokens`` bounds.
+    ``collect_list`` holds a sample's tokens: memory grows with the longest text, which ``max_tokens`` can bound.
     """
     s = sigmoid(F.col("z"))
     grouped = stats.groupBy(*BY).agg(

@@ -19,14 +19,17 @@ EXPOSURE, LAYER, MIN_DF = 1, 1, 3
 
 @dataclass(frozen=True)
 class Config:
-    """What an audit varies: weights, dictionary, exposure (sixteenths), layers, lengths, neighbours, probes and fusion."""
+    """What an audit varies: weights, dictionary, exposure (sixteenths), layers, lengths, neighbours, probes and fusion.
+
+    ``max_tokens`` is the length that a user's model takes; by default texts are read whole.
+    """
 
     scheme: Scheme = field(default_factory=Scheme.default)
     min_df: int = MIN_DF
     exposure: int = EXPOSURE
     layer: int = LAYER
     layers: tuple[int, ...] = tokens.LARGE
-    max_tokens: int = 8196
+    max_tokens: int | None = None
     k: float = 20.0
     copies: int = 5
     probe: str = "mlp"

@@ -42,6 +42,18 @@ def test_queries_equal_their_sql(spark, sf, duck, name):
     assert sorted(repr([plain(r[c]) for c in sorted(columns)]) for r in got.collect()) == want
 
 
+def test_texts_of_over_8196_tokens_are_read_whole(spark, tmp_path):
+    duckdb = pytest.importorskip("duckdb")
+    long = " ".join(f"word{k % 700} \"said {k}\"" for k in range(4000))
+    rows = [(k, long + f" end{k}" if k < 3 else f"word{k} word{k + 1} is short", "en" if k % 2 else "de") for k in range(40)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert audit.token_table(spark, str(tmp_path)).agg(F.max("t")).first()[0] > 8196
+    c = duckdb.connect()
+    c.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    for name in ("token_class_counts", "score_weighted_z"):
+        test_queries_equal_their_sql(spark, str(tmp_path), c, name)
+
+
 def test_every_registered_query_has_a_stable_name():
     assert len(queries.QUERIES) >= 85 and set(queries.ORACLES) <= set(queries.QUERIES)
     assert set(driver.oracle_sql()) <= set(driver.queries())
