@@ -159,3 +159,15 @@ def test_licences_are_found_by_wording(spark):
     assert got[100][0].licence == "MIT" and got[100][0].missing > 0
     assert not got[101] and not got[102] and not got[103] and got[104][0].licence == "Apache-2.0"
     assert licences.scan(edge(spark)).where(F.size("found") > 0).count() == 0 and licences.scan(empty(spark)).count() == 0
+
+
+def test_all_licences_of_a_block_are_found(spark):
+    t = licences.TEMPLATES
+    short = [(n, xs[0]) for n, xs in t.items()]
+    texts = [
+        (1, "Copyright 2020 A. All rights reserved.\nReleased under the MIT License."), (2, t["MIT"][1] + "\n" + t["Apache-2.0"][1]), (3, "\n".join([t["MIT"][0]] * 3)),
+        (4, " ".join(x for _, x in short)), (5, t["Apache-2.0"][1].replace("compliance", "keeping")), (6, "All rights reserved. " * 40),
+    ]
+    got = {r.doc_id: [(f.licence, f.missing) for f in r.found] for r in licences.scan(spark.createDataFrame(texts, "doc_id long, text string")).collect()}
+    assert got[1] == [("Proprietary", 0), ("MIT", 0)] and got[2] == [("MIT", 0), ("Apache-2.0", 0)] and got[3] == [("MIT", 0)] * 3
+    assert got[4] == [(n, 0) for n, _ in short] and got[5] == [("Apache-2.0", 1)] and len(got[6]) == 40
