@@ -1,6 +1,7 @@
 import hashlib
 import random
 import re
+import textwrap
 
 import numpy as np
 import pytest
@@ -171,3 +172,19 @@ def test_all_licences_of_a_block_are_found(spark):
     got = {r.doc_id: [(f.licence, f.missing) for f in r.found] for r in licences.scan(spark.createDataFrame(texts, "doc_id long, text string")).collect()}
     assert got[1] == [("Proprietary", 0), ("MIT", 0)] and got[2] == [("MIT", 0), ("Apache-2.0", 0)] and got[3] == [("MIT", 0)] * 3
     assert got[4] == [(n, 0) for n, _ in short] and got[5] == [("Apache-2.0", 1)] and len(got[6]) == 40
+
+
+def test_wrapped_licences_are_found(spark, monkeypatch):
+    every = [(n, x) for n, xs in licences.TEMPLATES.items() for x in xs]
+    wrapped = lambda x, width, sign: "\n".join(sign + line for line in textwrap.wrap(x, width))
+    texts = [(n, f"int a;\n/*\n{wrapped(x, width, sign)}\n*/\nint b;") for n, x in every for width in (72, 24) for sign in ("", "# ", " * ", "// ")]
+    rows = spark.createDataFrame([(k, t) for k, (_, t) in enumerate(texts)], "doc_id long, text string")
+    got = {r.doc_id: [(f.licence, f.missing) for f in r.found] for r in licences.scan(rows).collect()}
+    assert [got[k] for k in range(len(texts))] == [[(n, 0)] for n, _ in texts]
+    scanner = licences.Scanner()
+    assert all(sum(bool(licences.CUE.search(w)) for w in x.words) > x.most for x in scanner.each)
+    long = "All rights reserved. " * 500 + "\n" + "see the licence file\n" * 150 + wrapped(every[1][1], 72, "# ") + "\nsee the licence file" * 300 + " word" * 5000 + "\n" + wrapped(every[5][1], 72, "") + " word" * 200
+    found = scanner.scan(long)
+    assert [f["licence"] for f in found] == ["Proprietary"] * 500 + ["MIT", "GPL-3.0"] and not any(f["missing"] for f in found)
+    monkeypatch.setattr(licences, "RUN", 30)
+    assert scanner.scan(long) == found
