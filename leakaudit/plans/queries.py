@@ -124,12 +124,21 @@ SELECT sample_id, pos, round(avg(greatest(weight, coalesce(over, 0))), 6)::DOUBL
 @registered(MEAN_SQL)
 def token_weights_mean(spark, sf_dir):
     """Projection by the mean over a token's characters, against an oracle that looks at each character."""
-    some = catalog.samples(spark, sf_dir, "pages").where("sample_id % 5 = 0")
+    return _mean_weights(spark, sf_dir, catalog.samples(spark, sf_dir, "pages").where("sample_id % 5 = 0"))
+
+
+def _mean_weights(spark, sf_dir, some: DataFrame) -> DataFrame:
     own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
     rows = tokens.tokens(some, "html", tokens.lexicon(_documents(spark, sf_dir)), own)
     return rounded(mask.project_mean(rows, mask.runs(tokens.spans(some, "html"))), "weight")
 
 
+@registered()
+def token_weights_mean_all(spark, sf_dir):
+    """The same over every page; the look at each character is too slow for all, so a test holds it against brute force."""
+    return _mean_weights(spark, sf_dir, catalog.samples(spark, sf_dir, "pages"))
+
+
 @registered(f"WITH {CHAIN} SELECT slice, {oracles.KIND} AS kind, count(*) AS n_tokens, CAST(sum(stop - start) AS BIGINT) AS n_chars, round(sum(weight), 4) AS weight FROM wts GROUP BY ALL")
 def mask_profile(spark, sf_dir):
     return rounded(mask.profile(audit.token_table(spark, sf_dir)), "weight", digits=4)

@@ -54,6 +54,25 @@ def test_texts_of_over_8196_tokens_are_read_whole(spark, tmp_path):
         test_queries_equal_their_sql(spark, str(tmp_path), c, name)
 
 
+def test_mean_weights_cover_every_page(spark, tmp_path):
+    from leakaudit.operators import tokens
+    from leakaudit.sources import catalog
+
+    pages = [(k, "u", f"<p class=\"c{k}\">word{k} shared</p><!-- note {k} -->tail{k % 3}") for k in range(12)]
+    spark.createDataFrame(pages, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    spark.createDataFrame([(k, "shared word", "en") for k in range(3)], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    some = catalog.samples(spark, str(tmp_path), "pages")
+    over = {}
+    for r in tokens.spans(some, "html").collect():
+        for at in range(r.start, r.stop):
+            over[r.sample_id, at] = max(over.get((r.sample_id, at), 0), Scheme.default().weights[r.kind])
+    own = Scheme({k: w for k, w in Scheme.default().weights.items() if k not in ("comment", "literal", "lint")})
+    rows = tokens.tokens(some, "html", tokens.lexicon(catalog.samples(spark, str(tmp_path), "documents")), own).collect()
+    want = {(r.sample_id, r.pos): round(sum(max(r.weight, over.get((r.sample_id, at), 0)) for at in range(r.start, r.stop)) / (r.stop - r.start), 6) for r in rows}
+    got = {(r.sample_id, r.pos): r.weight for r in queries.token_weights_mean_all(spark, str(tmp_path)).collect()}
+    assert got == pytest.approx(want) and {k for k, _ in got} == set(range(12))
+
+
 def test_every_registered_query_has_a_stable_name():
     assert len(queries.QUERIES) >= 85 and set(queries.ORACLES) <= set(queries.QUERIES)
     assert set(driver.oracle_sql()) <= set(driver.queries())
