@@ -220,6 +220,19 @@ def context_entropy(spark, sf_dir):
     return rounded(_fr(spark, sf_dir).select("sample_id", "pos", "entropy"), "entropy")
 
 
+@registered(f"WITH {CHAIN} SELECT sample_id, pos, weight FROM wts")
+def token_weights_all(spark, sf_dir):
+    """Every token's weight, all slices."""
+    return audit.token_table(spark, sf_dir).select("sample_id", "pos", "weight")
+
+
+@registered(f"WITH {CHAIN}, {oracles.ENTROPY} SELECT sample_id, pos, round(logp, 6) AS logp, round(z, 6) + 0.0 AS z, round(z_model, 6) + 0.0 AS z_model, round(entropy, 6) AS entropy FROM ste")
+def token_statistics_all(spark, sf_dir):
+    """Log-probability, Z-scores and entropy of every token, all slices and roles."""
+    rows = audit.model_stats(audit.token_table(spark, sf_dir))
+    return rows.select("sample_id", "pos", F.round("logp", 6).alias("logp"), (F.round("z", 6) + 0.0).alias("z"), (F.round("z_model", 6) + 0.0).alias("z_model"), F.round("entropy", 6).alias("entropy"))
+
+
 # --- scores -------------------------------------------------------------------
 
 
@@ -678,6 +691,15 @@ def full_outer_targets(spark, sf_dir):
     return one(Config(), ("de", "en"), "score_a").join(one(Config(layer=0), ("de", "fr"), "score_b"), "sample_id", "full_outer")
 
 
+@registered(f"""WITH a AS (WITH {oracles.document_chain()} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' GROUP BY 1), b AS (WITH {oracles.document_chain(layers=(0,))} SELECT sample_id, avg(logp) AS s FROM sts WHERE is_member GROUP BY 1)
+SELECT coalesce(a.sample_id, b.sample_id) AS sample_id, round(a.s, 6) AS score_a, round(b.s, 6) AS score_b FROM a FULL JOIN b ON a.sample_id = b.sample_id""")
+def full_outer_targets_all(spark, sf_dir):
+    """Two targets side by side over all slices: one scores the holdout, the other the members."""
+    full = audit.token_table(spark, sf_dir)
+    one = lambda config, side, name: audit.probability_scores(full, config).where(side).select("sample_id", F.round("loss", 6).alias(name))
+    return one(Config(), "role = 'holdout'", "score_a").join(one(Config(layer=0), "is_member", "score_b"), "sample_id", "full_outer")
+
+
 @registered("""SELECT c_mktsegment AS segment, count(*) AS n, round(avg(c_acctbal), 4) AS mean, round(stddev_pop(c_acctbal), 4) AS sd, round(median(c_acctbal), 4) AS median, count(*) FILTER (c_acctbal < 0) AS negative, bool_and(c_acctbal > -1000) AS floor_holds, round(corr(c_acctbal, c_custkey), 6) AS r FROM customer GROUP BY 1""")
 def aggregate_functions(spark, sf_dir):
     rows = catalog.table(spark, sf_dir, "customer")
@@ -770,9 +792,9 @@ def conversation_joined(spark, sf_dir):
 
 @registered()
 def dense_target_scores(spark, sf_dir):
-    """The numpy target on a slice: real hidden layers, all from one pass."""
-    table = audit.token_table(spark, sf_dir).where("slice = 'es'")
-    made = dense.train(table, most=20, width=16, layers=4, size=256)
+    """The numpy target on all samples: real hidden layers, all from one pass; it is fitted on at most 200 members, ``dense.train``'s own bound."""
+    table = audit.token_table(spark, sf_dir)
+    made = dense.train(table)
     stats = dense.forward(table, made).where("layer = 0").select("sample_id", F.col("pos").alias("t"), "logp", "z")
     joined = stats.join(table.select("sample_id", "t", "slice", "is_member", "role", "weight"), ["sample_id", "t"])
     return joined.groupBy(*scores.BY).agg(F.avg("logp").alias("loss"), (F.sum(F.col("weight") * scores.sigmoid(F.col("z"))) / F.sum("weight")).alias("weighted_z"))

@@ -73,6 +73,18 @@ def test_mean_weights_cover_every_page(spark, tmp_path):
     assert got == pytest.approx(want) and {k for k, _ in got} == set(range(12))
 
 
+@pytest.mark.parametrize("name", ["token_weights_all", "token_statistics_all", "full_outer_targets_all"])
+def test_whole_queries_equal_their_sql(spark, sf, duck, name):
+    test_queries_equal_their_sql(spark, sf, duck, name)
+
+
+def test_dense_scores_cover_every_sample(spark, tmp_path):
+    rows = [(k, f"word{k} shared text of sample {k}", "en fr de es".split()[k % 4]) for k in range(24)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = queries.dense_target_scores(spark, str(tmp_path)).collect()
+    assert {r.sample_id for r in got} == set(range(24)) and {r.slice for r in got} == {"en", "fr", "de", "es"}
+
+
 def test_every_registered_query_has_a_stable_name():
     assert len(queries.QUERIES) >= 85 and set(queries.ORACLES) <= set(queries.QUERIES)
     assert set(driver.oracle_sql()) <= set(driver.queries())
