@@ -1,3 +1,5 @@
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -70,3 +72,17 @@ def test_copies_fall_to_one_and_others_stay(spark):
     assert once.where("doc_id < 40").count() == 1 and once.count() == 21
     left = simhash.keep_one(once)
     assert left.where("doc_id >= 45").count() == 15 and left.count() < 21 and left.where(F.col("doc_id") == 0).count() == 1
+
+
+def test_recall_of_near_copies_is_what_the_readme_says():
+    rng, found = random.Random(3), {}
+    for _ in range(1500):
+        words = [b"w%d" % rng.randrange(5000) for _ in range(300)]
+        other = list(words)
+        for i in rng.sample(range(300), rng.randrange(1, 14)):
+            other[i] = b"x%d" % rng.randrange(10**6)
+        a, b = ({tuple(x[i : i + 5]) for i in range(296)} for x in (words, other))
+        near = (simhash.fingerprint(words) ^ simhash.fingerprint(other)).bit_count() <= simhash.MOST_BITS
+        found.setdefault(min(int(20 * len(a & b) / len(a | b)), 19), []).append(near)
+    rate = {k: sum(v) / len(v) for k, v in found.items()}
+    assert [round(rate[k], 2) for k in (16, 17, 18, 19)] == pytest.approx([0.08, 0.22, 0.43, 0.74], abs=0.05)
