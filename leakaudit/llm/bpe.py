@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import codecs
 import hashlib
 import json
 import os
@@ -18,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from leakaudit.llm.common import lean, trim
-from leakaudit.runtime import batch_rows, materialise
+from leakaudit.runtime import materialise
 
 #: A byte-level tokenizer's word rule (fixed value), with white space as Unicode has it.
 SPLIT = (
@@ -27,10 +28,14 @@ SPLIT = (
 )
 #: Words of about so many bytes make a block, the unit within which positions are joined back.
 BLOCK_BYTES = 16 << 20
-#: Documents that reach the block builder at once.
-BATCH = 1000
+#: A text crosses to the block builder in pieces of at most so many code points, so that a batch of rows has a bound in bytes.
+PIECE = 2048
+#: Words of about so many bytes are numbered at once.
+SLICE_BYTES = 2 << 20
 #: Words are dealt to so many parts by a hash at most; each part encodes its distinct words.
 MOST_PARTS = 4096
+#: Each word is followed by END. Where a text itself has one of the two, it is escaped by characters of the same class, which moves no word's end.
+END, ESCAPE = "\x1f", "\x1e"
 
 
 class Vocabulary:
@@ -60,19 +65,20 @@ class Vocabulary:
         return [table.get(i, b"") for i in range(max(table) + 1)]
 
 
-def words(text: Column, specials: list[str]) -> Column:
-    """The words of a text in order; joined they give the text. A special token's string is a word of its own."""
+def marked(text: Column, specials: list[str]) -> Column:
+    """The text with END after each of its words. A special token's string is a word of its own."""
     whole = F.coalesce(text.cast("string"), F.lit(""))
-    plain = F.regexp_extract_all(whole, F.lit(SPLIT), F.lit(0))
+    whole = F.replace(F.replace(whole, F.lit(ESCAPE), F.lit(ESCAPE + "#")), F.lit(END), F.lit(ESCAPE + "%"))
+    split = lambda t: F.regexp_replace(t, SPLIT, "$0" + END)
     if not specials:
-        return plain
+        return split(whole)
     mark = lambda t: "\\Q" + t + "\\E"
     has = whole.contains(specials[0])
     for t in specials[1:]:
         has = has | whole.contains(t)
     around = "|".join(f"(?={mark(t)})|(?<={mark(t)})" for t in specials)
-    parts = F.transform(F.split(whole, around), lambda p: F.when(p.isin(specials), F.array(p)).otherwise(F.regexp_extract_all(p, F.lit(SPLIT), F.lit(0))))
-    return F.when(has, F.flatten(parts)).otherwise(plain)
+    parts = F.transform(F.split(whole, around), lambda p: F.when(p.isin(specials), F.concat(p, F.lit(END))).otherwise(split(p)))
+    return F.when(has, F.array_join(parts, "")).otherwise(split(whole))
 
 
 #: Values of one byte, further ones of two, of three; a lead byte of 255 stands for a larger one, kept whole.
@@ -122,20 +128,33 @@ class _Block:
         self.docs: list[pa.Array] = []
         self.sizes: list[np.ndarray] = []
         self.words: list[np.ndarray] = []
+        self.rest = np.zeros(0, np.uint8)
         self.held = 0
 
-    def add(self, ids: pa.Array, lists: pa.Array, size: int) -> None:
-        coded = lists.flatten().dictionary_encode()
+    def add(self, ids: pa.Array, first: np.ndarray, ends: np.ndarray, data: np.ndarray) -> None:
+        """Rows of pieces: a document's id and whether the row begins it; where each row's bytes end; all rows' bytes."""
+        self.held += len(data)
+        begun = len(self.rest)
+        data, ends = np.concatenate((self.rest, data)), ends + begun
+        stops = np.flatnonzero(data == ord(END)) + 1
+        offsets = np.concatenate(([0], stops)).astype(np.int32)
+        coded = pa.BinaryArray.from_buffers(pa.binary(), len(stops), [None, pa.py_buffer(offsets), pa.py_buffer(data)]).dictionary_encode()
         names = self.names
-        known = [names.setdefault(w, len(names)) for w in coded.dictionary.cast(pa.binary()).to_pylist()]
-        self.docs.append(ids)
-        self.sizes.append(pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False).astype("<u4"))
+        known = [names.setdefault(w, len(names)) for w in coded.dictionary.to_pylist()]
         self.words.append(np.array(known, np.int32)[coded.indices.to_numpy(zero_copy_only=False)])
-        self.held += size
+        self.rest = data[offsets[-1] :].copy()
+        # the document of each word: that of the row its end is in; 0 is the one that was open before
+        count = np.bincount(np.cumsum(first)[np.searchsorted(ends, stops - 1, "right")], minlength=int(first.sum()) + 1)
+        if self.sizes:
+            self.sizes[-1][-1] += count[0]
+        if first.any():
+            self.docs.append(ids.filter(pa.array(first)))
+            self.sizes.append(count[1:].astype("<u4"))
 
     def close(self, parts: int) -> pa.RecordBatch:
         """The rows of the block: codes and sizes (part -1), then the distinct words of each part."""
-        press, known = zstandard.ZstdCompressor(level=6), list(self.names)
+        press = zstandard.ZstdCompressor(level=6)
+        known = [w[:-1].replace(b"\x1e%", b"\x1f").replace(b"\x1e#", b"\x1e") if b"\x1e" in w else w[:-1] for w in self.names]
         part = np.fromiter((zlib.crc32(w) % parts for w in known), np.int32, len(known))
         count = np.zeros(len(known), np.int64)
         for w in self.words:
@@ -158,7 +177,7 @@ class _Block:
 
 
 def _to_blocks(parts: int) -> Callable:
-    """(doc_id, words) -> per block the documents' word codes (part -1), and its distinct words by part."""
+    """(doc_id, pos, piece), a document's pieces in a row -> per block the documents' word codes (part -1), and its distinct words by part."""
 
     @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -166,18 +185,21 @@ def _to_blocks(parts: int) -> Callable:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            lists = batch.column("words")
-            each = np.frombuffer(lists.values.buffers()[1] or bytes(4), np.int32)[lists.values.offset :]
-            ends = each[lists.offsets.to_numpy()]
-            at = 0
-            while at < batch.num_rows:
-                # a block is closed once it is full; a document is never cut
-                to = max(at + 1, int(np.searchsorted(ends, ends[at] + BLOCK_BYTES - block.held, "right")) - 1)
-                block.add(batch.column("doc_id").slice(at, to - at), lists.slice(at, to - at), int(ends[to] - ends[at]))
-                if to < batch.num_rows or block.held >= BLOCK_BYTES:
+            ids, piece = batch.column("doc_id"), pc.fill_null(batch.column("piece"), "")
+            first = pc.fill_null(batch.column("pos"), 0).to_numpy(zero_copy_only=False) == 0
+            offsets = np.frombuffer(piece.buffers()[1], np.int32)[piece.offset : piece.offset + len(piece) + 1].astype(np.int64)
+            data = np.frombuffer(piece.buffers()[2] or b"", np.uint8)
+            starts, at = np.flatnonzero(first), 0
+            while at < len(piece):
+                # a slice ends where a document begins, so that a block is closed between documents
+                full = int(np.searchsorted(offsets, offsets[at] + SLICE_BYTES))
+                after = starts[np.searchsorted(starts, max(full, at + 1)) :]
+                to = int(after[0]) if len(after) else len(piece)
+                if first[at] and block.held >= BLOCK_BYTES:
                     yield block.close(parts)
                     block = _Block()
                     trim()
+                block.add(ids.slice(at, to - at), first[at:to], offsets[at + 1 : to + 1] - offsets[at], data[offsets[at] : offsets[to]])
                 at = to
         if block.docs:
             yield block.close(parts)
@@ -209,73 +231,34 @@ def _encode_parts(vocabulary: Vocabulary) -> Callable:
     return run
 
 
-def _per_document(finish: Callable, schema: pa.Schema) -> Callable:
-    """Rows sorted by (block, part): the codes, then each part's ids -> ``finish(doc_ids, stream, bounds)`` in slices of documents."""
-
-    @lean
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        open_ = zstandard.ZstdDecompressor()
-        name, body, parts = None, b"", []
-
-        def done() -> Iterator[pa.RecordBatch]:
-            n_head, n_parts, n_chunks = struct.unpack_from("<III", body)
-            at = 12 + n_head
-            doc_ids = pa.ipc.open_stream(body[12:at]).read_all().column("doc_id").combine_chunks()
-            n_docs = len(doc_ids)
-            ends = np.cumsum(np.frombuffer(body, "<u4", n_docs, at), dtype=np.int64)
-            codes, at = [np.zeros(0, np.int32)], at + 4 * n_docs
-            for _ in range(n_chunks):
-                more, at = _unpack(body, at)
-                codes.append(more)
-            codes = np.concatenate(codes)
-            counts, flat, before, words = [np.zeros(0, np.int64)], [np.zeros(0, np.uint32)], np.zeros(n_parts, np.int64), 0
-            for p, raw in parts:
-                sizes, at = _unpack(raw)
-                before[p], words = words, words + len(sizes)
-                counts.append(sizes)
-                flat.append(_unpack(raw, at)[0].astype(np.uint32))
-            count, flat = np.concatenate(counts), np.concatenate(flat)
-            first = np.cumsum(count) - count
-            step, doc = 1 << 17, 0
-            while doc < n_docs:
-                start = int(ends[doc - 1]) if doc else 0
-                to = max(doc + 1, int(np.searchsorted(ends, start + step, "right")))
-                some = codes[start : int(ends[to - 1])]
-                some = before[some % n_parts] + some // n_parts  # the word's place among the block's
-                n = count[some]
-                upto = np.cumsum(n)
-                total = int(upto[-1]) if len(n) else 0
-                stream = flat[np.repeat(first[some] - (upto - n), n) + np.arange(total)]
-                bounds = np.concatenate(([0], upto))[np.concatenate(([0], ends[doc:to] - start))]
-                yield pa.RecordBatch.from_arrays(finish(doc_ids.slice(doc, to - doc), stream.astype("<u4"), bounds), schema=schema)
-                doc = to
-
-        for batch in batches:
-            for block, p, payload in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if block != name:
-                    if name is not None:
-                        yield from done()
-                    name, body, parts = block, b"", []
-                raw = open_.decompress(payload)
-                if p < 0:
-                    body = raw
-                else:
-                    parts.append((p, raw))
-        if name is not None:
-            yield from done()
-
-    return run
-
-
-def _joined(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) -> DataFrame:
-    """The table of blocks: codes and, by position, ids of each part; sorted by block and part."""
-    spark = docs.sparkSession
-    parts = min(MOST_PARTS, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), words(F.col(text), vocabulary.specials).alias("words"))
-    with batch_rows(spark, BATCH):
-        blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
-    ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
-    return blocks.where("part < 0").union(ids).repartition("block").sortWithinPartitions("block", "part")
+def _ids_of_block(table: pa.Table) -> pa.Table:
+    """All rows of one block, its codes and each part's ids -> ``doc_id, ids`` of its documents."""
+    open_ = zstandard.ZstdDecompressor()
+    rows = sorted(zip(table.column("part").to_pylist(), table.column("payload"), strict=True), key=lambda r: r[0])
+    body = open_.decompress(rows[0][1].as_buffer())
+    n_head, n_parts, n_chunks = struct.unpack_from("<III", body)
+    at = 12 + n_head
+    doc_ids = pa.ipc.open_stream(body[12:at]).read_all().column("doc_id").combine_chunks()
+    ends = np.cumsum(np.frombuffer(body, "<u4", len(doc_ids), at), dtype=np.int64)
+    counts, flat, before, words = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)], np.zeros(n_parts, np.int64), 0
+    for p, raw in rows[1:]:
+        raw = open_.decompress(raw.as_buffer())
+        sizes, to = _unpack(raw)
+        before[p], words = words, words + len(sizes)
+        counts.append(sizes)
+        flat.append(_unpack(raw, to)[0].astype(np.int32))
+    count, flat = np.concatenate(counts), np.concatenate(flat)
+    first = np.cumsum(count) - count
+    at += 4 * len(doc_ids)
+    streams, sizes = [np.zeros(0, np.int32)], [np.zeros(1, np.int64)]
+    for _ in range(n_chunks):
+        code, at = _unpack(body, at)
+        code = before[code % n_parts] + code // n_parts  # the word's place among the block's
+        n = count[code]
+        streams.append(flat[np.repeat(first[code] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))])
+        sizes.append(n)
+    bounds = np.concatenate(([0], np.cumsum(np.concatenate(sizes))[ends])).astype(np.int32)
+    return pa.table([doc_ids, pa.ListArray.from_arrays(pa.array(bounds), pa.array(np.concatenate(streams)))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
 
 
 def encode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -284,47 +267,111 @@ def encode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text
     Texts are split into words by Spark. Per block of documents the distinct words
     are listed; the lists are dealt by a hash of the word, so that every distinct
     word is encoded once, by the task that holds its part; the ids go back to their
-    blocks, where each position takes its word's ids. Null texts and empty ones
-    have no ids; repeated rows each get theirs; no rows give none.
+    blocks, where each position takes its word's ids. Memory: a batch holds pieces
+    of PIECE code points, a block some BLOCK_BYTES (or one longer document). Null
+    texts and empty ones have no ids; repeated rows each get theirs; no rows give none.
     """
+    parts = min(MOST_PARTS, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    cut = F.regexp_extract_all(marked(F.col(text), vocabulary.specials), F.lit("(?s).{1,%d}" % PIECE), F.lit(0))
+    split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(cut).alias("pos", "piece"))
+    blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
+    ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
+    return blocks.where("part < 0").union(ids).groupBy("block").applyInArrow(_ids_of_block, "doc_id long, ids array<int>")
 
-    def finish(ids: pa.Array, stream: np.ndarray, bounds: np.ndarray) -> list[pa.Array]:
-        return [ids, pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(stream.astype(np.int32)))]
 
-    schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))])
-    return _joined(docs, vocabulary, doc_id, text).mapInArrow(_per_document(finish, schema), "doc_id long, ids array<int>")
+def _placed(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str, ids: str) -> DataFrame:
+    """``doc_id, pos, id, piece``: each id joined to its piece. The table of pieces is broadcast: it has as many rows as the vocabulary, whatever the input."""
+    pieces = vocabulary.pieces()
+    table = encoded.sparkSession.createDataFrame(pa.table({"id": pa.array(range(len(pieces)), pa.int32()), "piece": pa.array(pieces, pa.binary())}))
+    rows = encoded.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(F.col(ids).cast("array<int>")).alias("pos", "id"))
+    return rows.join(F.broadcast(table), "id", "left").select("doc_id", "pos", "id", "piece")
 
 
-def _text(pieces: list[bytes], ids: list[int]) -> bytes:
-    """The pieces of ``ids`` joined; bytes that aren't UTF-8 are replaced."""
-    return b"".join(map(pieces.__getitem__, ids)).decode("utf-8", "replace").encode()
+class _Digests:
+    """A document's digests, fed as its pieces come."""
 
+    schema = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
+
+    def __init__(self, doc_id: int | None) -> None:
+        self.doc_id, self.n, self.ids, self.text = doc_id, 0, hashlib.sha256(), hashlib.sha256()
+        self.open = codecs.getincrementaldecoder("utf-8")("replace")
+
+    def add(self, ids: np.ndarray, data: bytes) -> None:
+        self.n += len(ids)
+        self.ids.update(ids.astype("<u4").tobytes())
+        self.text.update(self.open.decode(data).encode())
+
+    def row(self) -> tuple:
+        self.text.update(self.open.decode(b"", True).encode())
+        return self.doc_id, self.n, self.ids.hexdigest(), self.text.hexdigest()
 
-def decode(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
-    """``doc_id, text``: every id replaced by its piece (a join with the vocabulary, whose size is fixed). Null ids give an empty text."""
-    pieces = vocabulary.pieces()
+
+class _Text:
+    """A document's text, put together as its pieces come; bytes that aren't UTF-8 are replaced."""
+
+    schema = pa.schema([("doc_id", pa.int64()), ("text", pa.string())])
+
+    def __init__(self, doc_id: int | None) -> None:
+        self.doc_id, self.parts = doc_id, []
+
+    def add(self, ids: np.ndarray, data: bytes) -> None:
+        self.parts.append(data)
+
+    def row(self) -> tuple:
+        return self.doc_id, b"".join(self.parts).decode("utf-8", "replace")
+
+
+def _in_order(kind: type) -> Callable:
+    """(doc_id, pos, id, piece), each document's rows together and in order -> the rows that ``kind`` makes of each document.
+
+    The rows come from one explosion and a broadcast join, which keep their order
+    within a task; a row out of order is an error, not a wrong result.
+    """
+
+    def made(rows: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), kind.schema, strict=True)], schema=kind.schema)
 
     @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        doc, last, out, held = None, -1, [], 0
         for batch in batches:
-            found = [_text(pieces, x or []).decode() for x in batch.column("ids").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(found, pa.string())], ["doc_id", "text"])
+            if not batch.num_rows:
+                continue
+            pos = pc.fill_null(batch.column("pos"), 0).to_numpy(zero_copy_only=False)
+            empty = batch.column("pos").is_null().to_numpy(zero_copy_only=False)
+            before = np.concatenate(([last], pos[:-1]))
+            if ((pos != before + 1) & (pos != 0)).any():
+                raise RuntimeError("pieces came out of order")
+            ids, piece = pc.fill_null(batch.column("id"), 0).to_numpy(zero_copy_only=False), pc.fill_null(batch.column("piece"), b"")
+            offsets = np.frombuffer(piece.buffers()[1], np.int32)[piece.offset : piece.offset + len(piece) + 1]
+            data = memoryview(piece.buffers()[2] or b"")
+            starts = np.flatnonzero(pos == 0).tolist()
+            names = batch.column("doc_id").take(pa.array(starts, pa.int64())).to_pylist()
+            if doc is not None and (not starts or starts[0] > 0):
+                to = starts[0] if starts else len(pos)
+                doc.add(ids[:to], bytes(data[offsets[0] : offsets[to]]))
+            for name, a, b in zip(names, starts, [*starts, len(pos)][1:], strict=True):
+                if doc is not None:
+                    out.append(doc.row())
+                doc = kind(name)
+                if not empty[a]:
+                    doc.add(ids[a:b], bytes(data[offsets[a] : offsets[b]]))
+            last, held = int(pos[-1]), held + int(offsets[-1] - offsets[0])
+            if out and (held >= SLICE_BYTES or len(out) >= 1000):
+                yield made(out)
+                out, held = [], 0
+        if doc is not None:
+            yield made([*out, doc.row()])
 
-    return encoded.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(ids).cast("array<int>").alias("ids")).mapInArrow(run, "doc_id long, text string")
+    return run
 
 
-def digests(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ``encode`` and ``decode`` with only the digests leaving the worker."""
-    pieces = vocabulary.pieces()
+def decode(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
+    """``doc_id, text``: every id joined to its piece, the pieces joined in order. Null ids give an empty text, an id without a piece nothing."""
+    return _placed(encoded, vocabulary, doc_id, ids).mapInArrow(_in_order(_Text), "doc_id long, text string")
 
-    def finish(ids: pa.Array, stream: np.ndarray, bounds: np.ndarray) -> list[pa.Array]:
-        every, cut = stream.tolist(), bounds.tolist()
-        spans = list(zip(cut[:-1], cut[1:], strict=True))
-        return [
-            ids, pa.array(np.diff(bounds), pa.int64()),
-            pa.array([hashlib.sha256(stream[a:b].tobytes()).hexdigest() for a, b in spans]),
-            pa.array([hashlib.sha256(_text(pieces, every[a:b])).hexdigest() for a, b in spans]),
-        ]
 
-    schema = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
-    return _joined(docs, vocabulary, doc_id, text).mapInArrow(_per_document(finish, schema), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+def digests(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ``encode``, then ``decode`` with only the digests leaving the worker."""
+    placed = _placed(encode(docs, vocabulary, doc_id, text), vocabulary, "doc_id", "ids")
+    return placed.mapInArrow(_in_order(_Digests), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -17,7 +17,7 @@ def test_bpe_equals_the_tokenizer_and_decodes(spark):
     tokenizers = pytest.importorskip("tokenizers")
     real = tokenizers.Tokenizer.from_file(tokenizer_path())
     v = bpe.Vocabulary(tokenizer_path())
-    odd = ["a<|endoftext|>b !!<|endoftext|>  <|endoftext|>", "x  y\n\n z\t\t", "don't WE'LL I'm 12½ ²x", "\U0001f600\U0001f44d\U0001f3fd é́", "a\x85b \x1c\x1d x", "日本語 テ", "#" * 5000 + " " * 5000, "<|endoftext", "﻿hi​᠎ x　y"]
+    odd = ["a<|endoftext|>b !!<|endoftext|>  <|endoftext|>", "x  y\n\n z\t\t", "don't WE'LL I'm 12½ ²x", "\U0001f600\U0001f44d\U0001f3fd é́", "a\x85b \x1c\x1d x", "日本語 テ", "\x1f", "a\x1fb \x1e!\x1e%\x1f# <|endoftext|>\x1f", "é" * 3000 + " é日" * 2000, "#" * 5000 + " " * 5000, "<|endoftext", "﻿hi​᠎ x　y"]
     texts = [*edge_texts(), *((100 + k, t) for k, t in enumerate(odd))]
     df = spark.createDataFrame(texts, "doc_id long, text string")
     want = sorted(repr((k, real.encode(t or "", add_special_tokens=False).ids)) for k, t in texts)
