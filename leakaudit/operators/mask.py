@@ -4,48 +4,59 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from leakaudit.functions.weights import Scheme
 
 
-def compose_runs(spans: Column, scheme: Scheme | None = None) -> Column:
-    """``array<struct<start, stop, weight>>``: disjoint runs of an array of ``struct<kind, start, stop>`` spans.
+def runs(spans: DataFrame, scheme: Scheme | None = None) -> DataFrame:
+    """``sample_id, start, stop, weight``: disjoint runs of span rows (``sample_id, kind, start, stop``).
 
     Between neighbouring boundaries the weight is the largest of the covering
-    spans; a tag assigns its own, even a lower one. Uncovered stretches have no run.
+    kinds; a tag assigns its own, even a lower one. Uncovered stretches have no run.
+    A sweep: every span counts up where it starts and down where it stops; running
+    sums per kind, over a sample's boundaries in order, tell what is open.
     """
     scheme = scheme or Scheme.default()
-    weigh = F.create_map(*[F.lit(x) for k, w in scheme.weights.items() for x in (k, float(w))])
-    edges = F.array_sort(F.array_distinct(F.concat(F.transform(spans, lambda s: s["start"]), F.transform(spans, lambda s: s["stop"]))))
-
-    def run(low: Column, i: Column) -> Column:
-        high = F.get(edges, i + 1)
-        cover = F.filter(spans, lambda s: (s["start"] <= low) & (s["stop"] >= high))
-        tag = F.exists(cover, lambda s: s["kind"] == "tag")
-        weight = F.when(tag, F.lit(float(scheme["tag"]))).otherwise(F.array_max(F.transform(cover, lambda s: F.try_element_at(weigh, s["kind"]))))
-        return F.struct(low.alias("start"), high.alias("stop"), weight.alias("weight"))
-
-    return F.filter(F.transform(edges, run), lambda r: r["stop"].isNotNull() & r["weight"].isNotNull())
-
-
-def runs(spans: DataFrame, scheme: Scheme | None = None) -> DataFrame:
-    """``sample_id, start, stop, weight`` from span rows; a sample's spans are gathered, which its text's length bounds."""
-    gathered = spans.groupBy("sample_id").agg(F.array_sort(F.collect_list(F.struct("start", "stop", "kind"))).alias("s"))
-    return gathered.select("sample_id", F.explode(compose_runs(F.col("s"), scheme)).alias("r")).select("sample_id", "r.*")
+    kinds = [k for k in dict.fromkeys((*scheme.weights, "tag"))]
+    ends = F.array(F.struct(F.col("start").alias("at"), F.lit(1).alias("step")), F.struct(F.col("stop").alias("at"), F.lit(-1).alias("step")))
+    each = spans.select("sample_id", "kind", F.explode(ends).alias("e"))
+    # the shuffle is by sample, so that the windows need no other one
+    steps = [F.sum(F.when(F.col("kind") == k, F.col("e.step")).otherwise(0)).alias(f"_{k}") for k in kinds]
+    bounds = each.repartition("sample_id").groupBy("sample_id", F.col("e.at").alias("start")).agg(*steps)
+    order = Window.partitionBy("sample_id").orderBy("start")
+    upto = order.rowsBetween(Window.unboundedPreceding, 0)
+    rows = bounds.select("sample_id", "start", F.lead("start").over(order).alias("stop"), *[(F.sum(f"_{k}").over(upto) > 0).alias(f"_{k}") for k in kinds])
+    top = [F.when(F.col(f"_{k}"), F.lit(float(scheme[k]))) for k in scheme.weights]
+    weight = F.when(F.col("_tag"), F.lit(float(scheme["tag"]))).otherwise(F.greatest(*top, F.lit(None).cast("double")))
+    return rows.select("sample_id", "start", "stop", weight.alias("weight")).where("stop is not null and weight is not null")
 
 
 def project_mean(tokens: DataFrame, run_rows: DataFrame) -> DataFrame:
     """``sample_id, pos, weight``: the mean over a token's characters of the larger of its own weight and the run's.
 
-    A range join within the sample: tokens that no run touches keep their weight.
+    A merge by position: the boundaries of tokens and runs of a sample in order cut
+    it into segments that at most one token and one run cover, the last ones begun.
+    Tokens that no run touches keep their weight; tokens and runs must not overlap
+    among themselves. A token without characters keeps its weight.
     """
-    r = run_rows.select(F.col("sample_id").alias("_s"), F.col("start").alias("_a"), F.col("stop").alias("_b"), F.col("weight").alias("_w"))
-    t = tokens.select("sample_id", "pos", "start", "stop", "weight")
-    joined = t.join(r, (t["sample_id"] == r["_s"]) & (r["_a"] < t["stop"]) & (r["_b"] > t["start"]), "left")
-    part = F.least("stop", "_b") - F.greatest("start", "_a")
-    size = F.col("stop") - F.col("start")
-    gain = F.coalesce(F.sum(part * F.greatest(F.lit(0.0), F.col("_w") - F.col("weight"))), F.lit(0.0))
-    return joined.groupBy("sample_id", "pos", "start", "stop", "weight").agg(gain.alias("_g")).select("sample_id", "pos", (F.col("weight") + F.col("_g") / size).alias("weight"))
+    info = "struct<pos:int,start:int,stop:int,weight:double>"
+    t = tokens.select("sample_id", F.struct(F.col("pos").cast("int").alias("pos"), F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("weight").cast("double").alias("weight")).alias("tok"))
+    r = run_rows.select("sample_id", F.struct(F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("weight").cast("double").alias("weight")).alias("run"))
+    none = lambda kind: F.lit(None).cast(kind)
+    events = t.select("sample_id", F.col("tok.start").alias("at"), "tok", none("struct<start:int,stop:int,weight:double>").alias("run"))
+    events = events.union(t.select("sample_id", F.col("tok.stop"), none(info), none("struct<start:int,stop:int,weight:double>")))
+    events = events.union(r.select("sample_id", F.col("run.start"), none(info), "run")).union(r.select("sample_id", F.col("run.stop"), none(info), none("struct<start:int,stop:int,weight:double>")))
+    merged = events.repartition("sample_id").groupBy("sample_id", "at").agg(F.max("tok").alias("tok"), F.max("run").alias("run"))
+    order = Window.partitionBy("sample_id").orderBy("at")
+    upto = order.rowsBetween(Window.unboundedPreceding, 0)
+    cut = merged.select("sample_id", "at", F.lead("at").over(order).alias("to"), F.last("tok", True).over(upto).alias("tok"), F.last("run", True).over(upto).alias("run"))
+    inside = cut.where(F.col("tok").isNotNull() & ((F.col("tok.stop") > F.col("at")) | (F.col("tok.stop") == F.col("tok.start")) & (F.col("tok.start") == F.col("at"))))
+    over = F.when(F.col("run.stop") > F.col("at"), F.greatest(F.lit(0.0), F.col("run.weight") - F.col("tok.weight"))).otherwise(F.lit(0.0))
+    gain = F.sum((F.coalesce(F.col("to"), F.col("at")) - F.col("at")) * F.coalesce(over, F.lit(0.0)))
+    size = F.nullif(F.col("tok.stop") - F.col("tok.start"), F.lit(0))
+    found = inside.groupBy("sample_id", "tok").agg(gain.alias("_g"))
+    return found.select("sample_id", "tok.pos", (F.col("tok.weight") + F.coalesce(F.col("_g") / size, F.lit(0.0))).alias("weight"))
 
 
 def normalise(weights: Column, how: str = "sum") -> Column:

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from leakaudit.operators.tokens import context
+from leakaudit.runtime import lookup, materialise
 
 ALPHA = 0.01
 CHUNK = 16
@@ -33,10 +34,16 @@ def exposed(tokens: DataFrame, sixteenths: int = 1) -> DataFrame:
     return tokens if sixteenths >= 16 else tokens.where(chunk_digit() < F.lit("0123456789abcdef"[sixteenths]))
 
 
-def count_rows(tokens: DataFrame, layers: tuple[int, ...]) -> DataFrame:
-    """``layer, ctx, tok, n``; the map side combines, so a frequent context costs one row a task."""
+def count_rows(tokens: DataFrame, layers: tuple[int, ...], needed: DataFrame | None = None) -> DataFrame:
+    """``layer, ctx, tok, n``; the map side combines, so a frequent context costs one row a task.
+
+    With ``needed`` (layer, ctx), other contexts are never counted: the stream is semi-joined first.
+    """
     each = F.array(*[F.struct(F.lit(k).alias("layer"), context(k).alias("ctx")) for k in layers])
-    return tokens.select("key", F.explode(each).alias("c")).groupBy(F.col("c.layer").alias("layer"), F.col("c.ctx").alias("ctx"), F.col("key").alias("tok")).agg(F.count(F.lit(1)).alias("n"))
+    rows = tokens.select("key", F.explode(each).alias("c")).select("c.layer", "c.ctx", F.col("key").alias("tok"))
+    if needed is not None:
+        rows = lookup(rows, materialise(needed.select("layer", "ctx").distinct(), "needed"), ["layer", "ctx"], "left_semi")
+    return rows.groupBy("layer", "ctx", "tok").agg(F.count(F.lit(1)).alias("n"))
 
 
 def moments(counts: DataFrame, alpha: float = ALPHA) -> DataFrame:
@@ -57,15 +64,13 @@ def train(tokens: DataFrame, sixteenths: int = 1, layers: tuple[int, ...] = (1,)
     """The target of the member samples among ``tokens``.
 
     The vocabulary is that of the members at full exposure, plus one slot.
-    ``needed`` (layer, ctx) keeps only contexts that somebody will ask for: at scale
-    the token stream is semi-joined before it is counted.
+    ``needed`` (layer, ctx) names the contexts that somebody will ask for, where
+    these are few: the token stream is semi-joined with them before it is counted.
     """
     members = tokens.where("is_member")
     vocabulary = members.agg((F.count_distinct("key") + 1).alias("v"))
     shown = exposed(members, sixteenths)
-    counts = count_rows(shown, layers)
-    if needed is not None:
-        counts = counts.join(needed.select("layer", "ctx").distinct(), ["layer", "ctx"], "left_semi")
+    counts = count_rows(shown, layers, needed)
     return CountTarget(counts, moments(counts, alpha), vocabulary, alpha)
 
 

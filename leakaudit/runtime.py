@@ -2,10 +2,9 @@
 
 from __future__ import annotations
 
-import atexit
-import os
-import shutil
+import re
 import tempfile
+import threading
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
@@ -17,23 +16,16 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 100_000
 
 
-#: Folders of the tables written by this driver.
-_WRITTEN: list[str] = []
-
-
-@atexit.register
-def _forget() -> None:
-    """When the driver ends, local copies of its intermediate tables go; on another file system they are left to its own rules."""
-    for path in _WRITTEN:
-        local = path.removeprefix("file://")
-        if os.path.isdir(local):
-            shutil.rmtree(local, ignore_errors=True)
-
-
 def shared_dir(spark: SparkSession) -> str:
-    """The folder every executor can reach: ``spark.checkpoint.dir``, set here only when the session has none."""
+    """The folder every executor can reach: ``spark.checkpoint.dir``.
+
+    Only a local session, whose executors are the driver, gets a folder of its own
+    where none is set; on a cluster that would be a folder of one machine: an error.
+    """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         found = tempfile.mkdtemp(prefix="leakaudit-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -43,27 +35,42 @@ def materialise(df: DataFrame, tag: str = "t") -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back.
 
     Cuts the lineage: a lost executor costs only the stage that reads the table.
+    The table is deleted when the driver's JVM ends, on whatever file system it is.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/leakaudit/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _WRITTEN.append(path)
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
 
 
+_HELD: dict[int, list] = {}
+_LOCK = threading.Lock()
+
+
 @contextmanager
 def batch_rows(spark: SparkSession, rows: int) -> Iterator[None]:
-    """Within this block Arrow batches hold at most so many rows; what the session had set holds again afterwards.
+    """Within this block Arrow batches hold at most so many rows; what the session had set holds again after the last such block.
 
-    For jobs that run within the block, such as ``materialise``.
+    For jobs that run within the block, such as ``materialise``. Blocks of several
+    threads may overlap: the least bound holds while any of them lasts, which no
+    result depends on.
     """
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, str(min(rows, int(before)) if int(before) > 0 else rows))
+    with _LOCK:
+        held = _HELD.setdefault(id(spark), [0, spark.conf.get(key)])
+        held[0] += 1
+        now = int(spark.conf.get(key))
+        spark.conf.set(key, str(min(rows, now) if now > 0 else rows))
     try:
         yield
     finally:
-        spark.conf.set(key, before)
+        with _LOCK:
+            held[0] -= 1
+            if not held[0]:
+                spark.conf.set(key, held[1])
+                del _HELD[id(spark)]
 
 
 def lookup(big: DataFrame, small: DataFrame, on: list[str], how: str = "inner", salts: int = 64, rows: int = BROADCAST_ROWS) -> DataFrame:

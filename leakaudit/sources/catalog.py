@@ -65,7 +65,8 @@ EXTENSIONS = {"py": "python", "java": "java", "go": "go", "rb": "ruby", "rs": "r
 
 def code_files(spark: SparkSession, uri: str) -> DataFrame:
     """``sample_id, slice, text`` of a directory tree of source files; the slice follows from the extension, others are left out."""
-    rows = spark.read.option("wholetext", True).option("recursiveFileLookup", True).text(uri).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
+    # binary: the text reader drops a file's last line feed, which format rules look at
+    rows = spark.read.format("binaryFile").option("recursiveFileLookup", True).load(uri).select("path", F.make_valid_utf8(F.col("content").cast("string")).alias("text"))
     kind = F.create_map(*[F.lit(x) for pair in EXTENSIONS.items() for x in pair])
     named = rows.withColumn("slice", F.try_element_at(kind, F.element_at(F.split("path", r"\."), -1)))
     return named.where("slice is not null").select(F.xxhash64("path").alias("sample_id"), "slice", "text")

@@ -100,6 +100,34 @@ def test_lint_rules_fire_where_they_should(spark, rule, bad, good, line, column)
     assert rows[0].start == starts[line - 1] + column - 1 and rows[0].stop > rows[0].start
 
 
+def test_every_fault_of_a_line_is_found(spark):
+    text = "f(a,b,c,d)  \nx  = 1 ; y  = 2\n\x1ff(a,b)\n"
+    rows = linting.lint_python(frame(spark, [(1, "python", text)])).collect()
+    got = sorted((r.rule, r.line, r.column, text[r.start : r.stop]) for r in rows)
+    assert got == [("E203", 2, 7, " "), ("E221", 2, 2, "  "), ("E221", 2, 11, "  "), ("E231", 1, 4, ","), ("E231", 1, 6, ","), ("E231", 1, 8, ","), ("E231", 3, 5, ","), ("W291", 1, 11, "  ")]
+
+
+def test_mean_projection_equals_single_characters(spark):
+    import random
+
+    rng = random.Random(4)
+    toks, runs = [], []
+    for sample in (1, 2, 3):
+        for out, kind in ((toks, "t"), (runs, "r")):
+            at, pos = 0, 0
+            while at < 120 and not (kind == "r" and sample == 3):
+                a = at + rng.randint(0, 3)
+                at, pos = a + rng.randint(1, 9), pos + 1
+                out.append((sample, pos, a, at, float(rng.choice([0.1, 1, 3, 5, 10]))) if kind == "t" else (sample, a, at, float(rng.choice([2, 5, 10]))))
+    toks.append((3, 999, 500, 500, 1.0))
+    got = mask.project_mean(spark.createDataFrame(toks, "sample_id long, pos int, start int, stop int, weight double"), spark.createDataFrame(runs, "sample_id long, start int, stop int, weight double"))
+    got = {(r.sample_id, r.pos): r.weight for r in got.collect()}
+    assert len(got) == len(toks)
+    for sample, pos, a, b, w in toks:
+        each = [max([w, *(x for s, c, d, x in runs if s == sample and c <= at < d)]) for at in range(a, b)] or [w]
+        assert abs(got[(sample, pos)] - sum(each) / len(each)) < 1e-9
+
+
 def test_sql_functions_and_parser_spans(spark):
     surface.register(spark)
     row = spark.sql("SELECT sigmoid(0D) AS s, token_class('a_longer_name') AS c, class_weight(token_class('TODO')) AS w").first()
