@@ -7,12 +7,12 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from leakaudit.llm.common import lean, packed, pieces, utf8
 from leakaudit.operators.components import connected_components
-from leakaudit.runtime import batch_rows, materialise
+from leakaudit.runtime import BROADCAST_ROWS, batch_rows, materialise
 
 SHINGLE = 4
 MOST_BITS = 4
@@ -44,17 +44,24 @@ def fingerprint(words: list[bytes], shingle: int = SHINGLE) -> int:
     return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<u8")[0])
 
 
-def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """``doc_id, fp`` (signed 64 bits) of every row; ASCII capitals are lowered, a null text has no words."""
+def _key(doc_id: Column, text: Column) -> Column:
+    """What tells rows apart: a digest of doc_id and text, never null. Rows that repeat both share it."""
+    return F.unhex(F.sha2(F.concat(F.coalesce(doc_id.cast("string"), F.lit("")), F.lit("/"), F.coalesce(text, F.lit("")), F.when(text.isNull(), "/").otherwise("")), 256))
+
+
+def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, keyed: bool = False) -> DataFrame:
+    """``doc_id, fp`` (signed 64 bits) of every row; ASCII capitals are lowered, a null text has no words. ``keyed`` adds ``key``, see ``_key``."""
 
     @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
             found = np.array([fingerprint(x.lower().split(), shingle) for x in utf8(part.column("text"))], np.uint64)
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(found.view(np.int64))], ["doc_id", "fp"])
+            also = {"key": part.column("key")} if keyed else {}
+            yield pa.RecordBatch.from_pydict({"doc_id": part.column("doc_id"), "fp": pa.array(found.view(np.int64)), **also})
 
-    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, fp long")
+    also = [_key(F.col(doc_id).cast("long"), F.col(text).cast("string")).alias("key")] if keyed else []
+    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), *also)
+    return rows.mapInArrow(run, "doc_id long, fp long" + ", key binary" * keyed)
 
 
 def variants(fps: DataFrame) -> DataFrame:
@@ -205,6 +212,15 @@ def edges(fps: DataFrame, bits: int = MOST_BITS, chunk: int = CHUNK) -> DataFram
     return first.where("kind = 0").select("a", "b").union(materialise(second, "links").select("a", "b"))
 
 
+def _classes(rows: DataFrame, first: Column, bits: int) -> DataFrame:
+    """``fp, first``: every fingerprint of ``rows`` with the least ``first`` over all rows whose fingerprints it reaches."""
+    names = materialise(rows.groupBy("fp").agg(F.min(first).alias("low")), "distinct")
+    found = connected_components(edges(names.select("fp"), bits))
+    joined = names.join(found, names["fp"] == found["node"], "left").select("fp", "low", F.coalesce("component", "fp").alias("root"))
+    least = joined.groupBy("root").agg(F.min("low").alias("first"))
+    return materialise(joined.join(least, "root").select("fp", "first"), "roots")
+
+
 def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, bits: int = MOST_BITS) -> DataFrame:
     """One row per row of ``docs``: ``doc_id, fp, component_id``, the smallest doc_id reachable over links of at most ``bits`` bits.
 
@@ -215,16 +231,30 @@ def near_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shi
     """
     with batch_rows(docs.sparkSession, 2000):
         rows = materialise(fingerprints(docs, doc_id, text, shingle), "fps")
-    names = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("low")), "distinct")
-    found = connected_components(edges(names.select("fp"), bits))
-    joined = names.join(found, names["fp"] == found["node"], "left").select("fp", "low", F.coalesce("component", "fp").alias("root"))
-    roots = joined.groupBy("root").agg(F.min("low").alias("component_id"))
-    table = materialise(joined.join(roots, "root").select("fp", "component_id"), "roots")
+    table = _classes(rows, F.col("doc_id"), bits).select("fp", F.col("first").alias("component_id"))
     return rows.join(table, "fp").select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay: of each group the one that names it, once even if its row is repeated."""
-    stay = near_groups(docs, doc_id, text).where("doc_id <=> component_id").select(F.col("doc_id").alias("_keep")).distinct()
-    rows = docs.select(packed(docs).alias("_row"), F.col(doc_id).cast("long").alias("_id"))
-    return rows.join(stay, F.col("_id").eqNullSafe(F.col("_keep")), "left_semi").dropDuplicates(["_id"]).select("_row.*")
+def keep_one(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, bits: int = MOST_BITS) -> DataFrame:
+    """The rows of ``docs`` that stay, with all their columns: of each group exactly one, that of least doc_id (null last).
+
+    Groups are told apart by fingerprints, rows by a digest of doc_id and text:
+    unlike texts under one doc_id, or without one, each stay. Of rows that share a
+    doc_id within a group the one of least digest stays; of rows that repeat both,
+    any one. Texts aren't shuffled where the digests of the dropped rows are few
+    enough to be broadcast; beyond that bound they are joined.
+    """
+    spark = docs.sparkSession
+    with batch_rows(spark, 2000):
+        rows = materialise(fingerprints(docs, doc_id, text, shingle, keyed=True), "fps")
+    once = rows.groupBy("doc_id", "fp", "key").agg(F.count(F.lit(1)).alias("n"))
+    table = _classes(rows, F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key"), bits).select("fp", F.col("first.key").alias("stays"))
+    judged = materialise(once.join(table, "fp").where("key <> stays or n > 1").select("key", (F.col("key") == F.col("stays")).alias("stays")), "judged")
+    gone, repeated = judged.where("not stays").select("key"), judged.where("stays").select("key")
+    each = docs.select(packed(docs).alias("_row"), _key(F.col(doc_id).cast("long"), F.col(text).cast("string")).alias("key"))
+    few = lambda keys: F.broadcast(keys) if keys.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else keys
+    left = each.join(few(gone), "key", "left_anti")
+    if not repeated.isEmpty():
+        repeated = few(repeated)
+        left = left.join(repeated, "key", "left_anti").union(left.join(repeated, "key", "left_semi").dropDuplicates(["key"]))
+    return left.select("_row.*")

@@ -77,7 +77,21 @@ def test_simhash_groups_equal_brute_force(spark):
     assert simhash.near_groups(empty(spark)).count() == 0
     df = edge(spark)
     out = simhash.keep_one(df)
-    assert out.columns == df.columns and sorted(repr(r.doc_id) for r in out.collect()) == sorted(repr(x) for x in set(groups.values()))
+    first = {groups[f]: None for _, f in fps}
+    assert out.columns == df.columns and sorted(repr(r.doc_id) for r in out.collect()) == sorted(map(repr, first))
+
+
+def test_one_row_of_each_group_stays(spark):
+    unlike = [" ".join(f"{w}{k}" for k in range(60)) for w in ("alpha", "beta", "gamma", "delta", "epsilon", "zeta")]
+    texts = [(5, unlike[0]), (5, unlike[1]), (6, unlike[2]), (None, unlike[3]), (None, unlike[4])]
+    extra = [(7, unlike[0]), (5, unlike[0]), (None, unlike[3]), (8, unlike[3] + " "), (9, unlike[5]), (9, unlike[5].upper()), (3, None), (2, "")]
+    rows = lambda t: spark.createDataFrame([(k, x, n) for n, (k, x) in enumerate(t)], "doc_id long, text string, key int")
+    assert simhash.keep_one(rows(texts)).count() == 5
+    df = rows(texts + extra)
+    got = simhash.keep_one(df)
+    kept = sorted((str(r.doc_id), (r.text or "").strip().lower()) for r in got.collect())
+    assert got.columns == df.columns
+    assert kept == sorted([("5", unlike[0]), ("5", unlike[1]), ("6", unlike[2]), ("8", unlike[3]), ("None", unlike[4]), ("9", unlike[5]), ("2", "")])
 
 
 def test_links_of_dense_and_random_fingerprints_in_chunks(spark):
