@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import zstandard
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, GroupedData
 from pyspark.sql import functions as F
 
 from leakaudit.llm.common import lean, trim
@@ -32,6 +32,8 @@ BLOCK_BYTES = 16 << 20
 PIECE = 2048
 #: Words of about so many bytes are numbered at once.
 SLICE_BYTES = 2 << 20
+#: Ids of a document are decoded in rows of so many at most; ids below DENSE are looked up by place.
+STEP, DENSE = 1024, 1 << 24
 #: Words are dealt to so many parts by a hash at most; each part encodes its distinct words.
 MOST_PARTS = 4096
 #: Each word is followed by END. Where a text itself has one of the two, it is escaped by characters of the same class, which moves no word's end.
@@ -261,6 +263,16 @@ def _ids_of_block(table: pa.Table) -> pa.Table:
     return pa.table([doc_ids, pa.ListArray.from_arrays(pa.array(bounds), pa.array(np.concatenate(streams)))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
 
 
+def _blocks(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) -> GroupedData:
+    """Per block the documents' codes and the ids of each part's words."""
+    parts = min(MOST_PARTS, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    cut = F.regexp_extract_all(marked(F.col(text), vocabulary.specials), F.lit("(?s).{1,%d}" % PIECE), F.lit(0))
+    split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(cut).alias("pos", "piece"))
+    blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
+    ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
+    return blocks.where("part < 0").union(ids).groupBy("block")
+
+
 def encode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, ids`` of every row, as the tokenizers library encodes it without adding special tokens.
 
@@ -271,20 +283,50 @@ def encode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text
     of PIECE code points, a block some BLOCK_BYTES (or one longer document). Null
     texts and empty ones have no ids; repeated rows each get theirs; no rows give none.
     """
-    parts = min(MOST_PARTS, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    cut = F.regexp_extract_all(marked(F.col(text), vocabulary.specials), F.lit("(?s).{1,%d}" % PIECE), F.lit(0))
-    split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(cut).alias("pos", "piece"))
-    blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
-    ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
-    return blocks.where("part < 0").union(ids).groupBy("block").applyInArrow(_ids_of_block, "doc_id long, ids array<int>")
+    return _blocks(docs, vocabulary, doc_id, text).applyInArrow(_ids_of_block, "doc_id long, ids array<int>")
+
+
+_ASKED = "doc_id long, first boolean, ids array<int>, ask array<int>"
+
 
+def _asked(doc_id: pa.Array, ids: pa.Array) -> pa.RecordBatch:
+    """A row that asks for the pieces of all distinct ids (``ask``), then the documents' ids in rows of STEP at most."""
+    sizes = pc.fill_null(pc.list_value_length(ids), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = pc.fill_null(ids.flatten(), -1)
+    values = flat.to_numpy(zero_copy_only=False)
+    small = len(values) and values.min() >= 0 and values.max() < DENSE
+    distinct = np.flatnonzero(np.bincount(values)) if small else np.unique(values)
+    rows = np.maximum(1, -(-sizes // STEP))
+    doc = np.repeat(np.arange(len(sizes)), rows)
+    inside = (np.arange(len(doc)) - np.repeat(np.cumsum(rows) - rows, rows)) * STEP
+    bounds = np.concatenate(([0], (np.cumsum(sizes) - sizes)[doc] + inside, [len(values)])).astype(np.int32)
+    ask = np.concatenate(([0], np.full(len(doc) + 1, len(distinct)))).astype(np.int32)
+    return pa.RecordBatch.from_arrays(
+        [doc_id.take(pa.array(np.concatenate(([0], doc + 1)) - 1, pa.int64(), mask=np.arange(len(doc) + 1) == 0)), pa.array(np.concatenate(([False], inside == 0))),
+         pa.ListArray.from_arrays(pa.array(bounds), flat.cast(pa.int32())), pa.ListArray.from_arrays(pa.array(ask), pa.array(distinct.astype(np.int32)))], ["doc_id", "first", "ids", "ask"])
 
-def _placed(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str, ids: str) -> DataFrame:
-    """``doc_id, pos, id, piece``: each id joined to its piece. The table of pieces is broadcast: it has as many rows as the vocabulary, whatever the input."""
+
+def _asked_of_block(table: pa.Table) -> pa.Table:
+    found = _ids_of_block(table).combine_chunks().to_batches()
+    return pa.Table.from_batches([_asked(b.column("doc_id"), b.column("ids")) for b in found])
+
+
+@lean
+def _asked_of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        if batch.num_rows:
+            yield _asked(batch.column("doc_id"), batch.column("ids"))
+
+
+def _placed(asked: DataFrame, vocabulary: Vocabulary) -> DataFrame:
+    """``doc_id, first, ids, id, piece``: every id that is asked for, joined to its piece, before the rows that need it.
+
+    The table of pieces is broadcast: it has as many rows as the vocabulary, whatever the input.
+    """
     pieces = vocabulary.pieces()
-    table = encoded.sparkSession.createDataFrame(pa.table({"id": pa.array(range(len(pieces)), pa.int32()), "piece": pa.array(pieces, pa.binary())}))
-    rows = encoded.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(F.col(ids).cast("array<int>")).alias("pos", "id"))
-    return rows.join(F.broadcast(table), "id", "left").select("doc_id", "pos", "id", "piece")
+    table = asked.sparkSession.createDataFrame(pa.table({"id": pa.array(range(len(pieces)), pa.int32()), "piece": pa.array(pieces, pa.binary())}))
+    rows = asked.select("doc_id", "first", "ids", F.explode_outer("ask").alias("id"))
+    return rows.join(F.broadcast(table), "id", "left").select("doc_id", "first", "ids", "id", "piece")
 
 
 class _Digests:
@@ -321,11 +363,37 @@ class _Text:
         return self.doc_id, b"".join(self.parts).decode("utf-8", "replace")
 
 
+class _Pieces:
+    """The pieces of the ids that were asked for last."""
+
+    def __init__(self) -> None:
+        self.ids, self.pieces, self.open = [], [], True
+
+    def add(self, ids: pa.Array, pieces: pa.Array) -> None:
+        if not self.open:
+            self.__init__()
+        self.ids.append(ids.to_numpy(zero_copy_only=False))
+        self.pieces.append(pc.fill_null(pieces, b""))
+
+    def of(self, ids: np.ndarray) -> tuple[np.ndarray, memoryview]:
+        """Where each id's piece ends in the bytes of all, and these."""
+        if self.open:
+            self.known, self.open = np.concatenate([np.zeros(0, np.int32), *self.ids]), False
+            self.table = pa.concat_arrays([pa.array([], pa.binary()), *self.pieces])
+            self.order = np.argsort(self.known, kind="stable")
+            self.place = None
+            if len(self.known) and self.known.min() >= 0 and self.known.max() < DENSE:
+                self.place = np.zeros(int(self.known.max()) + 1, np.int32)
+                self.place[self.known] = np.arange(len(self.known))
+        at = self.place[ids] if self.place is not None else self.order[np.searchsorted(self.known, ids, sorter=self.order)]
+        found = self.table.take(pa.array(at))
+        return np.frombuffer(found.buffers()[1], np.int32)[found.offset :][: len(found) + 1], memoryview(found.buffers()[2] or b"")
+
+
 def _in_order(kind: type) -> Callable:
-    """(doc_id, pos, id, piece), each document's rows together and in order -> the rows that ``kind`` makes of each document.
+    """Rows of ``_placed`` in their order -> the rows that ``kind`` makes of each document.
 
-    The rows come from one explosion and a broadcast join, which keep their order
-    within a task; a row out of order is an error, not a wrong result.
+    They come from one explosion and a broadcast join, which keep the order within a task.
     """
 
     def made(rows: list[tuple]) -> pa.RecordBatch:
@@ -333,33 +401,31 @@ def _in_order(kind: type) -> Callable:
 
     @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        doc, last, out, held = None, -1, [], 0
+        doc, out, held, pieces = None, [], 0, _Pieces()
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            pos = pc.fill_null(batch.column("pos"), 0).to_numpy(zero_copy_only=False)
-            empty = batch.column("pos").is_null().to_numpy(zero_copy_only=False)
-            before = np.concatenate(([last], pos[:-1]))
-            if ((pos != before + 1) & (pos != 0)).any():
-                raise RuntimeError("pieces came out of order")
-            ids, piece = pc.fill_null(batch.column("id"), 0).to_numpy(zero_copy_only=False), pc.fill_null(batch.column("piece"), b"")
-            offsets = np.frombuffer(piece.buffers()[1], np.int32)[piece.offset : piece.offset + len(piece) + 1]
-            data = memoryview(piece.buffers()[2] or b"")
-            starts = np.flatnonzero(pos == 0).tolist()
-            names = batch.column("doc_id").take(pa.array(starts, pa.int64())).to_pylist()
-            if doc is not None and (not starts or starts[0] > 0):
-                to = starts[0] if starts else len(pos)
-                doc.add(ids[:to], bytes(data[offsets[0] : offsets[to]]))
-            for name, a, b in zip(names, starts, [*starts, len(pos)][1:], strict=True):
-                if doc is not None:
-                    out.append(doc.row())
-                doc = kind(name)
-                if not empty[a]:
-                    doc.add(ids[a:b], bytes(data[offsets[a] : offsets[b]]))
-            last, held = int(pos[-1]), held + int(offsets[-1] - offsets[0])
-            if out and (held >= SLICE_BYTES or len(out) >= 1000):
-                yield made(out)
-                out, held = [], 0
+            asks = batch.column("id").is_valid().to_numpy(zero_copy_only=False)
+            turns = np.flatnonzero(np.concatenate(([True], asks[1:] != asks[:-1], [True]))).tolist() if len(asks) else []
+            for a, b in zip(turns, turns[1:], strict=False):
+                part = batch.slice(a, b - a)
+                if asks[a]:
+                    pieces.add(part.column("id"), part.column("piece"))
+                    continue
+                lists = part.column("ids")
+                ids = lists.flatten().to_numpy(zero_copy_only=False)
+                ends = np.concatenate(([0], np.cumsum(pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False)))).tolist()
+                offsets, data = pieces.of(ids) if len(ids) else (np.zeros(1, np.int32), memoryview(b""))
+                for k, (name, first) in enumerate(zip(part.column("doc_id").to_pylist(), part.column("first").to_pylist(), strict=True)):
+                    if first:
+                        if doc is not None:
+                            out.append(doc.row())
+                        doc = kind(name)
+                    x, y = ends[k], ends[k + 1]
+                    if y > x:
+                        doc.add(ids[x:y], bytes(data[offsets[x] : offsets[y]]))
+                held += len(data)
+                if out and (held >= SLICE_BYTES or len(out) >= 1000):
+                    yield made(out)
+                    out, held = [], 0
         if doc is not None:
             yield made([*out, doc.row()])
 
@@ -367,11 +433,15 @@ def _in_order(kind: type) -> Callable:
 
 
 def decode(encoded: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
-    """``doc_id, text``: every id joined to its piece, the pieces joined in order. Null ids give an empty text, an id without a piece nothing."""
-    return _placed(encoded, vocabulary, doc_id, ids).mapInArrow(_in_order(_Text), "doc_id long, text string")
+    """``doc_id, text``: ids joined to their pieces, the pieces put together in order. Null ids give an empty text, an id without a piece nothing.
+
+    As in encoding, what is joined are the distinct ids of each batch of rows; positions take theirs from the joined rows that come before them.
+    """
+    rows = encoded.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(ids).cast("array<int>").alias("ids")).mapInArrow(_asked_of_rows, _ASKED)
+    return _placed(rows, vocabulary).mapInArrow(_in_order(_Text), "doc_id long, text string")
 
 
 def digests(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ``encode``, then ``decode`` with only the digests leaving the worker."""
-    placed = _placed(encode(docs, vocabulary, doc_id, text), vocabulary, "doc_id", "ids")
-    return placed.mapInArrow(_in_order(_Digests), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256``: ``encode``, then ``decode`` block by block with only the digests leaving the worker."""
+    rows = _blocks(docs, vocabulary, doc_id, text).applyInArrow(_asked_of_block, _ASKED)
+    return _placed(rows, vocabulary).mapInArrow(_in_order(_Digests), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

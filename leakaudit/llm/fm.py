@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-#: Suffixes are sorted by so many symbols; patterns of up to this length are found exactly.
+#: Suffixes are sorted by so many symbols at least; patterns of up to this length are found exactly.
 DEPTH = 64
 
 
@@ -45,14 +45,15 @@ class Wavelet:
 
 
 class Index:
-    """The index of ``text`` (symbols from 1 on; 0 ends it)."""
+    """The index of ``text`` (symbols from 1 on; 0 ends it), for patterns of up to ``depth`` symbols."""
 
-    def __init__(self, text: np.ndarray):
+    def __init__(self, text: np.ndarray, depth: int = DEPTH):
+        self.depth = 1 << max(0, depth - 1).bit_length()
         text = np.concatenate((np.asarray(text, np.int64), [0]))
         n = len(text)
         _, first = np.unique(text, return_inverse=True)
         ranks, width = {1: first.astype(np.int64)}, 1
-        while width < DEPTH:
+        while width < self.depth:
             r = ranks[width]
             later = np.zeros(n, np.int64)
             later[: max(0, n - width)] = r[width:] + 1
@@ -62,7 +63,7 @@ class Index:
             ranks[2 * width] = np.empty(n, np.int64)
             ranks[2 * width][order] = step
             width *= 2
-        self.suffixes = np.argsort(ranks[DEPTH], kind="stable")
+        self.suffixes = np.argsort(ranks[self.depth], kind="stable")
         self.n, self.ranks = n, ranks
         bits = max(1, int(text.max()).bit_length())
         self.counts = np.concatenate(([0], np.cumsum(np.bincount(text, minlength=1 << bits))))
@@ -70,14 +71,14 @@ class Index:
         self._table: list[np.ndarray] | None = None
 
     def common(self) -> np.ndarray:
-        """Symbols that each row shares with the row before, up to ``DEPTH`` (row 0: none)."""
+        """Symbols that each row shares with the row before, up to ``depth`` (row 0: none)."""
         a, b = self.suffixes[1:].copy(), self.suffixes[:-1].copy()
         found = np.zeros(len(a), np.int64)
-        width = DEPTH
+        width = self.depth
         while width:
             inside = (a + found < self.n) & (b + found < self.n)
             x, y = np.minimum(a + found, self.n - 1), np.minimum(b + found, self.n - 1)
-            found += width * (inside & (found + width <= DEPTH) & (self.ranks[width][x] == self.ranks[width][y]))
+            found += width * (inside & (found + width <= self.depth) & (self.ranks[width][x] == self.ranks[width][y]))
             width //= 2
         return np.concatenate(([0], found))
 
@@ -89,7 +90,7 @@ class Index:
     def shorten(self, row: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All rows that share the first ``length`` symbols with ``row``: nearest lesser common lengths, by doubling."""
         if self._table is None:
-            level, self._table = self.common().astype(np.int8), []
+            level, self._table = self.common().astype(np.int8 if self.depth < 128 else np.int32), []
             while True:
                 self._table.append(level)
                 reach = 1 << (len(self._table) - 1)

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from leakaudit.llm.common import lean, pieces, utf8
-from leakaudit.llm.fm import Index, matching_statistics
+from leakaudit.llm.fm import DEPTH, Index, matching_statistics
 from leakaudit.runtime import materialise
 
 WINDOW = 50
@@ -124,7 +124,7 @@ def shard_runs(contents: list[bytes], lows: np.ndarray, indexed: np.ndarray, win
     for k in inside.tolist():
         text += [coded[k], np.ones(1, np.int64)]
         owner.append(np.full(len(coded[k]) + 1, lows[k]))
-    index = Index(np.concatenate(text))
+    index = Index(np.concatenate(text), max(DEPTH, window))
     owner = np.concatenate([*owner, [2**63 - 1]])[index.suffixes]
     group = np.concatenate(([True], index.common()[1:] < window))
     starts = np.flatnonzero(group)
@@ -181,8 +181,8 @@ def _search(window: int):
     return run
 
 
-def _strike(window: int):
-    """Candidate documents with the runs of windows to remove -> counts and the digest of what is kept."""
+def _strike(window: int, texts: bool):
+    """Candidate documents with the runs of windows to remove -> counts and the digest of what is kept, or with ``texts`` the id and what is kept."""
 
     @lean
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -196,8 +196,9 @@ def _strike(window: int):
                     edge[r["at"] + r["n"] - 1 + window] -= 1
                 keep = np.cumsum(edge[:-1]) == 0
                 kept = b" ".join(w for w, k in zip(words, keep.tolist(), strict=True) if k)
-                out.append((doc_id, len(words), len(words) - int(keep.sum()), hashlib.sha256(kept).hexdigest(), kept.decode()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)], ["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
+                out.append((doc_id, kept.decode()) if texts else (doc_id, len(words), len(words) - int(keep.sum()), hashlib.sha256(kept).hexdigest()))
+            kinds = {"doc_id": pa.int64(), "kept": pa.string()} if texts else {"doc_id": pa.int64(), "n_words": pa.int64(), "n_removed": pa.int64(), "kept_sha256": pa.string()}
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds.values(), strict=True)], list(kinds))
 
     return run
 
@@ -246,12 +247,12 @@ def strike(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", window:
     never remove each other's passages; an empty table gives no rows.
     """
     survey, found, runs = repeated(docs, doc_id, text, window, shard_words)
-    struck = found.join(runs, ["did", "th"]).select("doc_id", "text", "runs").mapInArrow(_strike(window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    struck = found.join(runs, ["did", "th"]).select("doc_id", "text", "runs").mapInArrow(_strike(window, False), "doc_id long, n_words long, n_removed long, kept_sha256 string")
     rest = survey.join(runs.select("did", "th"), ["did", "th"], "left_anti")
-    return rest.select("doc_id", "n_words", F.lit(0).cast("long").alias("n_removed"), F.col("sha").alias("kept_sha256")).union(struck.drop("kept"))
+    return rest.select("doc_id", "n_words", F.lit(0).cast("long").alias("n_removed"), F.col("sha").alias("kept_sha256")).union(struck)
 
 
 def kept_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", window: int = WINDOW) -> DataFrame:
     """``doc_id, kept`` of the rows that lose words: the words that stay."""
     _, found, runs = repeated(docs, doc_id, text, window)
-    return found.join(runs, ["did", "th"]).select("doc_id", "text", "runs").mapInArrow(_strike(window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string").select("doc_id", "kept")
+    return found.join(runs, ["did", "th"]).select("doc_id", "text", "runs").mapInArrow(_strike(window, True), "doc_id long, kept string")

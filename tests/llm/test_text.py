@@ -29,6 +29,11 @@ def test_bpe_equals_the_tokenizer_and_decodes(spark):
     ids = lambda t: np.array(real.encode(t or "", add_special_tokens=False).ids, "<u4")
     assert sorted(repr(tuple(r)) for r in rows) == sorted(repr((k, len(ids(t)), hashlib.sha256(ids(t).tobytes()).hexdigest(), hashlib.sha256(text(t).encode()).hexdigest())) for k, t in edge_texts())
     assert bpe.digests(empty(spark), v).count() == 0
+    some = spark.createDataFrame([(1, [0, 50_000_000, -7, 1]), (2, None), (None, []), (3, [0] * 5000)], "doc_id long, ids array<int>")
+    piece = v.pieces()
+    assert {r.doc_id: r.text for r in bpe.decode(some, v).collect()} == {1: (piece[0] + piece[1]).decode(), 2: "", None: "", 3: piece[0].decode() * 5000}
+    plan = bpe.digests(edge(spark), v)._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "LeftOuter" in plan
 
 
 def test_packed_numbers_come_back():
@@ -79,6 +84,17 @@ def test_repeated_passages_equal_brute_force(spark):
         assert sorted(repr(tuple(r)) for r in got) == brute_strike(docs, 10)
 
 
+def test_windows_beyond_the_usual_depth(spark):
+    rng = random.Random(2)
+    passage = [rng.choice("abcdef") for _ in range(170)]
+    fill = lambda n: [f"x{rng.random()}" for _ in range(n)]
+    docs = [(k, " ".join(fill(9) + passage[a:b] + fill(9))) for k, (a, b) in enumerate([(0, 170), (0, 170), (40, 125), (0, 70), (90, 170), (10, 89), (10, 90)])]
+    docs += [(10, " ".join(passage[:79] + ["other"] + passage[80:])), (11, " ".join(fill(3) + passage[1:79] + ["other"] + passage[80:165]))]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    for window in (80, 130):
+        assert sorted(repr(tuple(r)) for r in substring.strike(df, window=window).collect()) == brute_strike(docs, window)
+
+
 def test_repeated_passages_on_edge_rows(spark):
     assert sorted(repr(tuple(r)) for r in substring.strike(edge(spark)).collect()) == brute_strike(edge_texts(), 50)
     assert substring.strike(empty(spark)).count() == 0
