@@ -43,7 +43,7 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     chain = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     rows = toxicity.classify(docs.select("doc_id", "text"), chain)
-    return rows.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), *[f"p_{c}" for c in toxicity.CHAIN], F.col("rejected").cast("int").alias("predicted"))
+    return rows.select("row.doc_id", held_out(F.col("row.doc_id")).alias("held_out"), *[f"p_{c}" for c in toxicity.CHAIN], F.col("rejected").cast("int").alias("predicted"))
 
 
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -65,7 +65,7 @@ def test_toxicity_on_held_out_rows_and_in_a_chain(spark, tables):
     docs, labels = tables
     chain = toxicity.train(docs, labels)
     assert [len(m.dense) for m in chain] == [0, 1, 2, 3]  # each model takes the earlier probabilities
-    rows = toxicity.classify(docs, chain).join(labels, "doc_id").where(held_out(F.col("doc_id"))).select("rejected", "toxic").collect()
+    rows = toxicity.classify(docs, chain).select("row.doc_id", "rejected").join(labels, "doc_id").where(held_out(F.col("doc_id"))).select("rejected", "toxic").collect()
     clean, bad = [r.rejected for r in rows if not r.toxic], [r.rejected for r in rows if r.toxic]
     assert sum(clean) / len(clean) < 0.03 and sum(bad) / max(1, len(bad)) > 0.6
     out = toxicity.classify(edge(spark), chain)
@@ -75,8 +75,30 @@ def test_toxicity_on_held_out_rows_and_in_a_chain(spark, tables):
     assert toxicity.classify(empty(spark), chain).count() == 0
 
 
+def test_kinds_are_groups_of_telling_words():
+    rng = np.random.default_rng(5)
+    groups, rows, y, want = [[100, 101, 102], [200, 201], [300, 301, 302]], [], [], []
+    for k in range(900):
+        plain = rng.choice(90, 20, replace=False)
+        toxic = k % 3 == 0
+        mine = rng.choice(3, p=[0.5, 0.3, 0.2]) if toxic else -1
+        rows.append(np.unique(np.concatenate((plain, rng.choice(groups[mine], 2, replace=False) if toxic else []))).astype(np.int32))
+        y.append(float(toxic))
+        want.append(mine)
+    got = toxicity.kinds(rows, np.array(y))
+    assert all((got[k] == (np.arange(3) == want[k])).all() for k in range(900))
+    assert not toxicity.kinds(rows, np.zeros(900)).any()
+
+
+def test_the_chain_against_a_model_alone(spark, tables):
+    docs, labels = tables
+    chain, alone = (toxicity.measure(toxicity.classify(docs, m), labels).first() for m in (toxicity.train(docs, labels), toxicity.train_alone(docs, labels)))
+    assert chain.n == alone.n > 50 and chain.left_alone > 0.97
+    assert chain.caught >= alone.caught - 0.1 and chain.log_loss < alone.log_loss + 0.05
+
+
 def test_planted_toxic_documents_are_caught(spark, tables):
     docs, labels = tables
     chain = toxicity.train(docs, labels)
     planted = spark.createDataFrame([(1, "the and of with idiot the stupid moron of and"), (2, "the and of with this the and of and"), (3, "Worthless, pathetic scum! " + "the and of for " * 300)], "doc_id long, text string")
-    assert {r.doc_id: r.rejected for r in toxicity.classify(planted, chain).collect()} == {1: True, 2: False, 3: True}
+    assert {r.row.doc_id: r.rejected for r in toxicity.classify(planted, chain).collect()} == {1: True, 2: False, 3: True}
