@@ -8,29 +8,35 @@ from pyspark.sql.window import Window
 
 from leakaudit.runtime import materialise
 
-#: Wide lanes: sums of hash halves modulo 2**32, for equality. Narrow lanes: counts of hash bits modulo 2**16, for likeness.
+#: Wide lanes: sums of the halves of paragraphs' hashes modulo 2**32, for equality. Narrow lanes: counts of the bits of units' hashes modulo 2**16, for likeness.
 WIDE, NARROW = 4, 128
 WIDE_MOD, NARROW_MOD = 1 << 32, 1 << 16
-#: A paragraph is a line; its units end at a full stop, mark or bar, or after 32 characters, so that likeness is fine-grained.
+#: A paragraph is a line that isn't empty. Its units end at a full stop, mark or bar, or after 32 characters, so that likeness is fine-grained.
+PARAGRAPH = r"[^\r\n]+"
 UNIT = r"[^.!?|;\r\n]{1,32}[.!?|;]*|[.!?|;]+"
+#: Stands before a paragraph among the parts of a text; no unit has it.
+HEAD = "\n"
 LOWEST = -(2**63)
 
 
-def units(text: Column) -> Column:
-    return F.regexp_extract_all(text, F.lit(UNIT), F.lit(0))
+def parts(text: Column) -> Column:
+    """The units of a text, and its paragraphs, each after HEAD."""
+    found = lambda pattern: F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
+    return F.concat(found(UNIT), F.transform(found(PARAGRAPH), lambda p: F.concat(F.lit(HEAD), p)))
 
 
-def _sums(unit: Column) -> list[Column]:
-    """The aggregates of a multiset: units, four wide sums, and counts of the 128 bits of two hashes, two to a BIGINT.
+def _sums(part: Column) -> list[Column]:
+    """The aggregates of a multiset: four wide sums over paragraphs, and over units counts of the 128 bits of two hashes, two to a BIGINT.
 
-    Sums of 32-bit values can't overflow before 2**31 units.
+    Sums of 32-bit values can't overflow before 2**31 parts.
     """
     zero = F.lit(0).cast("long")
-    hashes = [F.xxhash64(unit), F.xxhash64(F.lit(1), unit)]
-    half = F.lit(WIDE_MOD - 1)
-    each = [x for h in hashes for x in (h.bitwiseAND(half), F.shiftrightunsigned(h, 32))]
-    each += [F.shiftrightunsigned(h, j).bitwiseAND(F.lit((1 << 32) | 1)) for h in hashes for j in range(32)]
-    return [F.sum(F.when(unit.isNotNull(), x).otherwise(zero)).alias(f"_s{k}") for k, x in enumerate(each)]
+    hashes = [F.xxhash64(part), F.xxhash64(F.lit(1), part)]
+    half, paragraph = F.lit(WIDE_MOD - 1), part.startswith(HEAD)
+    wide = [x for h in hashes for x in (h.bitwiseAND(half), F.shiftrightunsigned(h, 32))]
+    narrow = [F.shiftrightunsigned(h, j).bitwiseAND(F.lit((1 << 32) | 1)) for h in hashes for j in range(32)]
+    each = [F.when(paragraph, x).otherwise(zero) for x in wide] + [F.when(~paragraph, x).otherwise(zero) for x in narrow]
+    return [F.sum(x).alias(f"_s{k}") for k, x in enumerate(each)]
 
 
 def _lanes(times: str) -> Column:
@@ -101,11 +107,11 @@ def as_hex(h: Column) -> Column:
 def hashed(rows: DataFrame, keys: list[str], text: str) -> DataFrame:
     """``keys, lanes, _m``: the multiset hash of each of ``rows``; equal rows are one row, ``_m`` says how many.
 
-    Units are exploded and summed again within the task, so no text is shuffled.
+    Units and paragraphs are exploded and summed again within the task, so no text is shuffled.
     Equal rows add up to a multiple, which is divided out exactly.
     """
-    each = rows.select(*keys, F.posexplode_outer(units(F.col(text))).alias("_pos", "_unit"))
-    total = each.groupBy(*keys).agg(F.count("_unit").alias("_n"), F.count_if(F.coalesce("_pos", F.lit(0)) == 0).alias("_m"), *_sums(F.col("_unit")))
+    each = rows.select(*keys, F.posexplode_outer(parts(F.col(text))).alias("_pos", "_part"))
+    total = each.groupBy(*keys).agg(F.count_if(~F.col("_part").startswith(HEAD)).alias("_n"), F.count_if(F.coalesce("_pos", F.lit(0)) == 0).alias("_m"), *_sums(F.col("_part")))
     return total.select(*keys, "_m", _lanes("_m").alias("lanes"))
 
 

@@ -34,9 +34,13 @@ def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", *[count(k).alias(f"n_{k}") for k in pii.KINDS], F.sha2(shown(F.col("base")), 256).alias("base_sha256"), shown(every).alias("spans"))
 
 
+#: Metadata that op4 may look at: not lang, source or doc_id.
+META = ("n_chars",)
+
+
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    return quality.score(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+    return quality.score(docs, quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), meta=META), meta=META)
 
 
 def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,8 +153,14 @@ def fit_machine(rows: Rows, y: np.ndarray, size: int, rank: int = 8, epochs: int
     return m
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int = MOST_LABELLED, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``doc_id, text, label`` of at most ``most`` labelled rows outside the held-out fold.
+def metadata(names: tuple[str, ...]) -> Column:
+    """The named columns as an array of strings, ``name=value``; numbers by the power of two that they reach, nulls as such."""
+    size = lambda c: F.floor(F.log2(F.greatest(c.try_cast("double"), F.lit(0.0)) + 1)).cast("string")
+    return F.array(*[F.concat(F.lit(f"{n}="), F.coalesce(size(F.col(n)), F.col(n).cast("string"), F.lit(""))) for n in names]).cast("array<string>")
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int = MOST_LABELLED, doc_id: str = "doc_id", text: str = "text", meta: tuple[str, ...] = ()) -> DataFrame:
+    """``doc_id, text, meta, label`` of at most ``most`` labelled rows outside the held-out fold.
 
     Rows are taken in hash order of the doc_id, so the sample is the same in every
     run; ids with two different labels, null labels and null ids are left out.
@@ -163,16 +169,16 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int =
     one = one.groupBy(F.col(doc_id).cast("long").alias("_id")).agg(F.min(label).cast("int").alias("label"), F.max(label).cast("int").alias("_other")).where("label = _other")
     # bounded by ``most`` rows
     few = F.broadcast(one.orderBy(F.xxhash64("_id"), "_id").limit(most).select("_id", "label"))
-    return docs.join(few, F.col(doc_id).cast("long") == few["_id"]).select(F.col("_id").alias("doc_id"), F.col(text).cast("string").alias("text"), "label")
+    return docs.join(few, F.col(doc_id).cast("long") == few["_id"]).select(F.col("_id").alias("doc_id"), F.col(text).cast("string").alias("text"), metadata(meta).alias("meta"), "label")
 
 
-def fit_in_task(sample: DataFrame, extract: Callable[[bytes], tuple], fit: Callable[[list, list[int]], bytes]) -> bytes:
+def fit_in_task(sample: DataFrame, extract: Callable[[bytes, list[str]], tuple], fit: Callable[[list, list[int]], bytes]) -> bytes:
     """Features are taken where the rows are; one task fits the bounded sample; the model's bytes come back."""
 
     @lean
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in pieces(batches, "text"):
-            found = [extract(x) for x in utf8(part.column("text"))]
+            found = [extract(x, m) for x, m in zip(utf8(part.column("text")), part.column("meta").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays(
                 [part.column("doc_id"), part.column("label"), *(pa.array([x[k] for x in found], pa.list_(kind)) for k, kind in enumerate((pa.int32(), pa.float32(), pa.int32())))],
                 ["doc_id", "label", "index", "value", "extra"])

@@ -23,8 +23,8 @@ CHAIN = (*(f"kind{k + 1}" for k in range(KINDS)), "toxic")
 THRESHOLD = 0.5
 
 
-def features(text: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The presence of words and of their first 5 to 7 bytes, hashed; words alone, for the kinds."""
+def features(text: bytes, meta: list[str] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The presence of words and of their first 5 to 7 bytes, hashed; words alone, for the kinds. No metadata."""
     words = {w.strip(STRIP) for w in set(text.lower().split())}
     words.discard(b"")
     parts = words | {b"%d %s" % (n, w[:n]) for w in words for n in (5, 6, 7) if len(w) > n}
