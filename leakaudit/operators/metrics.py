@@ -4,7 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
+
+from leakaudit.runtime import running
 
 
 def _counts(scores: DataFrame, by: list[str]) -> DataFrame:
@@ -14,9 +15,9 @@ def _counts(scores: DataFrame, by: list[str]) -> DataFrame:
 
 
 def _area(counts: DataFrame, by: list[str]) -> DataFrame:
-    below = Window.partitionBy(*by).orderBy("score").rowsBetween(Window.unboundedPreceding, -1)
-    rows = counts.withColumn("_below", F.coalesce(F.sum("neg").over(below), F.lit(0)))
-    total = rows.groupBy(*by).agg(F.sum("pos").alias("n_pos"), F.sum("neg").alias("n_neg"), F.sum(F.col("pos") * (F.col("_below") + F.col("neg") / 2)).alias("_wins"))
+    """AUC from counts per distinct score: their running sums are taken range by range, so no task orders all scores of a method."""
+    rows = running(counts, by, ["score"], ["neg"])
+    total = rows.groupBy(*by).agg(F.sum("pos").alias("n_pos"), F.sum("neg").alias("n_neg"), F.sum(F.col("pos") * (F.col("before_neg") + F.col("neg") / 2)).alias("_wins"))
     return total.select(*by, "n_pos", "n_neg", F.round(F.col("_wins") / F.nullif(F.col("n_pos") * F.col("n_neg"), F.lit(0)), 6).alias("auc"))
 
 
@@ -57,12 +58,15 @@ def with_overall(scores: DataFrame) -> DataFrame:
 def roc(scores: DataFrame, by: tuple[str, ...] = ("method",), max_points: int | None = None) -> DataFrame:
     """``by, threshold, fpr, tpr``: a point per distinct score, flagged from the highest down; ``max_points`` thins evenly by rank."""
     keys = list(by)
-    down = Window.partitionBy(*keys).orderBy(F.desc("score")).rowsBetween(Window.unboundedPreceding, 0)
-    every = Window.partitionBy(*keys)
-    rows = _counts(scores, keys).select(
-        *keys, F.col("score").alias("threshold"), (F.sum("neg").over(down) / F.nullif(F.sum("neg").over(every), F.lit(0))).alias("fpr"),
-        (F.sum("pos").over(down) / F.nullif(F.sum("pos").over(every), F.lit(0))).alias("tpr"),
-        F.row_number().over(Window.partitionBy(*keys).orderBy(F.desc("score"))).alias("_r"), F.count(F.lit(1)).over(every).alias("_n"))
+    up = running(_counts(scores, keys).withColumn("one", F.lit(1).cast("long")), keys, ["score"], ["pos", "neg", "one"])
+    # one row a group
+    whole = up.groupBy(*[F.col(k).alias(f"_k_{k}") for k in keys]).agg(F.sum("pos").alias("_p"), F.sum("neg").alias("_q"), F.count(F.lit(1)).alias("_n"))
+    same = F.lit(True)
+    for k in keys:
+        same = same & F.col(k).eqNullSafe(F.col(f"_k_{k}"))
+    rows = up.join(whole, same).select(
+        *keys, F.col("score").alias("threshold"), ((F.col("_q") - F.col("before_neg")) / F.nullif(F.col("_q"), F.lit(0))).alias("fpr"),
+        ((F.col("_p") - F.col("before_pos")) / F.nullif(F.col("_p"), F.lit(0))).alias("tpr"), (F.col("_n") - F.col("before_one")).alias("_r"), "_n")
     if max_points:
         rows = rows.where((F.col("_r") == F.col("_n")) | (F.floor(F.col("_r") * max_points / F.col("_n")) > F.floor((F.col("_r") - 1) * max_points / F.col("_n"))))
     return rows.drop("_r", "_n")

@@ -4,18 +4,23 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from leakaudit.operators.components import connected_components
+from leakaudit.runtime import running
 
 
 def balance(samples: DataFrame, by: tuple[str, ...] = ("slice", "role"), n: int | None = None) -> DataFrame:
-    """As many members as others in each group of ``by``: the first by content key, ``n`` of each at most."""
-    order = Window.partitionBy(*by, "is_member").orderBy("content_key", "sample_id")
-    least = samples.groupBy(*by).agg(F.least(F.sum(F.col("is_member").cast("long")), F.sum((~F.col("is_member")).cast("long"))).alias("_least"))
-    ranked = samples.withColumn("_r", F.row_number().over(order)).join(least, list(by))
+    """As many members as others in each group of ``by``: the first by content key, ``n`` of each at most.
+
+    Only keys are ordered, range by range; the last key that still belongs is one
+    row a group and class, and the samples are compared with it where they are.
+    """
+    keys = samples.groupBy(*by, "is_member", "content_key", "sample_id").agg(F.count(F.lit(1)).alias("one"))
+    ranked = running(keys, [*by, "is_member"], ["content_key", "sample_id"], ["one"])
+    sizes = ranked.groupBy(*by).agg(F.least(F.sum(F.when(F.col("is_member"), F.col("one")).otherwise(0)), F.sum(F.when(F.col("is_member"), 0).otherwise(F.col("one")))).alias("_least"))
     bound = F.col("_least") if n is None else F.least(F.col("_least"), F.lit(n))
-    return ranked.where(F.col("_r") <= bound).select(*samples.columns)
+    last = ranked.join(F.broadcast(sizes), list(by)).where(F.col("before_one") < bound).groupBy(*by, "is_member").agg(F.max(F.struct("content_key", "sample_id")).alias("_last"))
+    return samples.join(F.broadcast(last), [*by, "is_member"]).where(F.struct("content_key", "sample_id") <= F.col("_last")).select(*samples.columns)
 
 
 def overlap(a: DataFrame, b: DataFrame, on: str = "content_key") -> DataFrame:

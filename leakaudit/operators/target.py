@@ -13,16 +13,22 @@ from leakaudit.runtime import lookup, materialise
 
 ALPHA = 0.01
 CHUNK = 16
+#: A context, or a pair of context and token, with at least this share of the training tokens is heavy; a layer has 1 / HEAVY of them at most.
+HEAVY = 1e-3
 
 
 @dataclass
 class CountTarget:
-    """``counts`` (layer, ctx, tok, n), ``contexts`` (layer, ctx, n_c, d_c, s1, s2, e1, e2, plogp), ``vocabulary`` size and smoothing."""
+    """``counts`` (layer, ctx, tok, n), ``contexts`` (layer, ctx, n_c, d_c, s1, s2, e1, e2, plogp), ``vocabulary`` size and smoothing.
+
+    ``heavy``: the count from which a context or a pair is heavy.
+    """
 
     counts: DataFrame
     contexts: DataFrame
     vocabulary: DataFrame
     alpha: float = ALPHA
+    heavy: float = float("inf")
 
 
 def chunk_digit(salt: str = ""):
@@ -70,21 +76,35 @@ def train(tokens: DataFrame, sixteenths: int = 1, layers: tuple[int, ...] = (1,)
     members = tokens.where("is_member")
     vocabulary = members.agg((F.count_distinct("key") + 1).alias("v"))
     shown = exposed(members, sixteenths)
-    counts = count_rows(shown, layers, needed)
-    return CountTarget(counts, moments(counts, alpha), vocabulary, alpha)
+    counts = materialise(count_rows(shown, layers, needed), "counts")
+    most = counts.groupBy("layer").agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0
+    return CountTarget(counts, materialise(moments(counts, alpha), "contexts"), materialise(vocabulary, "vocabulary"), alpha, max(2.0, HEAVY * most))
 
 
 def forward(tokens: DataFrame, target: CountTarget, layers: tuple[int, ...] = (1,)) -> DataFrame:
     """Token statistics of one pass: ``KEEP, pos, t, key, weight, kind, layer, logp, z, z_model, entropy, act``.
 
-    All layers come from one explosion; both model tables are joined on the context,
-    so the token side is shuffled once. ``act`` are the eight activations.
+    All layers come from one explosion, then the contexts and the counts are joined.
+    Layer 0 has one context for every token, and others follow Zipf's law: heavy
+    contexts and heavy pairs, at most 1 / HEAVY a layer whatever the input, are
+    broadcast, and their tokens spread over salts that the shuffled joins don't
+    match, so no key holds more than about HEAVY of the training tokens.
+    ``act`` are the eight activations.
     """
     keep = [c for c in ("sample_id", "slice", "is_member", "role", "pos", "t", "key", "kind", "weight") if c in tokens.columns]
     each = F.array(*[F.struct(F.lit(k).alias("layer"), context(k).alias("ctx")) for k in layers])
     rows = tokens.select(*keep, F.explode(each).alias("c")).select(*keep, "c.layer", "c.ctx")
     counts = target.counts.select("layer", "ctx", F.col("tok").alias("key"), "n")
-    rows = rows.join(target.contexts, ["layer", "ctx"], "left").join(counts, ["layer", "ctx", "key"], "left").crossJoin(F.broadcast(target.vocabulary))
+    about = ("n_c", "d_c", "s1", "s2", "e1", "e2", "plogp")
+    spread = 1 + F.pmod(F.xxhash64("sample_id", "pos"), F.lit(1 << 20)).cast("int")
+    big = target.contexts.where(F.col("n_c") >= target.heavy).select("layer", "ctx", F.struct(*about).alias("_big"))
+    rows = rows.join(F.broadcast(big), ["layer", "ctx"], "left").withColumn("_salt", F.when(F.col("_big").isNull(), 0).otherwise(spread))
+    small = target.contexts.where(F.col("n_c") < target.heavy).select("layer", "ctx", F.lit(0).alias("_salt"), F.struct(*about).alias("_small"))
+    rows = rows.join(small, ["layer", "ctx", "_salt"], "left").withColumn("_m", F.coalesce("_big", "_small")).select(*keep, "layer", "ctx", "_m.*")
+    often = counts.where(F.col("n") >= target.heavy).withColumnRenamed("n", "_often")
+    rows = rows.join(F.broadcast(often), ["layer", "ctx", "key"], "left").withColumn("_salt", F.when(F.col("_often").isNull(), 0).otherwise(spread))
+    rare = counts.where(F.col("n") < target.heavy).select("layer", "ctx", "key", F.lit(0).alias("_salt"), F.col("n").alias("_rare"))
+    rows = rows.join(rare, ["layer", "ctx", "key", "_salt"], "left").withColumn("n", F.coalesce("_often", "_rare")).crossJoin(F.broadcast(target.vocabulary))
     a = F.lit(target.alpha)
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("double")
     n, n_c, d_c, s1, s2, v = zero("n"), zero("n_c"), zero("d_c"), zero("s1"), zero("s2"), F.col("v").cast("double")

@@ -8,6 +8,7 @@ from pyspark.sql.window import Window
 
 from leakaudit.functions import lexing
 from leakaudit.functions.weights import Scheme
+from leakaudit.runtime import lookup, materialise
 
 KEEP = ("sample_id", "slice", "is_member", "role")
 #: Contexts, by layer: how many tokens back each part looks. Layer 1, the previous token, is the usual one.
@@ -86,7 +87,7 @@ def tokens(samples: DataFrame, grammar: str = "prose", words: DataFrame | None =
         ident = ident & ~F.col("key").isin(*keywords)
     rows = rows.withColumn("_ident", ident)
     if words is not None:
-        rows = rows.join(words.select(F.col("word").alias("key"), F.lit(True).alias("_known")), "key", "left")
+        rows = lookup(rows, materialise(words.select(F.col("word").alias("key"), F.lit(True).alias("_known")), "words"), ["key"], "left")
     else:
         rows = rows.withColumn("_known", F.lit(True))
     base = F.when(~F.col("_ident"), "boilerplate").when((F.length("tok") >= scheme.long_min) & F.lit("long" in scheme.weights), "long").otherwise("standard")

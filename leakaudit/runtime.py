@@ -11,6 +11,7 @@ from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 #: A lookup side of at most this many rows is broadcast; above it the join is salted.
 BROADCAST_ROWS = 100_000
@@ -83,3 +84,34 @@ def lookup(big: DataFrame, small: DataFrame, on: list[str], how: str = "inner",
         return big.join(F.broadcast(small), on, how)
     salted = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return big.withColumn("_salt", F.pmod(F.xxhash64(*[big[c] for c in big.columns]), F.lit(salts)).cast("int")).join(salted, [*on, "_salt"], how).drop("_salt")
+
+
+#: Up to so many rows are ordered by one window; beyond, ranges are ordered apart and their totals carried over.
+ORDERED_ROWS = 1_000_000
+
+
+def running(df: DataFrame, by: list[str], order: list[str], sums: list[str], most: int = ORDERED_ROWS) -> DataFrame:
+    """``df`` with ``before_<c>``, for each ``c`` in ``sums``, the sum of ``c`` over the rows of the same group that come earlier in ``order``.
+
+    Exact at every size. ``df`` is written first. Few rows take one window a group.
+    Many are dealt by range of (by, order); a window runs within each range, and the
+    ranges' totals, one row a range and group, are carried over. ``by`` and ``order``
+    together must not repeat, or the order among equals is open.
+    """
+    spark, rows = df.sparkSession, materialise(df, "ordered")
+    zero = F.lit(0).cast("long")
+    if rows.limit(most + 1).count() <= most:
+        upto = Window.partitionBy(*by).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+        return rows.select("*", *[F.coalesce(F.sum(c).over(upto), zero).alias(f"before_{c}") for c in sums])
+    parts = max(2, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    placed = materialise(rows.repartitionByRange(parts, *by, *order).withColumn("_range", F.spark_partition_id()), "ranges")
+    totals = placed.groupBy(*by, "_range").agg(*[F.sum(c).alias(c) for c in sums])
+    upto = Window.partitionBy(*by).orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)
+    carried = totals.select(*[F.col(c).alias(f"_by_{c}") for c in by], F.col("_range").alias("_at"), *[F.coalesce(F.sum(c).over(upto), zero).alias(f"_sum_{c}") for c in sums])
+    # at most a row a range and one more a group
+    same = (placed["_range"] == carried["_at"])
+    for c in by:
+        same = same & placed[c].eqNullSafe(carried[f"_by_{c}"])
+    inside = Window.partitionBy("_range", *by).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    joined = placed.join(F.broadcast(carried), same)
+    return joined.select(*[placed[c] for c in rows.columns], *[(F.coalesce(F.sum(placed[c]).over(inside), zero) + F.col(f"_sum_{c}")).alias(f"before_{c}") for c in sums])
