@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -56,3 +58,25 @@ def stretches(text: Column, pattern: str) -> Column:
 
 def is_identifier(tok: Column) -> Column:
     return tok.rlike(IDENTIFIER)
+
+
+def grammar_of(grammar: str | None) -> Column:
+    """The grammar's name: the given one, or each row's own by its ``slice`` (a slice of no known name is prose)."""
+    if grammar:
+        return F.lit(grammar)
+    named = {**{g: g for g in GRAMMARS}, **SLICE_GRAMMAR}
+    return F.coalesce(F.try_element_at(F.create_map(*[F.lit(x) for pair in named.items() for x in pair]), F.col("slice")), F.lit("prose"))
+
+
+def by_grammar(grammar: str | None, value: Callable[[str], Column | None], otherwise: Column) -> Column:
+    """``value`` of the grammar, or of each row's own; only the branch that a row takes is worked out."""
+    if grammar:
+        found = value(grammar)
+        return otherwise if found is None else found
+    out = None
+    for name in GRAMMARS:
+        found = value(name)
+        if found is not None:
+            on = grammar_of(None) == name
+            out = F.when(on, found) if out is None else out.when(on, found)
+    return otherwise if out is None else out.otherwise(otherwise)

@@ -36,13 +36,15 @@ def parser_spans(text: str, lang: str) -> list[tuple[str, int, int]]:
         return list(_python(text))
     from pygments import lexers, token
 
-    lexer, out, at = lexers.get_lexer_by_name(lang, stripnl=False, ensurenl=False), [], 0
+    lexer, out, at = lexers.get_lexer_by_name(lang, stripnl=False, ensurenl=True), [], 0
     for kind, value in lexer.get_tokens(text):
         name = "comment" if kind in token.Comment else "literal" if kind in token.String else "keyword" if kind in token.Keyword else None
+        # the lexers want a last line feed, which is no part of the text
+        stop = min(at + len(value), len(text))
         if name and out and out[-1][0] == name and out[-1][2] == at and name != "keyword":
-            out[-1] = (name, out[-1][1], at + len(value))
-        elif name:
-            out.append((name, at, at + len(value)))
+            out[-1] = (name, out[-1][1], stop)
+        elif name and stop > at:
+            out.append((name, at, stop))
         at += len(value)
     return out
 

@@ -32,31 +32,39 @@ def runs(spans: DataFrame, scheme: Scheme | None = None) -> DataFrame:
     return rows.select("sample_id", "start", "stop", weight.alias("weight")).where("stop is not null and weight is not null")
 
 
-def project_mean(tokens: DataFrame, run_rows: DataFrame) -> DataFrame:
-    """``sample_id, pos, weight``: the mean over a token's characters of the larger of its own weight and the run's.
+_TOKEN = "struct<pos:int,start:int,stop:int,weight:double>"
+_RUN = "struct<start:int,stop:int,weight:double>"
+
+
+def project(tokens: DataFrame, run_rows: DataFrame, how: str = "mean") -> DataFrame:
+    """``sample_id, pos, weight``: over a token's characters the mean, or the largest, of its own weight and the runs'.
 
     A merge by position: the boundaries of tokens and runs of a sample in order cut
     it into segments that at most one token and one run cover, the last ones begun.
     Tokens that no run touches keep their weight; tokens and runs must not overlap
     among themselves. A token without characters keeps its weight.
     """
-    info = "struct<pos:int,start:int,stop:int,weight:double>"
     t = tokens.select("sample_id", F.struct(F.col("pos").cast("int").alias("pos"), F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("weight").cast("double").alias("weight")).alias("tok"))
     r = run_rows.select("sample_id", F.struct(F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("weight").cast("double").alias("weight")).alias("run"))
-    none = lambda kind: F.lit(None).cast(kind)
-    events = t.select("sample_id", F.col("tok.start").alias("at"), "tok", none("struct<start:int,stop:int,weight:double>").alias("run"))
-    events = events.union(t.select("sample_id", F.col("tok.stop"), none(info), none("struct<start:int,stop:int,weight:double>")))
-    events = events.union(r.select("sample_id", F.col("run.start"), none(info), "run")).union(r.select("sample_id", F.col("run.stop"), none(info), none("struct<start:int,stop:int,weight:double>")))
-    merged = events.repartition("sample_id").groupBy("sample_id", "at").agg(F.max("tok").alias("tok"), F.max("run").alias("run"))
+    no_tok, no_run = F.lit(None).cast(_TOKEN), F.lit(None).cast(_RUN)
+    events = t.select("sample_id", F.explode(F.array(F.struct(F.col("tok.start").alias("at"), F.col("tok").alias("tok"), no_run.alias("run")), F.struct(F.col("tok.stop").alias("at"), no_tok.alias("tok"), no_run.alias("run")))).alias("e"))
+    events = events.union(r.select("sample_id", F.explode(F.array(F.struct(F.col("run.start").alias("at"), no_tok.alias("tok"), F.col("run").alias("run")), F.struct(F.col("run.stop").alias("at"), no_tok.alias("tok"), no_run.alias("run"))))))
+    merged = events.select("sample_id", "e.*").repartition("sample_id").groupBy("sample_id", "at").agg(F.max("tok").alias("tok"), F.max("run").alias("run"))
     order = Window.partitionBy("sample_id").orderBy("at")
     upto = order.rowsBetween(Window.unboundedPreceding, 0)
     cut = merged.select("sample_id", "at", F.lead("at").over(order).alias("to"), F.last("tok", True).over(upto).alias("tok"), F.last("run", True).over(upto).alias("run"))
     inside = cut.where(F.col("tok").isNotNull() & ((F.col("tok.stop") > F.col("at")) | (F.col("tok.stop") == F.col("tok.start")) & (F.col("tok.start") == F.col("at"))))
-    over = F.when(F.col("run.stop") > F.col("at"), F.greatest(F.lit(0.0), F.col("run.weight") - F.col("tok.weight"))).otherwise(F.lit(0.0))
-    gain = F.sum((F.coalesce(F.col("to"), F.col("at")) - F.col("at")) * F.coalesce(over, F.lit(0.0)))
-    size = F.nullif(F.col("tok.stop") - F.col("tok.start"), F.lit(0))
+    over = F.coalesce(F.when((F.col("run.stop") > F.col("at")) & (F.col("tok.stop") > F.col("at")), F.greatest(F.lit(0.0), F.col("run.weight") - F.col("tok.weight"))), F.lit(0.0))
+    if how == "max":
+        gain = F.max(over)
+    else:
+        gain = F.sum((F.coalesce(F.col("to"), F.col("at")) - F.col("at")) * over) / F.nullif(F.max(F.col("tok.stop") - F.col("tok.start")), F.lit(0))
     found = inside.groupBy("sample_id", "tok").agg(gain.alias("_g"))
-    return found.select("sample_id", "tok.pos", (F.col("tok.weight") + F.coalesce(F.col("_g") / size, F.lit(0.0))).alias("weight"))
+    return found.select("sample_id", "tok.pos", (F.col("tok.weight") + F.coalesce("_g", F.lit(0.0))).alias("weight"))
+
+
+def project_mean(tokens: DataFrame, run_rows: DataFrame) -> DataFrame:
+    return project(tokens, run_rows, "mean")
 
 
 def normalise(weights: Column, how: str = "sum") -> Column:

@@ -39,6 +39,16 @@ def line_overlap(a: DataFrame, b: DataFrame, min_len: int = 40) -> DataFrame:
     return long_lines(a, min_len).join(long_lines(b, min_len).select("line"), "line", "left_semi").select("sample_id").distinct()
 
 
+def line_groups(samples: DataFrame, min_len: int = 40) -> DataFrame:
+    """``samples`` with ``group``: samples that share long lines, also by way of others, are one group, to be put on one side of a split.
+
+    Each line joins its samples to the least of them only, so a line of many samples costs as many edges.
+    """
+    lines = long_lines(samples, min_len)
+    least = lines.groupBy("line").agg(F.min("sample_id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").select("line", "a")
+    return isolate(samples, lines.join(least, "line").select("a", F.col("sample_id").alias("b")).where("a <> b").distinct())
+
+
 def shingle_hashes(samples: DataFrame, shingle: int = 5) -> DataFrame:
     """``sample_id, hashes``: the distinct digests of each run of ``shingle`` lower-cased words."""
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")

@@ -21,45 +21,65 @@ def _ordered(text: Column, pattern: str, stream: str) -> Column:
     return F.transform(lexing.stretches(text, pattern), lambda t, i: F.struct(F.lit(stream).alias("stream"), (i + 1).alias("pos"), t.alias("tok")))
 
 
-def placed(samples: DataFrame, grammar: str = "prose", streams: tuple[str, ...] = ("piece",), extra: tuple[str, ...] = ()) -> DataFrame:
-    """``KEEP, stream, pos, tok, start, stop`` of the streams ``piece``, ``syntax`` and ``lint``.
+def placed(samples: DataFrame, grammar: str | None = "prose", streams: tuple[str, ...] = ("piece",), extra: tuple[str, ...] = ()) -> DataFrame:
+    """``KEEP, stream, pos, tok, start, stop`` of the streams ``piece``, ``syntax`` and ``lint``. Without a ``grammar`` each row's slice tells it.
 
     Texts are dealt by sample once; explosion and the windows over a sample's
     stretches then need no other shuffle. Offsets count code points, stop exclusive.
     """
-    patterns = {"piece": lexing.PIECE, "syntax": lexing.GRAMMARS[grammar], "lint": lexing.LINT}
-    arrays = F.concat(*[_ordered(F.col("text"), patterns[s], s) for s in streams])
+    none = F.array().cast("array<struct<stream:string,pos:int,tok:string>>")
+    made = {
+        "piece": lambda: _ordered(F.col("text"), lexing.PIECE, "piece"), "lint": lambda: _ordered(F.col("text"), lexing.LINT, "lint"),
+        "syntax": lambda: lexing.by_grammar(grammar, lambda g: _ordered(F.col("text"), lexing.GRAMMARS[g], "syntax"), none),
+    }
+    arrays = F.concat(*[made[s]() for s in streams])
     keep = [c for c in (*KEEP, *extra) if c in samples.columns]
     rows = samples.repartition("sample_id").select(*keep, F.explode(arrays).alias("s")).select(*keep, "s.stream", "s.pos", "s.tok")
     upto = Window.partitionBy("sample_id", "stream").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
     return rows.withColumn("stop", F.sum(F.length("tok")).over(upto).cast("int")).withColumn("start", (F.col("stop") - F.length("tok")).cast("int"))
 
 
-def span_kind(grammar: str) -> Column:
+def span_kind(grammar: str | None) -> Column:
     """The overlay kind of a stretch: comment, literal, lint, or null."""
-    comment, literal = lexing.COMMENT_STARTS[grammar], lexing.LITERAL_STARTS[grammar]
-    kind = F.when((F.col("stream") == "lint") & F.col("tok").rlike(lexing.LINT_HIT), "lint")
+    begins = lambda starts: lexing.by_grammar(grammar, lambda g: F.col("tok").rlike(starts[g]) if starts[g] else None, F.lit(False))
     syntax = F.col("stream") == "syntax"
-    if comment:
-        kind = kind.when(syntax & F.col("tok").rlike(comment), "comment")
-    return kind.when(syntax & F.col("tok").rlike(literal), "literal")
+    kind = F.when((F.col("stream") == "lint") & F.col("tok").rlike(lexing.LINT_HIT), "lint")
+    return kind.when(syntax & begins(lexing.COMMENT_STARTS), "comment").when(syntax & begins(lexing.LITERAL_STARTS), "literal")
 
 
-def spans(samples: DataFrame, grammar: str = "prose") -> DataFrame:
+def spans(samples: DataFrame, grammar: str | None = "prose") -> DataFrame:
     """``sample_id, slice, kind, start, stop`` of comments, literals, format errors and tags."""
     rows = placed(samples, grammar, ("piece", "syntax", "lint"))
     kind = F.when((F.col("stream") == "piece") & F.col("tok").isin(*lexing.TAGS), "tag").otherwise(span_kind(grammar))
     return rows.withColumn("kind", kind).where("kind is not null").select("sample_id", "slice", "kind", "start", "stop")
 
 
-def lexicon(samples: DataFrame, min_df: int = 3) -> DataFrame:
-    """``word, df``: lower-cased identifiers of at least ``min_df`` English samples. It stands for an English dictionary."""
+def lexicon(samples: DataFrame, min_df: int = 3, slice: str | None = "en") -> DataFrame:
+    """``word, df``: lower-cased identifiers of at least ``min_df`` samples of ``slice`` (none: of all). It stands for an English dictionary."""
     pieces = lexing.stretches(F.col("text"), lexing.PIECE)
     words = F.array_distinct(F.transform(F.filter(pieces, lexing.is_identifier), lambda t: F.lower(t)))
-    return samples.where("slice = 'en'").select(F.explode(words).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= min_df)
+    return (samples.where(F.col("slice") == slice) if slice else samples).select(F.explode(words).alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= min_df)
+
+
+#: The parts of a compound identifier: camel-case humps, stretches between underscores and digits.
+PART = r"\p{Lu}+(?!\p{Ll})|\p{Lu}?[\p{Ll}\p{Lo}\p{Lm}\p{Lt}]+"
+
+
+def compound_words(samples: DataFrame, words: DataFrame, min_part: int = 3) -> DataFrame:
+    """``word``: the dictionary, and the samples' compound identifiers (camelCase, snake_case) all of whose parts are in it.
+
+    Parts of fewer than ``min_part`` letters don't count. Slippage then means a
+    foreign part, not a name that no dictionary has as a whole.
+    """
+    parts = F.filter(F.transform(F.regexp_extract_all("tok", F.lit(PART), F.lit(0)), lambda p: F.lower(p)), lambda p: F.length(p) >= min_part)
+    toks = samples.select(F.explode(F.array_distinct(F.filter(lexing.stretches(F.col("text"), lexing.PIECE), lexing.is_identifier))).alias("tok")).distinct()
+    each = toks.select(F.lower("tok").alias("word"), F.explode(F.array_distinct(parts)).alias("part"))
+    known = materialise(words.select(F.col("word").alias("part"), F.lit(1).alias("_known")), "parts")
+    found = lookup(each, known, ["part"], "left").groupBy("word").agg(F.count(F.lit(1)).alias("n"), F.count("_known").alias("k")).where("n = k").select("word")
+    return found.union(words.select("word")).distinct()
 
 
-def tokens(samples: DataFrame, grammar: str = "prose", words: DataFrame | None = None, scheme: Scheme | None = None, max_tokens: int | None = None) -> DataFrame:
+def tokens(samples: DataFrame, grammar: str | None = "prose", words: DataFrame | None = None, scheme: Scheme | None = None, max_tokens: int | None = None, extra: DataFrame | None = None, native: dict[str, tuple[str, ...]] | None = None) -> DataFrame:
     """Scored tokens with kind and weight: ``KEEP, pos, tok, start, stop, t, prev1..prev4, kind, weight``.
 
     A token overlaps a span iff, over the spans that start before its end, the
@@ -67,10 +87,19 @@ def tokens(samples: DataFrame, grammar: str = "prose", words: DataFrame | None =
     join. The weight is the largest of the kinds that cover it; a tag assigns its
     own. ``t`` numbers the scored tokens (no white space) from 1. ``words`` is the
     dictionary; without it nothing is slippage. ``max_tokens`` cuts each sample.
+    ``extra`` (sample_id, kind, start, stop) are spans from elsewhere, a parser or
+    linter; ``native`` says for which grammars the streams ``syntax`` and ``lint``
+    still count, all if it doesn't name the stream.
     """
     scheme = scheme or Scheme.default()
-    rows = placed(samples, grammar, ("piece", "syntax", "lint")).withColumn("over", span_kind(grammar))
+    over = span_kind(grammar)
+    for stream, names in (native or {}).items():
+        over = F.when((F.col("stream") != stream) | lexing.grammar_of(grammar).isin(*names), over)
+    rows = placed(samples, grammar, ("piece", "syntax", "lint")).withColumn("over", over)
     rows = rows.where("stream = 'piece' or over is not null")
+    if extra is not None:
+        more = extra.select("sample_id", F.lit("extra").alias("stream"), F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("kind").alias("over"))
+        rows = rows.unionByName(more, allowMissingColumns=True)
     order = Window.partitionBy("sample_id").orderBy(F.when(F.col("stream") == "piece", F.col("stop") - 1).otherwise(F.col("start"))).rangeBetween(Window.unboundedPreceding, 0)
     for kind in ("comment", "literal", "lint"):
         rows = rows.withColumn(f"_{kind}", F.coalesce(F.max(F.when(F.col("over") == kind, F.col("stop"))).over(order) > F.col("start"), F.lit(False)))
@@ -81,10 +110,8 @@ def tokens(samples: DataFrame, grammar: str = "prose", words: DataFrame | None =
         rows = rows.withColumn(f"prev{back}", F.lag("key", back, "^").over(inside))
     if max_tokens:
         rows = rows.where(F.col("t") <= max_tokens)
-    keywords = lexing.KEYWORDS[grammar]
-    ident = F.col("tok").rlike(lexing.IDENTIFIER)
-    if keywords:
-        ident = ident & ~F.col("key").isin(*keywords)
+    keyword = lexing.by_grammar(grammar, lambda g: F.col("key").isin(*lexing.KEYWORDS[g]) if lexing.KEYWORDS[g] else None, F.lit(False))
+    ident = F.col("tok").rlike(lexing.IDENTIFIER) & ~keyword
     rows = rows.withColumn("_ident", ident)
     if words is not None:
         rows = lookup(rows, materialise(words.select(F.col("word").alias("key"), F.lit(True).alias("_known")), "words"), ["key"], "left")

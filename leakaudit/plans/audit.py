@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from leakaudit.functions import lexing
 from leakaudit.functions.weights import Scheme
-from leakaudit.operators import activation, metrics, probe, scores, target, tokens
+from leakaudit.operators import activation, linting, metrics, parsing, probe, scores, subword, target, tokens
 from leakaudit.runtime import materialise
 from leakaudit.sources import catalog
 
@@ -22,6 +23,10 @@ class Config:
     """What an audit varies: weights, dictionary, exposure (sixteenths), layers, lengths, neighbours, probes and fusion.
 
     ``max_tokens`` is the length that a user's model takes; by default texts are read whole.
+    ``parser``: comments and literals by real lexers where there is one (the native patterns elsewhere).
+    ``linter``: Python slices by the line rules of ``linting`` instead of the generic ones.
+    ``compounds``: a compound identifier is known if all its parts are.
+    ``tokenizer``: the text of a tokenizers file; the target then works on its subwords, and ``projection`` says how they take the mask.
     """
 
     scheme: Scheme = field(default_factory=Scheme.default)
@@ -38,6 +43,11 @@ class Config:
     fusion: str = "mean"
     alpha: float = 0.5
     slippage: bool = True
+    parser: bool = False
+    linter: bool = True
+    compounds: bool = False
+    tokenizer: str | None = None
+    projection: str = "max"
 
 
 @dataclass
@@ -48,13 +58,36 @@ class Result:
     costs: dict[str, float]
 
 
+def mask_table(samples: DataFrame, config: Config | None = None, dictionary: DataFrame | None = None, grammar: str | None = None) -> DataFrame:
+    """The weighted tokens of any samples (``sample_id, slice, text``, and what else ``tokens.KEEP`` names), written once.
+
+    Each slice is lexed by its own grammar (``grammar`` sets one for all). ``dictionary``
+    (word) tells foreign words; without it, the words of enough samples do.
+    """
+    config = config or Config()
+    words = None
+    if config.slippage:
+        words = tokens.lexicon(samples, config.min_df, None) if dictionary is None else dictionary
+        words = tokens.compound_words(samples, materialise(words.select("word"), "dictionary")) if config.compounds else words
+    extra, native = None, {}
+    if config.linter and grammar in (None, "python"):
+        python = samples.where(lexing.grammar_of(grammar) == "python")
+        extra, native["lint"] = linting.spans(python), tuple(g for g in lexing.GRAMMARS if g != "python")
+    if config.parser:
+        known = parsing.languages()
+        read = parsing.spans(samples.withColumn("slice", lexing.grammar_of(grammar)), known)
+        extra, native["syntax"] = read if extra is None else extra.unionByName(read), tuple(g for g in lexing.GRAMMARS if g not in known)
+    table = materialise(tokens.tokens(samples, grammar, words, config.scheme, None if config.tokenizer else config.max_tokens, extra, native), "tokens")
+    if config.tokenizer is None:
+        return table
+    return materialise(subword.weighted(samples, table, config.tokenizer, config.projection, config.scheme["boilerplate"], config.max_tokens), "subwords")
+
+
 def token_table(spark: SparkSession, sf_dir: str, source: str = "documents", config: Config | None = None, salt: str = "", unique: bool = True) -> DataFrame:
-    """The weighted tokens of a source, written once: the target, the scores and the pools all read them."""
+    """The weighted tokens of a given table: the target, the scores and the pools all read them. The dictionary is that of the English documents."""
     config = config or Config()
-    some = catalog.samples(spark, sf_dir, source, salt, unique)
     words = tokens.lexicon(catalog.samples(spark, sf_dir, "documents"), config.min_df) if config.slippage else None
-    grammar = "html" if source == "pages" else "prose"
-    return materialise(tokens.tokens(some, grammar, words, config.scheme, config.max_tokens), "tokens")
+    return mask_table(catalog.samples(spark, sf_dir, source, salt, unique), config, words, "html" if source == "pages" else "prose")
 
 
 def model_stats(table: DataFrame, config: Config | None = None, layers: tuple[int, ...] | None = None) -> DataFrame:
@@ -93,10 +126,17 @@ def probe_scores(table: DataFrame, config: Config | None = None) -> tuple[DataFr
 def composite(table: DataFrame, config: Config | None = None) -> DataFrame:
     """``BY, method, score`` of the composite attack and its halves, on the holdout."""
     config = config or Config()
-    logit = materialise(probability_scores(table, config).where("role = 'holdout'").select(*scores.BY, F.col("weighted_z").alias("score")), "logit")
+    every = materialise(probability_scores(table, config).select(*scores.BY, F.col("weighted_z").alias("score")), "logit")
+    logit = every.where("role = 'holdout'")
     halves, _, _ = probe_scores(table, config)
     halves = materialise(halves, "halves")
-    named = [("weighted_z", logit), ("probe_ensemble", halves), ("composite", probe.fuse(logit, halves, config.fusion, config.alpha)), ("composite_rank", probe.fuse(logit, halves, "rank_mean"))]
+    named = [("weighted_z", logit), ("probe_ensemble", halves), ("composite_rank", probe.fuse(logit, halves, "rank_mean"))]
+    if config.fusion == "stacked":
+        pooled = activation.pool(model_stats(table, config, config.layers), config.pooling)
+        probs = probe.train_probes(probe.stack(pooled, every), config.probe)
+        named.append(("composite", probe.ensemble(probs, materialise(probe.rank_layers(probs), "ranking"), config.top)))
+    else:
+        named.append(("composite", probe.fuse(logit, halves, config.fusion, config.alpha)))
     out = None
     for name, df in named:
         rows = df.select(*scores.BY, F.lit(name).alias("method"), "score")
@@ -104,16 +144,45 @@ def composite(table: DataFrame, config: Config | None = None) -> DataFrame:
     return out
 
 
-def audit(spark: SparkSession, sf_dir: str, source: str = "documents", config: Config | None = None) -> Result:
-    """Scores of all methods on the holdout, their AUC by slice and overall, ROC curves, and what it cost."""
-    config, began = config or Config(), time.time()
-    table = token_table(spark, sf_dir, source, config)
-    read = time.time()
+#: What the main table compares, as the audit names it.
+MAIN = ("composite", "loss", "lowest_k", "neighbour")
+
+
+def all_scores(table: DataFrame, config: Config | None = None) -> DataFrame:
+    """``BY, method, score`` of every method on the holdout of a token table, written once."""
+    config = config or Config()
     one = scores.long_form(probability_scores(table, config).where("role = 'holdout'"))
     near = neighbour_scores(table, config).where("role = 'holdout'").select(*scores.BY, F.lit("neighbour").alias("method"), "score")
-    every = materialise(one.union(near).union(composite(table, config).where("method <> 'weighted_z'")), "scores")
+    return materialise(one.union(near).union(composite(table, config).where("method <> 'weighted_z'")), "scores")
+
+
+def audit(samples: DataFrame, config: Config | None = None, dictionary: DataFrame | None = None, grammar: str | None = None) -> Result:
+    """Scores of all methods on the holdout, their AUC by slice and overall, ROC curves, and what it cost.
+
+    ``samples``: ``sample_id, slice, text, is_member``, and ``role`` (``shadow`` or
+    ``holdout``) if it is to be other than by a digest of the text. Slices named like
+    a grammar (python, java, go, ruby, rust, html) are lexed by it, others as prose.
+    Null and empty texts get no score and are counted in ``costs["rejected"]``.
+    """
+    config, began = config or Config(), time.time()
+    catalog.require(samples, "sample_id", "slice", "text", "is_member")
+    some = samples if "role" in samples.columns else samples.withColumn("role", F.when(F.substring(F.md5("text"), 2, 1) < "8", "shadow").otherwise("holdout"))
+    some = materialise(some.select(F.col("sample_id").cast("long").alias("sample_id"), "slice", "text", "is_member", "role"), "samples")
+    table = mask_table(some.where(F.length("text") > 0), config, dictionary, grammar)
+    read = time.time()
+    every = all_scores(table, config)
     scored = time.time()
     size = table.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("sample_id").alias("d")).first()
-    costs = {"samples": size["d"], "tokens": size["n"], "passes": 2 + config.copies, "lex_s": read - began, "score_s": scored - read, "tokens_per_s": size["n"] / max(1e-9, scored - began)}
+    whole = size["n"] if not config.max_tokens else mask_table(some.where(F.length("text") > 0), replace(config, max_tokens=None), dictionary, grammar).count()
+    costs = {
+        "samples": size["d"], "rejected": some.count() - size["d"], "tokens": size["n"], "truncated_tokens": whole - size["n"], "passes": 1 + 1 + config.copies, "layers": len(config.layers),
+        "lex_s": read - began, "score_s": scored - read, "tokens_per_s": size["n"] / max(1e-9, scored - began)}
     every.createOrReplaceTempView("audit_scores")
     return Result(every, metrics.auc(metrics.with_overall(every), ("method", "slice")), metrics.roc(every, ("method",)), costs)
+
+
+def audit_table(spark: SparkSession, sf_dir: str, source: str = "documents", config: Config | None = None) -> Result:
+    """``audit`` of one of the given tables, with the dictionary of the English documents."""
+    config = config or Config()
+    words = tokens.lexicon(catalog.samples(spark, sf_dir, "documents"), config.min_df) if config.slippage else None
+    return audit(catalog.samples(spark, sf_dir, source), config, words, "html" if source == "pages" else "prose")

@@ -154,5 +154,7 @@ def scored(source: str = "documents", **options) -> str:
     return f"{document_chain(source, **options)}, {ENTROPY}, {lowest()}, {SURPRISE}, scr AS (SELECT * FROM ({parts}) WHERE role = 'holdout')"
 
 
-def licence_case() -> str:
-    return "CASE " + " ".join(f"WHEN contains(text, {q(line)}) THEN {q(name)}" for name, line in LICENCES.items()) + " ELSE 'none' END"
+def licences() -> str:
+    """``l``: a row for each class of licence line that a sample holds, or ``none``."""
+    each = ", ".join(f"CASE WHEN contains(text, {q(line)}) THEN {q(name)} END" for name, line in LICENCES.items())
+    return f"h AS (SELECT sample_id, unnest([{each}]) AS licence FROM smp), l AS (SELECT * FROM h WHERE licence IS NOT NULL UNION ALL SELECT sample_id, 'none' FROM h GROUP BY sample_id HAVING count(licence) = 0)"

@@ -65,11 +65,11 @@ def lexicon_df(spark, sf_dir):
     return tokens.lexicon(_documents(spark, sf_dir))
 
 
-@registered(f"WITH {CHAIN} SELECT slice, key AS word, count(*) AS n FROM wts WHERE ident AND NOT known GROUP BY ALL HAVING count(*) >= 3")
+@registered(f"WITH {CHAIN} SELECT slice, key AS word, count(*) AS n FROM wts WHERE ident AND NOT known GROUP BY ALL")
 def slippage_words(spark, sf_dir):
     rows = tokens.tokens(_documents(spark, sf_dir))
     words = tokens.lexicon(_documents(spark, sf_dir)).select(F.col("word").alias("key"))
-    found = rows.where(lexing.is_identifier(F.col("tok"))).groupBy("slice", "key").agg(F.count(F.lit(1)).alias("n")).where("n >= 3")
+    found = rows.where(lexing.is_identifier(F.col("tok"))).groupBy("slice", "key").agg(F.count(F.lit(1)).alias("n"))
     return found.join(words, "key", "left_anti").select("slice", F.col("key").alias("word"), "n")
 
 
@@ -110,13 +110,13 @@ def mask_runs(spark, sf_dir):
     return mask.runs(tokens.spans(catalog.samples(spark, sf_dir, "pages"), "html"))
 
 
-@registered(f"WITH {CHAIN} SELECT sample_id, pos, weight FROM wts WHERE slice = 'es'")
+@registered(f"WITH {CHAIN} SELECT sample_id, pos, weight FROM wts")
 def token_weights_max(spark, sf_dir):
-    return audit.token_table(spark, sf_dir).where("slice = 'es'").select("sample_id", "pos", "weight")
+    return audit.token_table(spark, sf_dir).select("sample_id", "pos", "weight")
 
 
 MEAN_SQL = f"""WITH {oracles.base('pages')}, {oracles.PCS}, {oracles.TKS}, {oracles.lex()}, {oracles.spn('html')}, {oracles.wts('html', {k: w for k, w in DEFAULT.items() if k not in ('comment', 'literal', 'lint')})},
-c AS (SELECT sample_id, pos, weight, unnest(range(start, stop)) AS at FROM wts WHERE sample_id % 5 = 0),
+c AS (SELECT sample_id, pos, weight, unnest(range(start, stop)) AS at FROM wts),
 m AS (SELECT c.sample_id, c.pos, c.at, c.weight, max(CASE WHEN kind = 'comment' THEN 10.0 WHEN kind IS NOT NULL THEN 5.0 END) AS over FROM c LEFT JOIN spn s ON s.sample_id = c.sample_id AND s.start <= c.at AND s.stop > c.at GROUP BY ALL)
 SELECT sample_id, pos, round(avg(greatest(weight, coalesce(over, 0))), 6)::DOUBLE AS weight FROM m GROUP BY ALL"""
 
@@ -124,21 +124,12 @@ SELECT sample_id, pos, round(avg(greatest(weight, coalesce(over, 0))), 6)::DOUBL
 @registered(MEAN_SQL)
 def token_weights_mean(spark, sf_dir):
     """Projection by the mean over a token's characters, against an oracle that looks at each character."""
-    return _mean_weights(spark, sf_dir, catalog.samples(spark, sf_dir, "pages").where("sample_id % 5 = 0"))
-
-
-def _mean_weights(spark, sf_dir, some: DataFrame) -> DataFrame:
+    some = catalog.samples(spark, sf_dir, "pages")
     own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
     rows = tokens.tokens(some, "html", tokens.lexicon(_documents(spark, sf_dir)), own)
     return rounded(mask.project_mean(rows, mask.runs(tokens.spans(some, "html"))), "weight")
 
 
-@registered()
-def token_weights_mean_all(spark, sf_dir):
-    """The same over every page; the look at each character is too slow for all, so a test holds it against brute force."""
-    return _mean_weights(spark, sf_dir, catalog.samples(spark, sf_dir, "pages"))
-
-
 @registered(f"WITH {CHAIN} SELECT slice, {oracles.KIND} AS kind, count(*) AS n_tokens, CAST(sum(stop - start) AS BIGINT) AS n_chars, round(sum(weight), 4) AS weight FROM wts GROUP BY ALL")
 def mask_profile(spark, sf_dir):
     return rounded(mask.profile(audit.token_table(spark, sf_dir)), "weight", digits=4)
@@ -189,10 +180,10 @@ def split_overlap(spark, sf_dir):
     return out
 
 
-@registered(f"WITH {oracles.document_chain(layers=(0, 1, 4))} SELECT layer, ctx, tok, n FROM cnt WHERE n >= 5")
+@registered(f"WITH {oracles.document_chain(layers=(0, 1, 4))} SELECT layer, ctx, tok, n FROM cnt")
 def ngram_counts(spark, sf_dir):
     table = audit.token_table(spark, sf_dir)
-    return target.count_rows(target.exposed(table.where("is_member")), (0, 1, 4)).where("n >= 5")
+    return target.count_rows(target.exposed(table.where("is_member")), (0, 1, 4))
 
 
 @registered(f"WITH {CHAIN} SELECT layer, ctx, CAST(n_c AS BIGINT) AS n_c, d_c, round(s1, 6) AS s1, round(s2, 6) AS s2 FROM cxs")
@@ -201,36 +192,23 @@ def context_moments(spark, sf_dir):
     return rounded(made.contexts.select("layer", "ctx", "n_c", "d_c", "s1", "s2"), "s1", "s2")
 
 
-def _fr(spark, sf_dir):
-    return audit.model_stats(audit.token_table(spark, sf_dir)).where("slice = 'fr' and role = 'holdout'")
+def _stats(spark, sf_dir):
+    return audit.model_stats(audit.token_table(spark, sf_dir))
 
 
-@registered(f"WITH {CHAIN} SELECT sample_id, pos, round(logp, 6) AS logp FROM sts WHERE slice = 'fr' AND role = 'holdout'")
+@registered(f"WITH {CHAIN} SELECT sample_id, pos, round(logp, 6) AS logp FROM sts")
 def token_logp(spark, sf_dir):
-    return rounded(_fr(spark, sf_dir).select("sample_id", "pos", "logp"), "logp")
+    return rounded(_stats(spark, sf_dir).select("sample_id", "pos", "logp"), "logp")
 
 
-@registered(f"WITH {CHAIN} SELECT sample_id, pos, round(z, 6) + 0.0 AS z, round(z_model, 6) + 0.0 AS z_model FROM sts WHERE slice = 'fr' AND role = 'holdout'")
+@registered(f"WITH {CHAIN} SELECT sample_id, pos, round(z, 6) + 0.0 AS z, round(z_model, 6) + 0.0 AS z_model FROM sts")
 def token_zscore(spark, sf_dir):
-    return _fr(spark, sf_dir).select("sample_id", "pos", (F.round("z", 6) + 0.0).alias("z"), (F.round("z_model", 6) + 0.0).alias("z_model"))
+    return _stats(spark, sf_dir).select("sample_id", "pos", (F.round("z", 6) + 0.0).alias("z"), (F.round("z_model", 6) + 0.0).alias("z_model"))
 
 
-@registered(f"WITH {CHAIN}, {oracles.ENTROPY} SELECT sample_id, pos, round(entropy, 6) AS entropy FROM ste WHERE slice = 'fr' AND role = 'holdout'")
+@registered(f"WITH {CHAIN}, {oracles.ENTROPY} SELECT sample_id, pos, round(entropy, 6) AS entropy FROM ste")
 def context_entropy(spark, sf_dir):
-    return rounded(_fr(spark, sf_dir).select("sample_id", "pos", "entropy"), "entropy")
-
-
-@registered(f"WITH {CHAIN} SELECT sample_id, pos, weight FROM wts")
-def token_weights_all(spark, sf_dir):
-    """Every token's weight, all slices."""
-    return audit.token_table(spark, sf_dir).select("sample_id", "pos", "weight")
-
-
-@registered(f"WITH {CHAIN}, {oracles.ENTROPY} SELECT sample_id, pos, round(logp, 6) AS logp, round(z, 6) + 0.0 AS z, round(z_model, 6) + 0.0 AS z_model, round(entropy, 6) AS entropy FROM ste")
-def token_statistics_all(spark, sf_dir):
-    """Log-probability, Z-scores and entropy of every token, all slices and roles."""
-    rows = audit.model_stats(audit.token_table(spark, sf_dir))
-    return rows.select("sample_id", "pos", F.round("logp", 6).alias("logp"), (F.round("z", 6) + 0.0).alias("z"), (F.round("z_model", 6) + 0.0).alias("z_model"), F.round("entropy", 6).alias("entropy"))
+    return rounded(_stats(spark, sf_dir).select("sample_id", "pos", "entropy"), "entropy")
 
 
 # --- scores -------------------------------------------------------------------
@@ -530,8 +508,11 @@ def ablation_pooling(spark, sf_dir):
 
 @registered()
 def ablation_fusion(spark, sf_dir):
-    """The halves alone and fused by mean and by rank."""
-    return metrics.auc(audit.composite(audit.token_table(spark, sf_dir), Config(probe="linear")))
+    """The halves alone and fused by mean, by rank and by the probes themselves."""
+    table = audit.token_table(spark, sf_dir)
+    rows = audit.composite(table, Config(probe="linear"))
+    stacked = audit.composite(table, Config(probe="linear", fusion="stacked")).where("method = 'composite'").withColumn("method", F.lit("composite_stacked"))
+    return metrics.auc(rows.union(stacked))
 
 
 # --- motives ------------------------------------------------------------------
@@ -543,9 +524,9 @@ def benchmark_contamination(spark, sf_dir):
     return around.contains(catalog.table(spark, sf_dir, "benchmark"), catalog.table(spark, sf_dir, "documents"))
 
 
-@registered(f"WITH {SCORED}, l AS (SELECT sample_id, {oracles.licence_case()} AS licence FROM smp), s AS (SELECT r.*, licence FROM scr r JOIN l USING (sample_id) WHERE method = 'weighted_z') SELECT licence, count(*) AS n, count(*) FILTER (is_member) AS members, round(avg(score), 6) AS mean_score, count(*) FILTER (score >= 0.75) AS flagged FROM s GROUP BY 1")
+@registered(f"WITH {SCORED}, {oracles.licences()}, s AS (SELECT r.*, licence FROM scr r JOIN l USING (sample_id) WHERE method = 'weighted_z') SELECT licence, count(*) AS n, count(*) FILTER (is_member) AS members, round(avg(score), 6) AS mean_score, count(*) FILTER (score >= 0.75) AS flagged FROM s GROUP BY 1")
 def licence_slices(spark, sf_dir):
-    """Scores by the licence line that a sample holds."""
+    """Scores by the licence lines that a sample holds, once for each class."""
     kinds = around.licence_class(_documents(spark, sf_dir))
     rows = _holdout(spark, sf_dir).where("method = 'weighted_z'").join(kinds, "sample_id")
     return rows.groupBy("licence").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("is_member").cast("long")).alias("members"), F.round(F.avg("score"), 6).alias("mean_score"), F.count_if(F.col("score") >= 0.75).alias("flagged"))
@@ -682,18 +663,9 @@ def except_split(spark, sf_dir):
     return docs.select("doc_id").subtract(labels).unionByName(docs.where("lang = 'de'").select("doc_id").intersect(labels))
 
 
-@registered(f"""WITH a AS (WITH {oracles.document_chain()} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' AND slice IN ('de', 'en') GROUP BY 1), b AS (WITH {oracles.document_chain(layers=(0,))} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' AND slice IN ('de', 'fr') GROUP BY 1)
-SELECT coalesce(a.sample_id, b.sample_id) AS sample_id, round(a.s, 6) AS score_a, round(b.s, 6) AS score_b FROM a FULL JOIN b ON a.sample_id = b.sample_id""")
-def full_outer_targets(spark, sf_dir):
-    """Two targets side by side, each scored on other slices."""
-    full = audit.token_table(spark, sf_dir)
-    one = lambda config, slices, name: audit.probability_scores(full, config).where(F.col("slice").isin(*slices) & (F.col("role") == "holdout")).select("sample_id", F.round("loss", 6).alias(name))
-    return one(Config(), ("de", "en"), "score_a").join(one(Config(layer=0), ("de", "fr"), "score_b"), "sample_id", "full_outer")
-
-
 @registered(f"""WITH a AS (WITH {oracles.document_chain()} SELECT sample_id, avg(logp) AS s FROM sts WHERE role = 'holdout' GROUP BY 1), b AS (WITH {oracles.document_chain(layers=(0,))} SELECT sample_id, avg(logp) AS s FROM sts WHERE is_member GROUP BY 1)
 SELECT coalesce(a.sample_id, b.sample_id) AS sample_id, round(a.s, 6) AS score_a, round(b.s, 6) AS score_b FROM a FULL JOIN b ON a.sample_id = b.sample_id""")
-def full_outer_targets_all(spark, sf_dir):
+def full_outer_targets(spark, sf_dir):
     """Two targets side by side over all slices: one scores the holdout, the other the members."""
     full = audit.token_table(spark, sf_dir)
     one = lambda config, side, name: audit.probability_scores(full, config).where(side).select("sample_id", F.round("loss", 6).alias(name))

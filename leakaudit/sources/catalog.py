@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import re
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SAMPLE_COLUMNS = ("sample_id", "slice", "text", "content_key", "is_member", "role")
@@ -88,3 +90,31 @@ def write_bucketed(df: DataFrame, name: str, keys: list[str], buckets: int = 64)
     return df.sparkSession.read.table(name)
 
 
+#: Five source languages as templates over a part: name in camel and snake case, type, brand, size, price. Stand-ins for files, which the tables hold none of.
+CODE = {
+    "python": "# {type} for {brand}\ndef {snake}(size, price):\n    label = '{name}'\n    if size > {size}:\n        return price * {price}\n    return label\n",
+    "java": "class {camel} {{\n    // {type} for {brand}\n    String label = \"{name}\";\n    double price(int size) {{ return size > {size} ? {price} : 0; }}\n}}\n",
+    "go": "package parts\n\n// {type} for {brand}\nfunc {camel}(size int) float64 {{\n\tlabel := `{name}`\n\tif size > {size} {{\n\t\treturn {price}\n\t}}\n\treturn float64(len(label))\n}}\n",
+    "ruby": "# {type} for {brand}\ndef {snake}(size)\n  label = '{name}'\n  return {price} if size > {size}\n  label\nend\n",
+    "rust": "// {type} for {brand}\nfn {snake}(size: u32) -> f64 {{\n    let label = \"{name}\";\n    if size > {size} {{ {price} }} else {{ label.len() as f64 }}\n}}\n",
+}
+
+
+def code_from_parts(spark: SparkSession, sf_dir: str, salt: str = "") -> DataFrame:
+    """``SAMPLE_COLUMNS``: a short source file per part, in the language that its key falls on."""
+    parts = table(spark, sf_dir, "part")
+    words = F.split(F.lower("p_name"), " ")
+    camel = F.array_join(F.transform(words, lambda w: F.initcap(w)), "")
+    fills = {"name": F.col("p_name"), "type": F.lower("p_type"), "brand": F.col("p_brand"), "size": F.col("p_size").cast("string"), "price": F.round("p_retailprice", 2).cast("string"), "snake": F.concat_ws("_", words, F.col("p_partkey").cast("string")), "camel": F.concat(camel, F.col("p_partkey").cast("string"))}
+
+    def filled(template: str) -> Column:
+        pieces = re.split(r"\{(\w+)\}", template.replace("{{", "\x01").replace("}}", "\x02"))
+        return F.concat(*[fills[x] if k % 2 else F.lit(x.replace("\x01", "{").replace("\x02", "}")) for k, x in enumerate(pieces)])
+
+    text = None
+    for k, template in enumerate(CODE.values()):
+        on = F.col("p_partkey") % len(CODE) == k
+        text = F.when(on, filled(template)) if text is None else text.when(on, filled(template))
+    slices = F.element_at(F.array(*[F.lit(n) for n in CODE]), (F.col("p_partkey") % len(CODE) + 1).cast("int"))
+    rows = parts.select(F.col("p_partkey").alias("sample_id"), slices.alias("slice"), text.alias("text")).where(F.length("text") > 0)
+    return _unique(assign(rows, salt)).select(*SAMPLE_COLUMNS)

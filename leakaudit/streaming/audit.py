@@ -49,6 +49,11 @@ def flagged_counts(scored: DataFrame, threshold: float, width: str = "1 day", sl
     return _timed(scored).withWatermark("ts", late).groupBy(window).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("score") >= threshold).alias("flagged")).select(F.col("window.start").alias("start"), "n", "flagged")
 
 
+def totals(scored: DataFrame, threshold: float) -> DataFrame:
+    """Scored and flagged rows per slice since the start: the few slices are the state, written whole each time (output mode ``complete``)."""
+    return scored.groupBy("slice").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("score") >= threshold).alias("flagged"))
+
+
 def fresh(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     """Each text once within the watermark, by content key."""
     return _timed(stream).withColumn("content_key", F.md5("text")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["content_key"])

@@ -69,11 +69,11 @@ def test_mean_weights_cover_every_page(spark, tmp_path):
     own = Scheme({k: w for k, w in Scheme.default().weights.items() if k not in ("comment", "literal", "lint")})
     rows = tokens.tokens(some, "html", tokens.lexicon(catalog.samples(spark, str(tmp_path), "documents")), own).collect()
     want = {(r.sample_id, r.pos): round(sum(max(r.weight, over.get((r.sample_id, at), 0)) for at in range(r.start, r.stop)) / (r.stop - r.start), 6) for r in rows}
-    got = {(r.sample_id, r.pos): r.weight for r in queries.token_weights_mean_all(spark, str(tmp_path)).collect()}
+    got = {(r.sample_id, r.pos): r.weight for r in queries.token_weights_mean(spark, str(tmp_path)).collect()}
     assert got == pytest.approx(want) and {k for k, _ in got} == set(range(12))
 
 
-@pytest.mark.parametrize("name", ["token_weights_all", "token_statistics_all", "full_outer_targets_all"])
+@pytest.mark.parametrize("name", ["token_weights_max", "token_logp", "full_outer_targets", "licence_slices", "ngram_counts", "slippage_words", "split_balance"])
 def test_whole_queries_equal_their_sql(spark, sf, duck, name):
     test_queries_equal_their_sql(spark, sf, duck, name)
 
@@ -131,7 +131,7 @@ def test_composite_is_bounded_and_ahead_of_the_loss(spark):
 
 
 def test_audit_facade(spark, sf):
-    result = audit.audit(spark, sf, config=audit.Config(layers=(0, 1, 4), probe="linear", copies=1, scheme=Scheme.default()))
+    result = audit.audit_table(spark, sf, config=audit.Config(layers=(0, 1, 4), probe="linear", copies=1, scheme=Scheme.default()))
     methods = {r.method for r in result.table.select("method").distinct().collect()}
     assert {"loss", "lowest_k", "neighbour", "surprise", "weighted_z", "probe_ensemble", "composite"} <= methods
     assert result.costs["passes"] == 3 and result.costs["tokens"] > 1000
