@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -20,18 +20,31 @@ def observe(df: DataFrame, name: str) -> tuple[DataFrame, Observation]:
     return df.observe(seen, *counts), seen
 
 
-def timed(stages: dict[str, Callable[[], DataFrame]], passes: int = 1, target_tokens: float = 2.5e13) -> DataFrame:
-    """``stage, rows, seconds, rows_per_s, passes, projected_h`` of each stage, run to the end without a sink.
+def shuffled_bytes(spark: SparkSession) -> int:
+    """Bytes that the application's stages have written to shuffles so far, by its own status store."""
+    sc = spark.sparkContext
+    context = sc._jsc.sc()
+    context.listenerBus().waitUntilEmpty(30_000)
+    stages = context.statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
+    return sum(stages.apply(k).shuffleWriteBytes() for k in range(stages.size()))
 
-    ``projected_h``: hours for ``target_tokens`` rows at this rate on this machine.
+
+def timed(stages: dict[str, Callable[[], DataFrame]], passes: dict[str, int] | None = None, target_tokens: float = 2.5e13) -> DataFrame:
+    """``stage, rows, seconds, rows_per_s, passes, shuffle_bytes, projected_h`` of each stage, run to the end without a sink.
+
+    ``passes``: forward passes a stage takes, one where it isn't named.
+    ``shuffle_bytes`` counts what the application shuffled meanwhile, tables written
+    on the way included. ``projected_h``: hours for ``target_tokens`` rows at this
+    rate on this machine.
     """
     out, spark = [], None
     for name, make in stages.items():
-        began = time.time()
+        before, began = shuffled_bytes(spark) if spark else None, time.time()
         df, seen = observe(make(), name)
         spark = df.sparkSession
         df.write.format("noop").mode("overwrite").save()
         took = time.time() - began
         rows = int(seen.get["rows"])
-        out.append((name, rows, took, rows / max(took, 1e-9), passes, target_tokens / max(rows / max(took, 1e-9), 1e-9) / 3600))
-    return spark.createDataFrame(out, "stage string, rows long, seconds double, rows_per_s double, passes int, projected_h double")
+        moved = shuffled_bytes(spark) - before if before is not None else None
+        out.append((name, rows, took, rows / max(took, 1e-9), (passes or {}).get(name, 1), moved, target_tokens / max(rows / max(took, 1e-9), 1e-9) / 3600))
+    return spark.createDataFrame(out, "stage string, rows long, seconds double, rows_per_s double, passes int, shuffle_bytes long, projected_h double")

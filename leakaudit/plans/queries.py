@@ -784,9 +784,10 @@ def parser_spans_html(spark, sf_dir):
 
 @registered()
 def audit_costs(spark, sf_dir):
-    """Rows, seconds and projected hours of each stage of the weighted Z-score."""
-    table = audit.token_table(spark, sf_dir)
-    return costs.timed({"read": lambda: _documents(spark, sf_dir), "tokens": lambda: table, "forward": lambda: audit.model_stats(table), "score": lambda: audit.probability_scores(table)})
+    """Rows, seconds, forward passes, shuffled bytes and projected hours of each stage of the weighted Z-score, and of the baseline that needs neighbours."""
+    table, config = audit.token_table(spark, sf_dir), Config()
+    stages = {"read": lambda: _documents(spark, sf_dir), "tokens": lambda: table, "forward": lambda: audit.model_stats(table), "score": lambda: audit.probability_scores(table), "neighbour": lambda: audit.neighbour_scores(table)}
+    return costs.timed(stages, {"read": 0, "tokens": 0, "neighbour": 1 + config.copies})
 
 
 @registered()

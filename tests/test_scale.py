@@ -126,3 +126,12 @@ def test_batch_bounds_of_overlapping_blocks_end_with_the_last(spark):
     assert spark.conf.get(key) == "200"
     two.__exit__(None, None, None)
     assert spark.conf.get(key) == before
+
+
+def test_costs_count_rows_passes_and_shuffled_bytes(spark):
+    from leakaudit.operators import costs
+
+    df = spark.range(20_000).withColumn("k", F.col("id") % 5000)
+    rows = {r.stage: r for r in costs.timed({"first": lambda: df, "sum": lambda: df.groupBy("k").count(), "plain": lambda: df}, {"sum": 3}).collect()}
+    assert (rows["first"].rows, rows["sum"].rows) == (20_000, 5000) and rows["sum"].passes == 3 and rows["plain"].passes == 1
+    assert rows["sum"].shuffle_bytes > 1000 and rows["plain"].shuffle_bytes == 0
