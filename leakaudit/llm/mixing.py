@@ -14,9 +14,9 @@ from leakaudit.runtime import lookup, materialise
 WEIGHTS = (5, 2, 1)
 SHARE = 1.5
 MOST_TIMES = 2
-#: A block aims at so many words and documents; a source has at most 2**16 blocks, so its block table stays small.
+#: A block aims at so many words and documents; a source has at most 2**16 blocks by default, so that one window can order them.
 BLOCK_WORDS, BLOCK_DOCS, MOST_BLOCKS_LOG2 = 32768, 256, 16
-#: Output shards: as many as give each some blocks, a power of two between these bounds.
+#: Output shards: as many as give each some blocks, a power of two between these bounds (defaults of ``mix``; more shards and blocks make a larger tree).
 BLOCKS_PER_SHARD, SHARDS, MOST_SHARDS = 16, 16, 4096
 
 
@@ -110,7 +110,7 @@ def _blocked(rows: DataFrame, sources: DataFrame, doc_id: str, seed: int) -> Dat
     return known.withColumn("_block", key.bitwiseAND(F.col("_blocks") - 1)).withColumn("_key", F.xxhash64(F.lit(seed + 1), F.col(doc_id)))
 
 
-def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_TIMES, shards: int | None = None, seed: int = 7, keep: list[str] | None = None) -> DataFrame:
+def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST_TIMES, shards: int | None = None, seed: int = 7, keep: list[str] | None = None, blocks_log2: int = MOST_BLOCKS_LOG2, most_shards: int = MOST_SHARDS) -> DataFrame:
     """``row, size, source_size, target, draws, key``: each row of ``docs`` as a struct (of the columns ``keep``, or all), and what the mix takes of it.
 
     ``draws`` lists (epoch, shard, words): the row is read so often, from that
@@ -119,13 +119,17 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     target is reached, and in that block at the document and word, so a source's
     words differ from its target by rounding only. Reruns give the same.
 
+    Bounds, by parameter: a source has up to 2**``blocks_log2`` blocks, which one
+    task orders; the tree has a row for each of up to ``most_shards`` shards with the
+    quotas of all sources, so sources are meant to be thousands at most.
+
     A null text has no words, a null source is a source; sources without words have
     target 0 and draw nothing. Rows that repeat a doc_id are dealt to one block each
     on its own; no rows give none.
     """
     sized = materialise(docs.select(F.col(doc_id).alias("doc_id"), F.col(source).cast("string").alias("source"), word_count(F.col(text).cast("string")).alias("size")), "sized")
     goal = F.greatest(F.lit(1.0), F.col("source_size") / BLOCK_WORDS, F.col("n_docs") / BLOCK_DOCS)
-    src = materialise(targets(sized, weights, share, most).withColumn("_blocks", F.pow(F.lit(2.0), F.least(F.lit(float(MOST_BLOCKS_LOG2)), F.ceil(F.log2(goal)).cast("double"))).cast("long")), "sources")
+    src = materialise(targets(sized, weights, share, most).withColumn("_blocks", F.pow(F.lit(2.0), F.least(F.lit(float(blocks_log2)), F.ceil(F.log2(goal)).cast("double"))).cast("long")), "sources")
     keyed = src.select(F.coalesce("source", F.lit("")).alias("_source"), F.col("source").isNull().alias("_none"), F.col("idx").alias("_idx"), F.col("source_size").alias("_source_size"), F.col("target").alias("_target"), "_blocks")
     words = _blocked(sized.withColumnRenamed("source", "_source"), keyed, "doc_id", seed).groupBy("_idx", "_block").agg(F.sum("size").alias("words"))
     plan = lookup(words, src.select(F.col("idx").alias("_idx"), "source_size", F.round("target").cast("long").alias("goal")), ["_idx"]).where("source_size > 0 and goal > 0 and words > 0")
@@ -137,7 +141,7 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     place = Window.partitionBy("_idx").orderBy("epoch", "rank")
     drawn = materialise(drawn.withColumn("place", F.row_number().over(place).cast("long")).select("_idx", "_block", "epoch", "place", "take", "words"), "draws")
     if shards is None:
-        shards = min(MOST_SHARDS, max(SHARDS, 1 << math.ceil(math.log2(max(1, drawn.count() / BLOCKS_PER_SHARD)))))
+        shards = min(most_shards, max(SHARDS, 1 << math.ceil(math.log2(max(1, drawn.count() / BLOCKS_PER_SHARD)))))
     tree = splitting_tree(drawn.groupBy(F.col("_idx").alias("idx")).agg(F.count(F.lit(1)).alias("quota")), shards, seed)
     dealt = tree.where("n > 0").select(F.col("idx").alias("_idx"), "shard", F.explode(F.expr("sequence(first + 1, first + n)")).alias("place"))
     blocks = drawn.join(dealt, ["_idx", "place"]).groupBy("_idx", "_block").agg(F.array_sort(F.collect_list(F.struct("epoch", "shard", F.when(F.col("take") < F.col("words"), F.col("take")).alias("take")))).alias("_takes"))
