@@ -14,17 +14,20 @@ BLANK = r"^\s+$"
 TAGS = ("TODO", "FIXME")
 
 _DOUBLE, _SINGLE = r'"(?:\\.|[^"\\\n])*"', r"'(?:\\.|[^'\\\n])*'"
-#: Per grammar: comments, string literals, and the rest in long stretches; the first alternative that fits wins,
-#: so a comment mark in a string is no comment.
-GRAMMARS: dict[str, str] = {
-    "prose": r'"[^"\n]*"|[^"]+|"',
-    "html": r'<!--(?s:.*?)-->|"[^"\n]*"|[^"<]+|["<]',
-    "python": r'#[^\n]*|[rbfuRBFU]{0,2}(?:"""(?s:.*?)"""|' + r"'''(?s:.*?)'''|" + _DOUBLE + "|" + _SINGLE + r""")|[^#"'rbfuRBFU]+|(?s:.)""",
-    "java": r'//[^\n]*|/\*(?s:.*?)\*/|"""(?s:.*?)"""|' + _DOUBLE + "|" + _SINGLE + r"""|[^/"']+|[/"']""",
-    "go": r"//[^\n]*|/\*(?s:.*?)\*/|`[^`]*`|" + _DOUBLE + "|" + _SINGLE + r"""|[^/"'`]+|[/"'`]""",
-    "ruby": r"(?m:^=begin(?s:.*?)^=end)|#[^\n]*|" + _DOUBLE + "|" + _SINGLE + r"""|[^#"'=]+|[#"'=]""",
-    "rust": r'//[^\n]*|/\*(?s:.*?)\*/|r#"(?s:.*?)"#|' + _DOUBLE + r"""|'(?:\\.|[^'\\\n])'|[^/"'r]+|[/"'r]""",
+#: Per grammar: comments and string literals; the first alternative that fits wins, so a comment mark in a string is no comment.
+MARKS: dict[str, str] = {
+    "prose": r'"[^"\n]*"',
+    "html": r'<!--(?s:.*?)-->|"[^"\n]*"',
+    "python": r'#[^\n]*|[rbfuRBFU]{0,2}(?:"""(?s:.*?)"""|' + r"'''(?s:.*?)'''|" + _DOUBLE + "|" + _SINGLE + ")",
+    "java": r'//[^\n]*|/\*(?s:.*?)\*/|"""(?s:.*?)"""|' + _DOUBLE + "|" + _SINGLE,
+    "go": r"//[^\n]*|/\*(?s:.*?)\*/|`[^`]*`|" + _DOUBLE + "|" + _SINGLE,
+    "ruby": r"(?m:^=begin(?s:.*?)^=end)|#[^\n]*|" + _DOUBLE + "|" + _SINGLE,
+    "rust": r'//[^\n]*|/\*(?s:.*?)\*/|r#"(?s:.*?)"#|' + _DOUBLE + r"""|'(?:\\.|[^'\\\n])'""",
 }
+#: The characters that a mark of the grammar can begin with; what stands between marks is a run of others, or one of them.
+_BEGINS = {"prose": '"', "html": '"<', "python": "#\"'rbfuRBFU", "java": "/\"'", "go": "/\"'`", "ruby": "#\"'=", "rust": "/\"'r"}
+#: Total patterns: a text's marks, and the rest in stretches.
+GRAMMARS: dict[str, str] = {g: f"{marks}|[^{_BEGINS[g]}]+|[{_BEGINS[g]}]" for g, marks in MARKS.items()}
 #: What marks a comment, and what a literal, at the start of a stretch.
 COMMENT_STARTS = {
     "prose": None, "html": r"^<!--", "python": r"^#", "java": r"^(?://|/\*)", "go": r"^(?://|/\*)", "ruby": r"^(?:#|=begin)", "rust": r"^(?://|/\*)",
@@ -43,10 +46,16 @@ KEYWORDS: dict[str, tuple[str, ...]] = {
     "ruby": tuple("alias and begin break case class def defined do else elsif end ensure false for if in module next nil not or redo rescue retry return self super then true undef unless until when while yield".split()),
     "rust": tuple("as async await break const continue crate dyn else enum extern false fn for if impl in let loop match mod move mut pub ref return self static struct super trait true type unsafe use where while".split()),
 }
-#: Generic format rules, in one total pattern: trailing blanks, runs of blanks, tabs, a blank before a comma or
-#: full stop, a comma without a blank after it, and runs of three equal marks.
-LINT = r" +\n| +[,.]|\t+| {2,}|,[\p{L}]|#{3,}|%{3,}|\*{3,}|\${3,}|&{3,}|={3,}|[^ \t,#%*$&=]+|(?s:.)"
-LINT_HIT = r"^(?: +\n| +[,.]|\t+| {2,}|,[\p{L}]|#{3,}|%{3,}|\*{3,}|\${3,}|&{3,}|={3,})$"
+#: Generic format rules: trailing blanks, blanks before a comma or full stop, tabs, runs of blanks, a comma without a
+#: blank after it, and runs of three equal marks; and a total pattern of them.
+LINT_MARKS = r" +\n| +[,.]|\t+| {2,}|,[\p{L}]|#{3,}|%{3,}|\*{3,}|\${3,}|&{3,}|={3,}"
+LINT = LINT_MARKS + r"|[^ \t,#%*$&=]+|(?s:.)"
+LINT_HIT = f"^(?:{LINT_MARKS})$"
+#: Pieces that take the white space behind them along: half as many. Their own end is where the blanks begin.
+TOKEN = r"(?s)(?:[\p{L}_][\p{L}\p{N}_]*|\p{N}+|\S)\s*|\s+"
+BLANKS = " \t\n\x0b\f\r"
+#: Stands round each mark while a text is cut; where the text has it, another control character is read.
+CUT, OTHER = "\x1f", "\x1e"
 #: The slices whose grammar isn't their name.
 SLICE_GRAMMAR = {"en": "prose", "fr": "prose", "de": "prose", "es": "prose", "user": "prose", "assistant": "prose", "system": "prose"}
 
@@ -56,6 +65,15 @@ def stretches(text: Column, pattern: str) -> Column:
     return F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
 
 
+def cut(text: Column, marks: str) -> Column:
+    """The text in stretches again, the marks at every second place: as many as there are marks, not as there are words.
+
+    A mark begins only with characters that no run between marks holds, so the
+    leftmost search finds what the total pattern finds.
+    """
+    return F.split(F.regexp_replace(F.translate(text, CUT, OTHER), f"(?:{marks})", f"{CUT}$0{CUT}"), CUT)
+
+
 def is_identifier(tok: Column) -> Column:
     return tok.rlike(IDENTIFIER)
 

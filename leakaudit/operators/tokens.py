@@ -17,39 +17,52 @@ SMALL, LARGE = (0, 1, 2), tuple(range(len(CONTEXTS)))
 SEPARATOR = "\x01"
 
 
-def _ordered(text: Column, pattern: str, stream: str) -> Column:
-    return F.transform(lexing.stretches(text, pattern), lambda t, i: F.struct(F.lit(stream).alias("stream"), (i + 1).alias("pos"), t.alias("tok")))
+def _ordered(stretches: Column, stream: str) -> Column:
+    return F.transform(stretches, lambda t, i: F.struct(F.lit(stream).alias("stream"), (i + 1).alias("pos"), t.alias("tok")))
 
 
 def placed(samples: DataFrame, grammar: str | None = "prose", streams: tuple[str, ...] = ("piece",), extra: tuple[str, ...] = ()) -> DataFrame:
-    """``KEEP, stream, pos, tok, start, stop`` of the streams ``piece``, ``syntax`` and ``lint``. Without a ``grammar`` each row's slice tells it.
+    """``KEEP, stream, pos, tok, start, stop`` of the streams ``piece`` (or ``token``: pieces without white space), ``syntax`` and ``lint``.
+
+    Without a ``grammar`` each row's slice tells it. Of ``syntax`` and ``lint`` every second stretch is a mark.
 
     Texts are dealt by sample once; explosion and the windows over a sample's
     stretches then need no other shuffle. Offsets count code points, stop exclusive.
     """
     none = F.array().cast("array<struct<stream:string,pos:int,tok:string>>")
     made = {
-        "piece": lambda: _ordered(F.col("text"), lexing.PIECE, "piece"), "lint": lambda: _ordered(F.col("text"), lexing.LINT, "lint"),
-        "syntax": lambda: lexing.by_grammar(grammar, lambda g: _ordered(F.col("text"), lexing.GRAMMARS[g], "syntax"), none),
+        "piece": lambda: _ordered(lexing.stretches(F.col("text"), lexing.PIECE), "piece"), "token": lambda: _ordered(lexing.stretches(F.col("text"), lexing.TOKEN), "piece"),
+        "lint": lambda: _ordered(lexing.cut(F.col("text"), lexing.LINT_MARKS), "lint"),
+        "syntax": lambda: lexing.by_grammar(grammar, lambda g: _ordered(lexing.cut(F.col("text"), lexing.MARKS[g]), "syntax"), none),
     }
     arrays = F.concat(*[made[s]() for s in streams])
     keep = [c for c in (*KEEP, *extra) if c in samples.columns]
     rows = samples.repartition("sample_id").select(*keep, F.explode(arrays).alias("s")).select(*keep, "s.stream", "s.pos", "s.tok")
     upto = Window.partitionBy("sample_id", "stream").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
-    return rows.withColumn("stop", F.sum(F.length("tok")).over(upto).cast("int")).withColumn("start", (F.col("stop") - F.length("tok")).cast("int"))
+    rows = rows.withColumn("stop", F.sum(F.length("tok")).over(upto).cast("int"))
+    if "token" not in streams:
+        return rows.withColumn("start", (F.col("stop") - F.length("tok")).cast("int"))
+    # a stretch of a token and the blanks behind it is two pieces; blanks alone, at the start of a text, are one and go
+    bare = F.when(F.col("stream") == "piece", F.rtrim("tok", F.lit(lexing.BLANKS))).otherwise(F.col("tok"))
+    both = ((F.col("_bare") != "") & (F.length("_bare") < F.length("tok"))).cast("int")
+    rows = rows.withColumn("_bare", bare).withColumn("start", (F.col("stop") - F.length("tok")).cast("int"))
+    rows = rows.withColumn("_pieces", F.sum(1 + both).over(upto)).withColumn("pos", F.when(F.col("stream") == "piece", F.col("_pieces") - both).otherwise(F.col("pos")).cast("int"))
+    rows = rows.withColumn("tok", F.col("_bare")).withColumn("stop", (F.col("start") + F.length("_bare")).cast("int")).drop("_bare", "_pieces")
+    return rows.where("stream <> 'piece' or tok <> ''")
 
 
 def span_kind(grammar: str | None) -> Column:
     """The overlay kind of a stretch: comment, literal, lint, or null."""
     begins = lambda starts: lexing.by_grammar(grammar, lambda g: F.col("tok").rlike(starts[g]) if starts[g] else None, F.lit(False))
-    syntax = F.col("stream") == "syntax"
-    kind = F.when((F.col("stream") == "lint") & F.col("tok").rlike(lexing.LINT_HIT), "lint")
+    mark = F.col("pos") % 2 == 0
+    syntax = (F.col("stream") == "syntax") & mark
+    kind = F.when((F.col("stream") == "lint") & mark, "lint")
     return kind.when(syntax & begins(lexing.COMMENT_STARTS), "comment").when(syntax & begins(lexing.LITERAL_STARTS), "literal")
 
 
 def spans(samples: DataFrame, grammar: str | None = "prose") -> DataFrame:
     """``sample_id, slice, kind, start, stop`` of comments, literals, format errors and tags."""
-    rows = placed(samples, grammar, ("piece", "syntax", "lint"))
+    rows = placed(samples, grammar, ("token", "syntax", "lint"))
     kind = F.when((F.col("stream") == "piece") & F.col("tok").isin(*lexing.TAGS), "tag").otherwise(span_kind(grammar))
     return rows.withColumn("kind", kind).where("kind is not null").select("sample_id", "slice", "kind", "start", "stop")
 
@@ -95,16 +108,18 @@ def tokens(samples: DataFrame, grammar: str | None = "prose", words: DataFrame |
     over = span_kind(grammar)
     for stream, names in (native or {}).items():
         over = F.when((F.col("stream") != stream) | lexing.grammar_of(grammar).isin(*names), over)
-    rows = placed(samples, grammar, ("piece", "syntax", "lint")).withColumn("over", over)
+    rows = placed(samples, grammar, ("token", "syntax", "lint")).withColumn("over", over)
     rows = rows.where("stream = 'piece' or over is not null")
     if extra is not None:
         more = extra.select("sample_id", F.lit("extra").alias("stream"), F.col("start").cast("int").alias("start"), F.col("stop").cast("int").alias("stop"), F.col("kind").alias("over"))
         rows = rows.unionByName(more, allowMissingColumns=True)
-    order = Window.partitionBy("sample_id").orderBy(F.when(F.col("stream") == "piece", F.col("stop") - 1).otherwise(F.col("start"))).rangeBetween(Window.unboundedPreceding, 0)
+    rows = rows.withColumn("_at", F.when(F.col("stream") == "piece", F.col("stop") - 1).otherwise(F.col("start")))
+    order = Window.partitionBy("sample_id").orderBy("_at").rangeBetween(Window.unboundedPreceding, 0)
     for kind in ("comment", "literal", "lint"):
         rows = rows.withColumn(f"_{kind}", F.coalesce(F.max(F.when(F.col("over") == kind, F.col("stop"))).over(order) > F.col("start"), F.lit(False)))
-    rows = rows.where("stream = 'piece'").where(~F.col("tok").rlike(lexing.BLANK))
-    inside = Window.partitionBy("sample_id").orderBy("pos")
+    rows = rows.where("stream = 'piece'")
+    # the same order as before, in which the rows already are
+    inside = Window.partitionBy("sample_id").orderBy("_at")
     rows = rows.withColumn("t", F.row_number().over(inside)).withColumn("key", F.lower("tok"))
     for back in range(1, 5):
         rows = rows.withColumn(f"prev{back}", F.lag("key", back, "^").over(inside))

@@ -84,3 +84,9 @@ def test_stateless_counts(spark):
     df = spark.createDataFrame([(1, "TODO some words")], "sample_id long, text string")
     assert tuple(live.token_classes(df).first())[:3] == (1, 3, 1)
     assert tokens.CONTEXTS[1] == (1,)
+
+
+def test_totals_are_written_whole_each_time(spark, tmp_path):
+    rows = [[("en", 0.9), ("de", 0.1)], [("en", 0.2)], [("en", 0.8), ("fr", 0.9)]]
+    out = drain(live.totals(feed(spark, tmp_path, "totals", rows, "slice string, score double"), 0.5), "totals_out", "complete", tmp_path)
+    assert {tuple(r) for r in out.collect()} == {("en", 3, 2), ("de", 1, 0), ("fr", 1, 1)}
