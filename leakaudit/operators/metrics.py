@@ -93,14 +93,17 @@ def gap(table: DataFrame, ours: str = "weighted_z") -> DataFrame:
     return table.where(F.col("method") != ours).join(mine, "slice").select("slice", "method", F.round(100 * (F.col("_mine") - F.col("auc")), 4).alias("points"))
 
 
+#: The distribution function of Poisson(1) (fixed values).
+POISSON = (0.367879, 0.735759, 0.919699, 0.981012, 0.996340, 0.999406, 0.999917)
+
+
 def bootstrap(scores: DataFrame, reps: int = 200, seed: int = 7, by: tuple[str, ...] = ("method",)) -> DataFrame:
-    """``by, low, high``: the middle 95 % of AUC over ``reps`` resamplings with Poisson(1) weights, drawn by a hash of row and replica."""
+    """``by, low, high``: the middle 95 % of AUC over ``reps`` resamplings with Poisson(1) weights, drawn by a digest of row and replica."""
     keys = [*by, "rep"]
-    unit = F.pmod(F.xxhash64(F.lit(seed), "sample_id", "method", "rep"), F.lit(1 << 40)) / float(1 << 40)
-    # the distribution function of Poisson(1)
-    bounds = (0.367879, 0.735759, 0.919699, 0.981012, 0.996340, 0.999406, 0.999917)
-    weight = sum(((unit >= b).cast("long") for b in bounds), F.lit(0).cast("long"))
+    digits = F.substring(F.md5(F.concat_ws("/", F.lit(str(seed)), F.col("sample_id").cast("string"), "method", F.col("rep").cast("string"))), 1, 10)
+    unit = F.conv(digits, 16, 10).cast("double") / float(1 << 40)
+    weight = sum(((unit >= b).cast("long") for b in POISSON), F.lit(0).cast("long"))
     each = scores.where("score is not null").withColumn("rep", F.explode(F.sequence(F.lit(1), F.lit(reps)))).withColumn("_w", weight)
     counts = each.groupBy(*keys, F.round("score", 9).alias("score")).agg(F.sum(F.when(F.col("is_member"), F.col("_w")).otherwise(0)).alias("pos"), F.sum(F.when(F.col("is_member"), 0).otherwise(F.col("_w"))).alias("neg"))
     area = _area(counts, keys)
-    return area.groupBy(*by).agg(F.percentile("auc", F.array(F.lit(0.025), F.lit(0.975))).alias("q")).select(*by, F.col("q")[0].alias("low"), F.col("q")[1].alias("high"))
+    return area.groupBy(*by).agg(F.percentile("auc", F.array(F.lit(0.025), F.lit(0.975))).alias("q")).select(*by, F.round(F.col("q")[0], 6).alias("low"), F.round(F.col("q")[1], 6).alias("high"))

@@ -448,7 +448,15 @@ def gap_points(spark, sf_dir):
     return metrics.gap(materialise(metrics.auc(_holdout(spark, sf_dir), ("method", "slice")), "auc"))
 
 
-@registered()
+BOOTSTRAP_SQL = f"""WITH {SCORED}, u AS (SELECT s.method, s.is_member, round(s.score, 9) AS sc, rep, CAST('0x' || substr(md5('7/' || sample_id || '/' || method || '/' || rep), 1, 10) AS BIGINT) / 1099511627776.0 AS u FROM scr s CROSS JOIN range(1, 101) t(rep) WHERE score IS NOT NULL),
+w AS (SELECT *, {' + '.join(f'CAST(u >= {b} AS BIGINT)' for b in metrics.POISSON)} AS w FROM u),
+c AS (SELECT method, rep, sc, sum(CASE WHEN is_member THEN w ELSE 0 END) AS pos, sum(CASE WHEN is_member THEN 0 ELSE w END) AS neg FROM w GROUP BY ALL),
+b AS (SELECT *, coalesce(sum(neg) OVER (PARTITION BY method, rep ORDER BY sc ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS below FROM c),
+g AS (SELECT method, rep, round(sum(pos * (below + neg / 2.0)) / nullif(sum(pos) * sum(neg), 0), 6) AS auc FROM b GROUP BY 1, 2)
+SELECT method, round(quantile_cont(auc, 0.025), 6) AS low, round(quantile_cont(auc, 0.975), 6) AS high FROM g GROUP BY 1"""
+
+
+@registered(BOOTSTRAP_SQL)
 def bootstrap_intervals(spark, sf_dir):
     return metrics.bootstrap(_holdout(spark, sf_dir), 100)
 
@@ -703,20 +711,23 @@ def sql_surface(spark, sf_dir):
     return spark.sql("SELECT kind, count(*) AS n, round(sum(class_weight(kind)), 4) AS weight, round(max(s), 6) AS half FROM (SELECT token_class(tok) AS kind, sigmoid(0.5D) AS s FROM audit_pieces) GROUP BY kind")
 
 
-@registered()
+NEAR = NEIGHBOUR_SQL.replace("round(max(conf) FILTER (copy = 0) - avg(conf) FILTER (copy > 0), 6) + 0.0 AS score", "max(conf) FILTER (copy = 0) - avg(conf) FILTER (copy > 0) AS score")
+
+
+@registered(f"WITH n AS (SELECT *, 'neighbour' AS method FROM ({NEAR})), o AS (SELECT slice, is_member, method, score FROM n UNION ALL SELECT 'overall', is_member, method, score FROM n) {oracles.area('o', 'method, slice')}")
 def neighbour_table(spark, sf_dir):
     """The neighbour-calibrated baseline by slice and overall."""
     rows = audit.neighbour_scores(audit.token_table(spark, sf_dir)).where("role = 'holdout'").select(*scores.BY, F.lit("neighbour").alias("method"), "score")
     return metrics.auc(metrics.with_overall(rows), ("method", "slice"))
 
 
-@registered()
+@registered(f"WITH {SCORED}, z AS (SELECT * FROM scr WHERE method = 'weighted_z'), a AS ({oracles.area('z', 'slice')}), w AS (SELECT slice, sum(CASE WHEN {oracles.KIND} <> 'boilerplate' THEN weight END) / sum(weight) AS h, avg(weight) AS m FROM wts GROUP BY 1) SELECT slice, auc, round(h, 6) AS human_share, round(m, 6) AS mean_weight FROM a JOIN w USING (slice)")
 def variability(spark, sf_dir):
     """What the mask weighs in each slice beside the weighted score's AUC."""
     table = audit.token_table(spark, sf_dir)
     share = table.groupBy("slice").agg((F.sum(F.when(F.col("kind") != "boilerplate", F.col("weight"))) / F.sum("weight")).alias("human_share"), F.avg("weight").alias("mean_weight"))
     area = metrics.auc(scores.long_form(audit.probability_scores(table).where("role = 'holdout'"), ("weighted_z",)), ("method", "slice"))
-    return area.join(share, "slice").select("slice", "auc", "human_share", "mean_weight")
+    return rounded(area.join(share, "slice").select("slice", "auc", "human_share", "mean_weight"), "human_share", "mean_weight")
 
 
 # --- further variants ---------------------------------------------------------
@@ -738,7 +749,16 @@ def ablation_copies(spark, sf_dir):
     return metrics.auc(scores.long_form(audit.probability_scores(table).where("role = 'holdout'"), ("loss", "weighted_z")))
 
 
-@registered()
+def _projected(name: str, chain: str) -> str:
+    return f"SELECT * FROM (WITH {chain}, s AS (SELECT sample_id, is_member, '{name}' AS method, sum(weight * {oracles.SIG}) / sum(weight) AS score FROM sts WHERE role = 'holdout' GROUP BY ALL) {oracles.area('s', 'method')})"
+
+
+#: The chain whose weights are means over characters: MEAN_SQL's, under the name that the model reads.
+MEAN_CHAIN = MEAN_SQL.split("WITH ", 1)[1].replace("wts AS (", "wt0 AS (", 1).replace("AS at FROM wts)", "AS at FROM wt0)", 1).rsplit("SELECT sample_id, pos, round(", 1)[0].rstrip() + (
+    ", mw AS (SELECT sample_id, pos, avg(greatest(weight, coalesce(over, 0)))::DOUBLE AS weight FROM m GROUP BY ALL), wts AS (SELECT wt0.* EXCLUDE (weight), mw.weight FROM wt0 JOIN mw ON mw.sample_id = wt0.sample_id AND mw.pos = wt0.pos), " + oracles.model())
+
+
+@registered(f"{_projected('max', oracles.document_chain('pages'))} UNION ALL {_projected('mean', MEAN_CHAIN)}")
 def ablation_projection(spark, sf_dir):
     """Weights projected to tokens by the largest and by the mean over characters, on pages."""
     some = catalog.samples(spark, sf_dir, "pages")
