@@ -99,7 +99,7 @@ def tokens(samples: DataFrame, grammar: str | None = "prose", words: DataFrame |
     largest end lies beyond its start: one running maximum per kind, no interval
     join. The weight is the largest of the kinds that cover it; a tag assigns its
     own. ``t`` numbers the scored tokens (no white space) from 1. ``words`` is the
-    dictionary; without it nothing is slippage. ``max_tokens`` cuts each sample.
+    dictionary, best a written table, for it is counted; without it nothing is slippage. ``max_tokens`` cuts each sample.
     ``extra`` (sample_id, kind, start, stop) are spans from elsewhere, a parser or
     linter; ``native`` says for which grammars the streams ``syntax`` and ``lint``
     still count, all if it doesn't name the stream.
@@ -129,7 +129,7 @@ def tokens(samples: DataFrame, grammar: str | None = "prose", words: DataFrame |
     ident = F.col("tok").rlike(lexing.IDENTIFIER) & ~keyword
     rows = rows.withColumn("_ident", ident)
     if words is not None:
-        rows = lookup(rows, materialise(words.select(F.col("word").alias("key"), F.lit(True).alias("_known")), "words"), ["key"], "left")
+        rows = lookup(rows, words.select(F.col("word").alias("key"), F.lit(True).alias("_known")), ["key"], "left")
     else:
         rows = rows.withColumn("_known", F.lit(True))
     base = F.when(~F.col("_ident"), "boilerplate").when((F.length("tok") >= scheme.long_min) & F.lit("long" in scheme.weights), "long").otherwise("standard")

@@ -68,7 +68,8 @@ def mask_table(samples: DataFrame, config: Config | None = None, dictionary: Dat
     words = None
     if config.slippage:
         words = tokens.lexicon(samples, config.min_df, None) if dictionary is None else dictionary
-        words = tokens.compound_words(samples, materialise(words.select("word"), "dictionary")) if config.compounds else words
+        words = materialise(words.select("word"), "dictionary")
+        words = materialise(tokens.compound_words(samples, words), "dictionary") if config.compounds else words
     extra, native = None, {}
     if config.linter and grammar in (None, "python"):
         python = samples.where(lexing.grammar_of(grammar) == "python")

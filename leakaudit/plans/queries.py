@@ -126,7 +126,7 @@ def token_weights_mean(spark, sf_dir):
     """Projection by the mean over a token's characters, against an oracle that looks at each character."""
     some = catalog.samples(spark, sf_dir, "pages")
     own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
-    rows = tokens.tokens(some, "html", tokens.lexicon(_documents(spark, sf_dir)), own)
+    rows = tokens.tokens(some, "html", materialise(tokens.lexicon(_documents(spark, sf_dir)), "lexicon"), own)
     return rounded(mask.project_mean(rows, mask.runs(tokens.spans(some, "html"))), "weight")
 
 
@@ -764,7 +764,7 @@ def ablation_projection(spark, sf_dir):
     some = catalog.samples(spark, sf_dir, "pages")
     table = audit.token_table(spark, sf_dir, "pages")
     own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
-    plain = tokens.tokens(some, "html", tokens.lexicon(_documents(spark, sf_dir)), own)
+    plain = tokens.tokens(some, "html", materialise(tokens.lexicon(_documents(spark, sf_dir)), "lexicon"), own)
     mean = mask.project_mean(plain, mask.runs(tokens.spans(some, "html")))
     by_mean = materialise(table.drop("weight").join(mean, ["sample_id", "pos"]), "mean")
     one = lambda t, name: scores.long_form(audit.probability_scores(t).where("role = 'holdout'"), ("weighted_z",)).withColumn("method", F.lit(name))

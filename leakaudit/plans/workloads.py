@@ -22,20 +22,22 @@ from leakaudit.sources.examples import CODE_SAMPLES
 
 #: The two sizes of the target: contexts of up to two tokens, and all ten layers.
 SIZES = {"small": tokens.SMALL, "large": tokens.LARGE}
+#: Sixteenths of the members' chunks that the target sees of short sources: a text of some sixty tokens has few chunks.
+CODE_EXPOSURE = 4
 
 
-def _sized(table: DataFrame) -> DataFrame:
+def _sized(table: DataFrame, exposure: int = audit.EXPOSURE) -> DataFrame:
     """Every method on the holdout, the composite attack once for each size of the target."""
-    out = audit.all_scores(table, Config(layers=tokens.LARGE)).replace("composite", "composite_large", "method")
-    small = audit.composite(table, Config(layers=tokens.SMALL)).where("method = 'composite'").withColumn("method", F.lit("composite_small"))
+    out = audit.all_scores(table, Config(layers=SIZES["large"], exposure=exposure)).replace("composite", "composite_large", "method")
+    small = audit.composite(table, Config(layers=SIZES["small"], exposure=exposure)).where("method = 'composite'").withColumn("method", F.lit("composite_small"))
     return out.union(small.select(*out.columns))
 
 
 MAIN = ("composite_large", "composite_small", "loss", "lowest_k", "neighbour")
 
 
-def _main(table: DataFrame) -> DataFrame:
-    return metrics.auc(metrics.with_overall(_sized(table).where(F.col("method").isin(*MAIN))), ("method", "slice"))
+def _main(table: DataFrame, exposure: int = audit.EXPOSURE) -> DataFrame:
+    return metrics.auc(metrics.with_overall(_sized(table, exposure).where(F.col("method").isin(*MAIN))), ("method", "slice"))
 
 
 @registered()
@@ -44,20 +46,16 @@ def main_table(spark, sf_dir):
     return _main(audit.token_table(spark, sf_dir))
 
 
-def _code_table(spark, sf_dir, **options) -> DataFrame:
-    return audit.mask_table(catalog.code_from_parts(spark, sf_dir), Config(**options))
-
-
 @registered()
 def main_table_code(spark, sf_dir):
     """The same over five source languages, each lexed by its own grammar, Python also by the line rules."""
-    return _main(_code_table(spark, sf_dir))
+    return _main(audit.mask_table(catalog.code_from_parts(spark, sf_dir)), CODE_EXPOSURE)
 
 
 @registered()
 def code_audit(spark, sf_dir):
     """An audit of any samples in one call: AUC of every method by language and overall."""
-    return audit.audit(catalog.code_from_parts(spark, sf_dir), Config(layers=tokens.SMALL, probe="linear", copies=2)).table
+    return audit.audit(catalog.code_from_parts(spark, sf_dir), Config(layers=tokens.SMALL, probe="linear", copies=2, exposure=CODE_EXPOSURE)).table
 
 
 @registered()
@@ -153,7 +151,7 @@ def contamination_scores(spark, sf_dir):
     items = materialise(catalog.table(spark, sf_dir, "benchmark").where(F.length("text") > 0), "items")
     held = around.contains(items, docs).select("item_id").distinct().withColumn("_held", F.lit(True))
     some = items.join(held, "item_id", "left").select(F.col("item_id").alias("sample_id"), F.lit("benchmark").alias("slice"), "text", F.coalesce("_held", F.lit(False)).alias("is_member"), F.lit("holdout").alias("role"))
-    words = tokens.lexicon(_documents(spark, sf_dir))
+    words = materialise(tokens.lexicon(_documents(spark, sf_dir)), "lexicon")
     return metrics.auc(scores.long_form(scores.per_sample(target.forward(tokens.tokens(some, words=words), made))))
 
 
