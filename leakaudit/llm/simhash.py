@@ -46,7 +46,7 @@ def fingerprint(words: list[bytes], shingle: int = SHINGLE) -> int:
 
 def _key(doc_id: Column, text: Column) -> Column:
     """What tells rows apart: a digest of doc_id and text, never null. Rows that repeat both share it."""
-    return F.unhex(F.sha2(F.concat(F.coalesce(doc_id.cast("string"), F.lit("")), F.lit("/"), F.coalesce(text, F.lit("")), F.when(text.isNull(), "/").otherwise("")), 256))
+    return F.unhex(F.sha2(F.concat(F.coalesce(doc_id.cast("string"), F.lit("")), F.when(text.isNull(), "-").otherwise("/"), F.coalesce(text, F.lit(""))), 256))
 
 
 def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, keyed: bool = False) -> DataFrame:
