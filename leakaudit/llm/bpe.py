@@ -33,7 +33,9 @@ PIECE = 2048
 #: Words of about so many bytes are numbered at once.
 SLICE_BYTES = 2 << 20
 #: Ids of a document are decoded in rows of so many at most; ids below DENSE are looked up by place.
-STEP, DENSE = 1024, 1 << 24
+STEP, DENSE = 256, 1 << 24
+#: So many ids at once are asked for and put together.
+IDS = 1 << 18
 #: Words are dealt to so many parts by a hash at most; each part encodes its distinct words.
 MOST_PARTS = 4096
 #: Each word is followed by END. Where a text itself has one of the two, it is escaped by characters of the same class, which moves no word's end.
@@ -252,15 +254,21 @@ def _ids_of_block(table: pa.Table) -> pa.Table:
     count, flat = np.concatenate(counts), np.concatenate(flat)
     first = np.cumsum(count) - count
     at += 4 * len(doc_ids)
-    streams, sizes = [np.zeros(0, np.int32)], [np.zeros(1, np.int64)]
+    streams, bounds, word, total, doc = [np.zeros(0, np.int32)], np.zeros(len(doc_ids) + 1, np.int32), 0, 0, 0
     for _ in range(n_chunks):
         code, at = _unpack(body, at)
         code = before[code % n_parts] + code // n_parts  # the word's place among the block's
         n = count[code]
-        streams.append(flat[np.repeat(first[code] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))])
-        sizes.append(n)
-    bounds = np.concatenate(([0], np.cumsum(np.concatenate(sizes))[ends])).astype(np.int32)
-    return pa.table([doc_ids, pa.ListArray.from_arrays(pa.array(bounds), pa.array(np.concatenate(streams)))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
+        upto = np.cumsum(n)
+        streams.append(flat[np.repeat(first[code] - (upto - n), n) + np.arange(int(upto[-1]) if len(n) else 0)])
+        # the documents that end among these words
+        to = int(np.searchsorted(ends, word + len(code), "right"))
+        bounds[doc + 1 : to + 1] = total + np.concatenate(([0], upto))[ends[doc:to] - word]
+        word, total, doc = word + len(code), total + len(streams[-1]), to
+    bounds[doc + 1 :] = total
+    ids = np.concatenate(streams)
+    del streams, body
+    return pa.table([doc_ids, pa.ListArray.from_arrays(pa.array(bounds), pa.array(ids))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
 
 
 def _blocks(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) -> GroupedData:
@@ -294,8 +302,7 @@ def _asked(doc_id: pa.Array, ids: pa.Array) -> pa.RecordBatch:
     sizes = pc.fill_null(pc.list_value_length(ids), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     flat = pc.fill_null(ids.flatten(), -1)
     values = flat.to_numpy(zero_copy_only=False)
-    small = len(values) and values.min() >= 0 and values.max() < DENSE
-    distinct = np.flatnonzero(np.bincount(values)) if small else np.unique(values)
+    distinct = np.unique(values)
     rows = np.maximum(1, -(-sizes // STEP))
     doc = np.repeat(np.arange(len(sizes)), rows)
     inside = (np.arange(len(doc)) - np.repeat(np.cumsum(rows) - rows, rows)) * STEP
@@ -306,16 +313,28 @@ def _asked(doc_id: pa.Array, ids: pa.Array) -> pa.RecordBatch:
          pa.ListArray.from_arrays(pa.array(bounds), flat.cast(pa.int32())), pa.ListArray.from_arrays(pa.array(ask), pa.array(distinct.astype(np.int32)))], ["doc_id", "first", "ids", "ask"])
 
 
+def _asked_slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    """``_asked`` of the documents of ``batch``, some IDS ids at a time (or one longer document)."""
+    ends, at = np.cumsum(pc.fill_null(pc.list_value_length(batch.column("ids")), 0).to_numpy(zero_copy_only=False)), 0
+    while at < batch.num_rows:
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + IDS, "right")))
+        part = batch.slice(at, to - at)
+        yield _asked(part.column("doc_id"), part.column("ids"))
+        at = to
+
+
 def _asked_of_block(table: pa.Table) -> pa.Table:
-    found = _ids_of_block(table).combine_chunks().to_batches()
-    return pa.Table.from_batches([_asked(b.column("doc_id"), b.column("ids")) for b in found])
+    pa.set_memory_pool(pa.system_memory_pool())
+    found = pa.Table.from_batches([x for b in _ids_of_block(table).to_batches() for x in _asked_slices(b)])
+    trim()
+    return found
 
 
 @lean
 def _asked_of_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows:
-            yield _asked(batch.column("doc_id"), batch.column("ids"))
+            yield from _asked_slices(batch)
 
 
 def _placed(asked: DataFrame, vocabulary: Vocabulary) -> DataFrame:

@@ -36,6 +36,19 @@ def test_bpe_equals_the_tokenizer_and_decodes(spark):
     assert "BroadcastHashJoin" in plan and "LeftOuter" in plan
 
 
+def test_blocks_of_many_ids_are_decoded_slice_by_slice(spark):
+    tokenizers = pytest.importorskip("tokenizers")
+    real = tokenizers.Tokenizer.from_file(tokenizer_path())
+    v, rng = bpe.Vocabulary(tokenizer_path()), random.Random(8)
+    texts = [(k, " ".join(rng.choice(("alpha", "Beta", "g7", "naïve", "zz9;", "\n")) for _ in range(n))) for k, n in enumerate([90_000, 3, 0, 60_000, 120_000, 1, 80_000])]
+    rows = {r.doc_id: r for r in bpe.digests(spark.createDataFrame(texts, "doc_id long, text string").coalesce(1), v).collect()}
+    assert sum(r.n_tokens for r in rows.values()) > 2 * bpe.IDS
+    for k, t in texts:
+        ids = real.encode(t, add_special_tokens=False).ids
+        assert (rows[k].n_tokens, rows[k].ids_sha256) == (len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest())
+        assert rows[k].decoded_sha256 == hashlib.sha256(t.encode()).hexdigest()
+
+
 def test_packed_numbers_come_back():
     rng = np.random.default_rng(1)
     for _ in range(20):
