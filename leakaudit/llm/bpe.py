@@ -235,18 +235,23 @@ def _encode_parts(vocabulary: Vocabulary) -> Callable:
     return run
 
 
-def _ids_of_block(table: pa.Table) -> pa.Table:
-    """All rows of one block, its codes and each part's ids -> ``doc_id, ids`` of its documents."""
+def _chunks(rows: list[tuple[int, pa.Buffer]]) -> Iterator[tuple[int, pa.Array, np.ndarray, np.ndarray, bool]]:
+    """The (part, payload) rows of one block, its codes and each part's ids -> some of its words at a time:
+
+    the number of the first document among them, the documents' ids, where each one's
+    token ids begin and end, the token ids, and whether the first document goes on
+    from the chunk before.
+    """
     open_ = zstandard.ZstdDecompressor()
-    rows = sorted(zip(table.column("part").to_pylist(), table.column("payload"), strict=True), key=lambda r: r[0])
-    body = open_.decompress(rows[0][1].as_buffer())
+    rows = sorted(rows, key=lambda r: r[0])
+    body = open_.decompress(rows[0][1])
     n_head, n_parts, n_chunks = struct.unpack_from("<III", body)
     at = 12 + n_head
     doc_ids = pa.ipc.open_stream(body[12:at]).read_all().column("doc_id").combine_chunks()
     ends = np.cumsum(np.frombuffer(body, "<u4", len(doc_ids), at), dtype=np.int64)
     counts, flat, before, words = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)], np.zeros(n_parts, np.int64), 0
     for p, raw in rows[1:]:
-        raw = open_.decompress(raw.as_buffer())
+        raw = open_.decompress(raw)
         sizes, to = _unpack(raw)
         before[p], words = words, words + len(sizes)
         counts.append(sizes)
@@ -254,21 +259,38 @@ def _ids_of_block(table: pa.Table) -> pa.Table:
     count, flat = np.concatenate(counts), np.concatenate(flat)
     first = np.cumsum(count) - count
     at += 4 * len(doc_ids)
-    streams, bounds, word, total, doc = [np.zeros(0, np.int32)], np.zeros(len(doc_ids) + 1, np.int32), 0, 0, 0
+    word, doc, goes_on = 0, 0, False
     for _ in range(n_chunks):
         code, at = _unpack(body, at)
         code = before[code % n_parts] + code // n_parts  # the word's place among the block's
         n = count[code]
-        upto = np.cumsum(n)
-        streams.append(flat[np.repeat(first[code] - (upto - n), n) + np.arange(int(upto[-1]) if len(n) else 0)])
-        # the documents that end among these words
+        upto = np.concatenate(([0], np.cumsum(n)))
+        ids = flat[np.repeat(first[code] - upto[:-1], n) + np.arange(int(upto[-1]))]
+        # the documents that end among these words, and one that begins and doesn't end
         to = int(np.searchsorted(ends, word + len(code), "right"))
-        bounds[doc + 1 : to + 1] = total + np.concatenate(([0], upto))[ends[doc:to] - word]
-        word, total, doc = word + len(code), total + len(streams[-1]), to
-    bounds[doc + 1 :] = total
-    ids = np.concatenate(streams)
-    del streams, body
-    return pa.table([doc_ids, pa.ListArray.from_arrays(pa.array(bounds), pa.array(ids))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
+        more = word + len(code) > (int(ends[to - 1]) if to else 0)
+        bounds = upto[np.concatenate(([0], ends[doc:to] - word, [len(code)] * more)).astype(np.int64)]
+        if len(bounds) > 1:
+            yield doc, doc_ids.slice(doc, to + more - doc), bounds.astype(np.int32), ids, goes_on
+        word, doc, goes_on = word + len(code), to, more
+    if doc < len(doc_ids):
+        yield doc, doc_ids.slice(doc), np.zeros(len(doc_ids) - doc + 1, np.int32), np.zeros(0, np.int32), False
+
+
+def _payloads(columns: pa.Table | pa.RecordBatch) -> list[tuple[int, pa.Buffer]]:
+    return [(p, x.as_buffer()) for p, x in zip(columns.column("part").to_pylist(), columns.column("payload"), strict=True)]
+
+
+def _ids_of_block(table: pa.Table) -> pa.Table:
+    """All rows of one block -> ``doc_id, ids`` of its documents."""
+    names, streams, ends, total = [pa.array([], pa.int64())], [np.zeros(0, np.int32)], {}, 0
+    for doc, some, bounds, ids, goes_on in _chunks(_payloads(table)):
+        names.append(some.slice(1) if goes_on else some)
+        ends |= zip(range(doc, doc + len(some)), (total + bounds[1:]).tolist(), strict=True)
+        streams.append(ids)
+        total += len(ids)
+    bounds = pa.array([0, *(ends[k] for k in range(len(ends)))], pa.int32())
+    return pa.table([pa.concat_arrays(names), pa.ListArray.from_arrays(bounds, pa.array(np.concatenate(streams)))], schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
 
 
 def _blocks(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) -> GroupedData:
@@ -297,8 +319,8 @@ def encode(docs: DataFrame, vocabulary: Vocabulary, doc_id: str = "doc_id", text
 _ASKED = "doc_id long, first boolean, ids array<int>, ask array<int>"
 
 
-def _asked(doc_id: pa.Array, ids: pa.Array) -> pa.RecordBatch:
-    """A row that asks for the pieces of all distinct ids (``ask``), then the documents' ids in rows of STEP at most."""
+def _asked(doc_id: pa.Array, ids: pa.Array, goes_on: bool = False) -> pa.RecordBatch:
+    """A row that asks for the pieces of all distinct ids (``ask``), then the documents' ids in rows of STEP at most; the first document may go on from before."""
     sizes = pc.fill_null(pc.list_value_length(ids), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     flat = pc.fill_null(ids.flatten(), -1)
     values = flat.to_numpy(zero_copy_only=False)
@@ -309,7 +331,7 @@ def _asked(doc_id: pa.Array, ids: pa.Array) -> pa.RecordBatch:
     bounds = np.concatenate(([0], (np.cumsum(sizes) - sizes)[doc] + inside, [len(values)])).astype(np.int32)
     ask = np.concatenate(([0], np.full(len(doc) + 1, len(distinct)))).astype(np.int32)
     return pa.RecordBatch.from_arrays(
-        [doc_id.take(pa.array(np.concatenate(([0], doc + 1)) - 1, pa.int64(), mask=np.arange(len(doc) + 1) == 0)), pa.array(np.concatenate(([False], inside == 0))),
+        [doc_id.take(pa.array(np.concatenate(([0], doc + 1)) - 1, pa.int64(), mask=np.arange(len(doc) + 1) == 0)), pa.array(np.concatenate(([False], (inside == 0) & ((doc > 0) | (not goes_on))))),
          pa.ListArray.from_arrays(pa.array(bounds), flat.cast(pa.int32())), pa.ListArray.from_arrays(pa.array(ask), pa.array(distinct.astype(np.int32)))], ["doc_id", "first", "ids", "ask"])
 
 
@@ -323,11 +345,12 @@ def _asked_slices(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         at = to
 
 
-def _asked_of_block(table: pa.Table) -> pa.Table:
+def _asked_of_block(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """All rows of one block -> ``_asked`` of some of its documents at a time: no more than the block's codes and one chunk's ids are held."""
     pa.set_memory_pool(pa.system_memory_pool())
-    found = pa.Table.from_batches([x for b in _ids_of_block(table).to_batches() for x in _asked_slices(b)])
+    for _, some, bounds, ids, goes_on in _chunks([r for batch in batches for r in _payloads(batch)]):
+        yield _asked(some, pa.ListArray.from_arrays(pa.array(bounds), pa.array(ids)), goes_on)
     trim()
-    return found
 
 
 @lean
