@@ -138,3 +138,18 @@ def test_sql_functions_and_parser_spans(spark):
     pytest.importorskip("pygments")
     code = 'class A { String s = "x"; // c\n}'
     assert ("comment", code.index("//"), code.index("\n")) in [(k, a, len(code[:b].rstrip())) for k, a, b in surface.parser_spans(code, "java")]
+
+
+def test_tokens_take_no_window_and_no_sort(spark):
+    """A chain of windows and sorts in one task ran out of memory at 0.1 GB; nulls, blanks and long texts are as before."""
+    texts = [(1, "en", None), (2, "en", "  \n "), (3, "en", "\t lead \"in  quotes\" x ,y"), (4, "en", "ab " * 150_000), (5, "en", "ÄÖ ’x"), (6, "en", "")]
+    rows = tokens.tokens(frame(spark, texts))
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "Window" not in plan and "Sort" not in plan
+    got = rows.where("sample_id <> 4").orderBy("sample_id", "pos").collect()
+    assert [(r.sample_id, r.pos, r.tok, r.start, r.stop, r.t, r.prev1, r.kind) for r in got if r.sample_id == 3] == [
+        (3, 2, "lead", 2, 6, 1, "^", "standard"), (3, 4, '"', 7, 8, 2, "lead", "literal"), (3, 5, "in", 8, 10, 3, '"', "literal"), (3, 7, "quotes", 12, 18, 4, "in", "literal"),
+        (3, 8, '"', 18, 19, 5, "quotes", "literal"), (3, 10, "x", 20, 21, 6, '"', "boilerplate"), (3, 12, ",", 22, 23, 7, "x", "lint"), (3, 13, "y", 23, 24, 8, ",", "boilerplate")]
+    assert [(r.tok, r.start, r.key) for r in got if r.sample_id == 5] == [("ÄÖ", 0, "äö"), ("’", 3, "’"), ("x", 4, "x")]
+    assert {r.sample_id for r in got} == {3, 5}
+    assert rows.where("sample_id = 4").selectExpr("count(*) as n", "max(t) as t", "max(stop) as stop", "max(pos) as pos").first()[:] == (150_000, 150_000, 449_999, 299_999)
