@@ -140,3 +140,13 @@ def test_audit_facade(spark, sf):
 
 def test_entry_runs(spark):
     assert driver.entry(spark).count() > 0
+
+
+def test_sliding_windows_count_at_the_nearest_second(spark, tmp_path):
+    """Shortly before a boundary its SQL counts an event beyond it; halves go to the even second."""
+    duckdb = pytest.importorskip("duckdb")
+    c, at = duckdb.connect(), ("05:59:59.7", "05:59:59.5", "05:59:59.499999", "05:59:58.5", "06:00:00.2", "11:59:59.999999", "12:00:00")
+    c.sql("SET TimeZone = 'UTC'")
+    c.sql(f"COPY (SELECT x::TIMESTAMP AS ts, 'a' AS event_type FROM (SELECT unnest({[f'2024-03-31 {x}' for x in at]}) AS x)) TO '{tmp_path}/events.parquet' (FORMAT parquet)")
+    c.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    test_queries_equal_their_sql(spark, str(tmp_path), c, "sliding_windows_batch")
