@@ -150,3 +150,16 @@ def test_sliding_windows_count_at_the_nearest_second(spark, tmp_path):
     c.sql(f"COPY (SELECT x::TIMESTAMP AS ts, 'a' AS event_type FROM (SELECT unnest({[f'2024-03-31 {x}' for x in at]}) AS x)) TO '{tmp_path}/events.parquet' (FORMAT parquet)")
     c.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
     test_queries_equal_their_sql(spark, str(tmp_path), c, "sliding_windows_batch")
+
+
+def test_tags_and_settings_come_from_given_tables(spark, sf, duck):
+    for name in ("tag_override", "audit_grid"):
+        test_queries_equal_their_sql(spark, sf, duck, name)
+    assert driver.queries()["tag_override"](spark, sf).select("id").distinct().count() == spark.read.parquet(f"{sf}/part.parquet").count()
+
+
+def test_code_mask_covers_every_part(spark, sf):
+    got = driver.queries()["code_mask"](spark, sf)
+    assert got.select("sample_id").distinct().count() == spark.read.parquet(f"{sf}/part.parquet").count()
+    kinds = {(r.slice, r.tok): r.kind for r in got.where("tok in ('def', 'func', 'fn', 'class', 'for')").select("slice", "tok", "kind").distinct().collect()}
+    assert kinds[("java", "class")] == kinds[("go", "func")] == kinds[("rust", "fn")] == kinds[("ruby", "def")] == "boilerplate" and kinds[("python", "for")] == "comment"
