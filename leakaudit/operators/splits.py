@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from leakaudit.operators.components import connected_components
-from leakaudit.runtime import running
+from leakaudit.runtime import materialise, running
 
 
 def balance(samples: DataFrame, by: tuple[str, ...] = ("slice", "role"), n: int | None = None) -> DataFrame:
@@ -67,15 +67,23 @@ def near_copies(samples: DataFrame, shingle: int = 5, least: float = 0.8) -> Dat
     an equi-join on these misses no pair; the similarity is then exact.
     """
     hashes = shingle_hashes(samples, shingle).select("sample_id", F.array_sort("hashes").alias("hashes"))
-    same = hashes.groupBy("hashes").agg(F.min("sample_id").alias("sample_id"))
     size = F.size("hashes")
     prefix = F.slice("hashes", F.lit(1), (size - F.ceil(F.round(least * size, 6)) + 1).cast("int"))
-    each = same.select("sample_id", F.explode(prefix).alias("h"))
-    pairs = each.alias("x").join(each.alias("y"), (F.col("x.h") == F.col("y.h")) & (F.col("x.sample_id") < F.col("y.sample_id"))).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct()
-    left, right = same.select(F.col("sample_id").alias("a"), F.col("hashes").alias("ha")), same.select(F.col("sample_id").alias("b"), F.col("hashes").alias("hb"))
+    # a set is known by its digest; only the first shingles go on, in half the bytes
+    heads = materialise(hashes.select("sample_id", F.sha2(F.array_join("hashes", ""), 256).alias("set"), size.alias("n"), F.transform(prefix, lambda h: F.unhex(h)).alias("prefix")), "heads")
+    same = heads.groupBy("set").agg(F.min("sample_id").alias("sample_id"))
+    each = heads.join(same.select("sample_id"), "sample_id", "left_semi").select("sample_id", "n", F.posexplode("prefix").alias("at", "h"))
+    x, y = each.alias("x"), each.alias("y")
+    # a shingle in common bounds the overlap: what stands before it in both, itself, and what can follow in both
+    most = F.least("x.at", "y.at") + F.least(F.col("x.n") - F.col("x.at"), F.col("y.n") - F.col("y.at"))
+    near = (F.col("x.h") == F.col("y.h")) & (F.col("x.sample_id") < F.col("y.sample_id")) & (most >= least / (1 + least) * (F.col("x.n") + F.col("y.n")) - 1e-6)
+    pairs = materialise(x.join(y, near).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct(), "pairs")
+    asked = pairs.select(F.col("a").alias("sample_id")).union(pairs.select("b")).distinct()
+    whole = hashes.join(asked, "sample_id", "left_semi")
+    left, right = whole.select(F.col("sample_id").alias("a"), F.col("hashes").alias("ha")), whole.select(F.col("sample_id").alias("b"), F.col("hashes").alias("hb"))
     both = F.size(F.array_intersect("ha", "hb"))
     found = pairs.join(left, "a").join(right, "b").select("a", "b", (both / (F.size("ha") + F.size("hb") - both)).alias("jaccard")).where(F.col("jaccard") >= least)
-    copies = hashes.join(same.withColumnRenamed("sample_id", "a"), "hashes").where("sample_id > a").select("a", F.col("sample_id").alias("b"), F.lit(1.0).alias("jaccard"))
+    copies = heads.select("sample_id", "set").join(same.withColumnRenamed("sample_id", "a"), "set").where("sample_id > a").select("a", F.col("sample_id").alias("b"), F.lit(1.0).alias("jaccard"))
     return found.union(copies)
 
 
