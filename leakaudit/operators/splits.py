@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from leakaudit.operators.components import connected_components
@@ -49,12 +49,16 @@ def line_groups(samples: DataFrame, min_len: int = 40) -> DataFrame:
     return isolate(samples, lines.join(least, "line").select("a", F.col("sample_id").alias("b")).where("a <> b").distinct())
 
 
-def shingle_hashes(samples: DataFrame, shingle: int = 5) -> DataFrame:
-    """``sample_id, hashes``: the distinct digests of each run of ``shingle`` lower-cased words."""
-    words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
+def _hashed(text: Column, shingle: int) -> Column:
+    words = F.filter(F.split(F.lower(text), r"\s+"), lambda w: w != "")
     # the word list is bound once: a lambda would split the text anew for every shingle
     cut = lambda w: F.when(F.size(w) >= shingle, F.transform(F.sequence(F.lit(1), F.size(w) - shingle + 1), lambda i: F.md5(F.array_join(F.slice(w, i, F.lit(shingle)), " "))))
-    found = samples.select("sample_id", F.transform(F.array(words), cut)[0].alias("hashes")).where("hashes is not null")
+    return F.transform(F.array(words), cut)[0]
+
+
+def shingle_hashes(samples: DataFrame, shingle: int = 5) -> DataFrame:
+    """``sample_id, hashes``: the distinct digests of each run of ``shingle`` lower-cased words."""
+    found = samples.select("sample_id", _hashed(F.col("text"), shingle).alias("hashes")).where("hashes is not null")
     return found.select("sample_id", F.array_distinct("hashes").alias("hashes"))
 
 
@@ -79,10 +83,12 @@ def near_copies(samples: DataFrame, shingle: int = 5, least: float = 0.8) -> Dat
     near = (F.col("x.h") == F.col("y.h")) & (F.col("x.sample_id") < F.col("y.sample_id")) & (most >= least / (1 + least) * (F.col("x.n") + F.col("y.n")) - 1e-6)
     pairs = materialise(x.join(y, near).select(F.col("x.sample_id").alias("a"), F.col("y.sample_id").alias("b")).distinct(), "pairs")
     asked = pairs.select(F.col("a").alias("sample_id")).union(pairs.select("b")).distinct()
-    whole = hashes.join(asked, "sample_id", "left_semi")
-    left, right = whole.select(F.col("sample_id").alias("a"), F.col("hashes").alias("ha")), whole.select(F.col("sample_id").alias("b"), F.col("hashes").alias("hb"))
-    both = F.size(F.array_intersect("ha", "hb"))
-    found = pairs.join(left, "a").join(right, "b").select("a", "b", (both / (F.size("ha") + F.size("hb") - both)).alias("jaccard")).where(F.col("jaccard") >= least)
+    # the texts meet, a fifth of their shingles' digests
+    whole = samples.select("sample_id", "text").join(asked, "sample_id", "left_semi")
+    left, right = whole.select(F.col("sample_id").alias("a"), F.col("text").alias("ta")), whole.select(F.col("sample_id").alias("b"), F.col("text").alias("tb"))
+    sets = F.struct(F.array_distinct(_hashed(F.col("ta"), shingle)).alias("a"), F.array_distinct(_hashed(F.col("tb"), shingle)).alias("b"))
+    alike = F.transform(F.array(sets), lambda s: F.struct(F.size(F.array_intersect(s["a"], s["b"])).alias("both"), (F.size(s["a"]) + F.size(s["b"])).alias("sum")))[0]
+    found = pairs.join(left, "a").join(right, "b").select("a", "b", alike.alias("s")).select("a", "b", (F.col("s.both") / (F.col("s.sum") - F.col("s.both"))).alias("jaccard")).where(F.col("jaccard") >= least)
     copies = heads.select("sample_id", "set").join(same.withColumnRenamed("sample_id", "a"), "set").where("sample_id > a").select("a", F.col("sample_id").alias("b"), F.lit(1.0).alias("jaccard"))
     return found.union(copies)
 
