@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import ctypes
-import ctypes.util
-import gc
 from collections.abc import Callable, Iterator
 from functools import wraps
 
@@ -13,6 +10,8 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from leakaudit.runtime import trim
+
 #: The six characters that separate words (fixed value): blank, tab, line feed, vertical tab, form feed, carriage return.
 BLANKS = " \t\n\x0b\x0c\r"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -48,14 +47,6 @@ def packed(df: DataFrame) -> Column:
     return F.struct(*[df["`" + c.replace("`", "``") + "`"] for c in df.columns])
 
 
-def trim() -> None:
-    """Gives freed memory back to the system, where the C library can: a worker lives on after its task, beside others."""
-    gc.collect()
-    release = getattr(ctypes.CDLL(ctypes.util.find_library("c")), "malloc_trim", None)
-    if release:
-        release(0)
-
-
 def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A batch function that leaves its worker small: Arrow memory from the system allocator, and a trim at the end."""
 

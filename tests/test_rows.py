@@ -57,3 +57,20 @@ def test_several_dictionaries_in_one_pass(spark, sf):
     one = audit.dictionary_scores(spark, sf, least)
     for name, m in least.items():
         _same(audit.probability_scores(audit.token_table(spark, sf, config=Config(min_df=m))).select("sample_id", F.col("weighted_z").alias("score")), one.where(F.col("method") == name).select("sample_id", "score"), ("sample_id",))
+
+
+def test_dictionary_and_target_do_not_pass_the_driver(spark, sf, monkeypatch):
+    """Neither is collected nor broadcast: a driver of bounded memory scores any input that the workers can."""
+    monkeypatch.setattr(type(spark.range(1)), "toArrow", lambda self: pytest.fail("collected"))
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, value: pytest.fail("broadcast"))
+    assert audit.sample_scores(spark, sf).count() > 0
+
+
+def test_a_store_that_arrow_cannot_open(spark, sf, monkeypatch):
+    small = audit.sample_scores(spark, sf)
+
+    def closed(uri):
+        raise ValueError(uri)
+
+    monkeypatch.setattr(rows, "_opened", closed)
+    _same(small, audit.sample_scores(spark, sf).select(*small.columns), ("sample_id",))
