@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from leakaudit.functions.weights import Scheme
-from leakaudit.operators import activation, rows, scores
+from leakaudit.operators import activation, dense, rows, scores
 from leakaudit.plans import audit, queries
 from leakaudit.plans.audit import Config
 
@@ -74,3 +74,11 @@ def test_a_store_that_arrow_cannot_open(spark, sf, monkeypatch):
 
     monkeypatch.setattr(rows, "_opened", closed)
     _same(small, audit.sample_scores(spark, sf).select(*small.columns), ("sample_id",))
+
+
+def test_dense_scores_are_those_of_the_token_table(spark, sf, monkeypatch):
+    monkeypatch.setattr(dense, "POSITIONS", 50)
+    row = queries.dense_target_scores(spark, sf)
+    assert row.columns == [*scores.BY, "loss", "weighted_z"]
+    monkeypatch.setattr(audit, "row_table", lambda *a, **b: None)
+    _same(queries.dense_target_scores(spark, sf), row, ("sample_id",))
