@@ -3,10 +3,11 @@
 import pytest
 from pyspark.sql import functions as F
 
-from leakaudit.functions.weights import Scheme
-from leakaudit.operators import activation, dense, rows, scores
+from leakaudit.functions.weights import DEFAULT, Scheme
+from leakaudit.operators import activation, dense, mask, rows, scores, tokens
 from leakaudit.plans import audit, queries
 from leakaudit.plans.audit import Config
+from leakaudit.sources import catalog
 
 
 def _same(a, b, keys):
@@ -82,3 +83,18 @@ def test_dense_scores_are_those_of_the_token_table(spark, sf, monkeypatch):
     assert row.columns == [*scores.BY, "loss", "weighted_z"]
     monkeypatch.setattr(audit, "row_table", lambda *a, **b: None)
     _same(queries.dense_target_scores(spark, sf), row, ("sample_id",))
+
+
+def test_mean_projection_is_that_of_the_token_table(spark, sf):
+    own = Scheme({k: w for k, w in DEFAULT.items() if k not in ("comment", "literal", "lint")})
+    for source, grammar in (("pages", "html"), ("documents", "prose")):
+        some = catalog.samples(spark, sf, source)
+        plain = tokens.tokens(some, grammar, tokens.lexicon(catalog.samples(spark, sf, "documents")), own)
+        want = mask.project_mean(plain, mask.runs(tokens.spans(some, grammar)))
+        got = audit.row_table(spark, sf, source, mean=own).withColumn("weight", F.col("weight_mean"))
+        _same(want, rows.unfolded(got).select("sample_id", "pos", "weight"), ("sample_id", "pos"))
+
+
+def test_projections_are_compared_without_a_token_table(spark, sf, monkeypatch):
+    monkeypatch.setattr(audit, "token_table", lambda *a, **b: pytest.fail("a row a token"))
+    assert {r.method for r in queries.ablation_projection(spark, sf).collect()} == {"max", "mean"}
