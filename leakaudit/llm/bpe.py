@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, GroupedData
 from pyspark.sql import functions as F
 
 from leakaudit.llm.common import lean, trim
-from leakaudit.runtime import materialise
+from leakaudit.runtime import batch_rows, materialise
 
 #: A byte-level tokenizer's word rule (fixed value), with white space as Unicode has it.
 SPLIT = (
@@ -30,6 +30,8 @@ SPLIT = (
 BLOCK_BYTES = 16 << 20
 #: A text crosses to the block builder in pieces of at most so many code points, so that a batch of rows has a bound in bytes.
 PIECE = 2048
+#: So many pieces cross in a batch.
+PIECES_AT_ONCE = 1024
 #: Words of about so many bytes are numbered at once.
 SLICE_BYTES = 2 << 20
 #: Ids of a document are decoded in rows of so many at most; ids below DENSE are looked up by place.
@@ -298,7 +300,8 @@ def _blocks(docs: DataFrame, vocabulary: Vocabulary, doc_id: str, text: str) ->
     parts = min(MOST_PARTS, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     cut = F.regexp_extract_all(marked(F.col(text), vocabulary.specials), F.lit("(?s).{1,%d}" % PIECE), F.lit(0))
     split = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.posexplode_outer(cut).alias("pos", "piece"))
-    blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
+    with batch_rows(docs.sparkSession, PIECES_AT_ONCE):
+        blocks = materialise(split.mapInArrow(_to_blocks(parts), BLOCKS), "blocks")
     ids = blocks.where("part >= 0").repartition("part").sortWithinPartitions("part").mapInArrow(_encode_parts(vocabulary), BLOCKS)
     return blocks.where("part < 0").union(ids).groupBy("block")
 

@@ -36,6 +36,16 @@ def test_bpe_equals_the_tokenizer_and_decodes(spark):
     assert "BroadcastHashJoin" in plan and "LeftOuter" in plan
 
 
+def test_pieces_cross_in_small_batches(spark, monkeypatch):
+    held, write = [], bpe.materialise
+    monkeypatch.setattr(bpe, "materialise", lambda df, tag: held.append(int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch"))) or write(df, tag))
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    long = "ab cd " * (bpe.PIECE * bpe.PIECES_AT_ONCE // 5)
+    rows = bpe.digests(spark.createDataFrame([(1, long), (2, "x"), (3, None)], "doc_id long, text string"), bpe.Vocabulary(tokenizer_path())).collect()
+    assert held == [bpe.PIECES_AT_ONCE] and spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == before
+    assert {r.doc_id: r.decoded_sha256 for r in rows} == {k: hashlib.sha256(x.encode()).hexdigest() for k, x in ((1, long), (2, "x"), (3, ""))}
+
+
 def test_blocks_of_many_ids_are_decoded_slice_by_slice(spark):
     tokenizers = pytest.importorskip("tokenizers")
     real = tokenizers.Tokenizer.from_file(tokenizer_path())
