@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from leakaudit.functions.weights import DEFAULT, Scheme
 from leakaudit.operators import activation, dense, mask, rows, scores, tokens
-from leakaudit.plans import audit, queries
+from leakaudit.plans import audit, queries, workloads
 from leakaudit.plans.audit import Config
 from leakaudit.sources import catalog
 
@@ -98,3 +98,10 @@ def test_mean_projection_is_that_of_the_token_table(spark, sf):
 def test_projections_are_compared_without_a_token_table(spark, sf, monkeypatch):
     monkeypatch.setattr(audit, "token_table", lambda *a, **b: pytest.fail("a row a token"))
     assert {r.method for r in queries.ablation_projection(spark, sf).collect()} == {"max", "mean"}
+
+
+def test_contamination_is_that_of_the_token_table(spark, sf, monkeypatch):
+    """The contexts asked for are read by the workers under the name that they are written by."""
+    row = workloads.contamination_scores(spark, sf)
+    monkeypatch.setattr(audit, "row_table", lambda *a, **b: None)
+    _same(workloads.contamination_scores(spark, sf), row, ("method",))
