@@ -105,3 +105,14 @@ def test_contamination_is_that_of_the_token_table(spark, sf, monkeypatch):
     row = workloads.contamination_scores(spark, sf)
     monkeypatch.setattr(audit, "row_table", lambda *a, **b: None)
     _same(workloads.contamination_scores(spark, sf), row, ("method",))
+
+
+def test_the_five_best_are_chosen_among_all_layers(spark, sf):
+    best = queries.layer_top5(spark, sf).collect()
+    every = queries.metrics.auc(queries._uni(spark, sf, tokens.LARGE).where("role = 'shadow'")).collect()
+    strength = {}
+    for r in every:
+        layer = int(r.method.split(":")[0])
+        strength[layer] = max(strength.get(layer, 0.0), round(abs(r.auc - 0.5), 4))
+    assert sorted(strength) == list(tokens.LARGE)
+    assert [(r.layer, r.rank) for r in sorted(best, key=lambda r: r.rank)] == [(k, n + 1) for n, k in enumerate(sorted(strength, key=lambda k: (-strength[k], k))[:5])]
