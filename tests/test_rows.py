@@ -116,3 +116,12 @@ def test_the_five_best_are_chosen_among_all_layers(spark, sf):
         strength[layer] = max(strength.get(layer, 0.0), round(abs(r.auc - 0.5), 4))
     assert sorted(strength) == list(tokens.LARGE)
     assert [(r.layer, r.rank) for r in sorted(best, key=lambda r: r.rank)] == [(k, n + 1) for n, k in enumerate(sorted(strength, key=lambda k: (-strength[k], k))[:5])]
+
+
+def test_scheme_totals_without_a_shuffled_dictionary(spark, sf, monkeypatch):
+    """No token is looked up by a join, whose salted copies of a large dictionary could be sent to the driver."""
+    with monkeypatch.context() as m:
+        m.setattr(rows, "WORDS", 10)
+        joined = queries.scheme_ablation_weights(spark, sf)
+    monkeypatch.setattr(tokens, "lookup", lambda *a, **b: pytest.fail("a row a token"))
+    _same(joined, queries.scheme_ablation_weights(spark, sf), ("without",))
